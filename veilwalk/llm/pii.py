@@ -34,11 +34,11 @@ URL_TAIL = re.compile(r"[^\s<>\"'`{}|\\^]+")
 ACCOUNT = re.compile(r"(?:\s|number|no\.?|nr\.?|id|[:#=])*([A-Za-z]{0,4}[0-9](?:[ -]?[A-Za-z0-9]){5,33})", re.I)
 SECRET_VALUE = re.compile(r"\s*[:=]\s*[\"']?([A-Za-z0-9+/_=-]{16,})")
 KEY_ID = re.compile(r"[0-9A-Z]{16}(?![0-9A-Za-z])")
-#: Fixed cue words, matched in lower case.
+#: Fixed cue words, matched in lower case, upper case and with a capital.
 ACCOUNT_CUES = ("iban", "account", "acct", "konto", "compte", "cuenta", "passport", "ssn")
 SECRET_CUES = ("token", "secret", "api_key", "apikey", "password", "passwd")
 SCHEMES = ("http://", "https://", "ftp://", "mailto:")
-KEY_PREFIX = "akia"
+KEY_PREFIX = "AKIA"
 
 
 def _automaton() -> ahocorasick.Automaton:
@@ -47,12 +47,10 @@ def _automaton() -> ahocorasick.Automaton:
         a.add_word(d, (0, d))
     a.add_word("@", (1, "@"))
     a.add_word("+", (2, "+"))
-    for w in SCHEMES:
-        a.add_word(w, (3, w))
-    for w in ACCOUNT_CUES:
-        a.add_word(w, (4, w))
-    for w in SECRET_CUES:
-        a.add_word(w, (5, w))
+    for kind, words in ((3, SCHEMES), (4, ACCOUNT_CUES), (5, SECRET_CUES)):
+        for w in words:
+            for form in (w, w.upper(), w.capitalize()):
+                a.add_word(form, (kind, w))
     a.add_word(KEY_PREFIX, (6, KEY_PREFIX))
     a.make_automaton()
     return a
@@ -78,14 +76,6 @@ def _iban_ok(s: str) -> bool:
     return int("".join(str(int(c, 36)) for c in s[4:] + s[:4])) % 97 == 1
 
 
-def _fold(text: str) -> str:
-    """Lower case of A-Z only, so that offsets stay."""
-    return text.translate(_LOWER)
-
-
-_LOWER = {c: c + 32 for c in range(65, 91)}
-
-
 def find_spans(text: str | None) -> list[tuple[str, int, int]]:
     """(kind, start, end) in code points, by kind in the order of KINDS and then by start."""
     if not text:
@@ -94,7 +84,7 @@ def find_spans(text: str | None) -> list[tuple[str, int, int]]:
         _AUTOMATON.append(_automaton())
     found: dict[str, list[tuple[int, int]]] = {k: [] for k in KINDS}
     after_email = after_quad = after_card = after_phone = after_url = after_account = after_secret = 0
-    for end, (kind, word) in _AUTOMATON[0].iter(_fold(text)):
+    for end, (kind, word) in _AUTOMATON[0].iter(text):
         at = end - len(word) + 1
         if kind == 0:
             if at >= after_card:
@@ -140,7 +130,7 @@ def find_spans(text: str | None) -> list[tuple[str, int, int]]:
             if m and any(c.isdigit() for c in m.group(1)):
                 after_secret = m.end(1)
                 found["secret"].append(m.span(1))
-        elif text[at : end + 1].isupper() and at >= after_secret and not (at and text[at - 1].isalnum()):
+        elif at >= after_secret and not (at and text[at - 1].isalnum()):
             m = KEY_ID.match(text, end + 1)
             if m:
                 after_secret = m.end()
