@@ -126,7 +126,8 @@ def pieces(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path
 def pack(items: DataFrame, capacity: int = CAPACITY, order: tuple[str, ...] = ("doc_id", "piece")) -> DataFrame:
     """Rows of items (column length, 1 to capacity) with sequence_id and offset added."""
     scratch = Scratch(items.sparkSession, "packing")
-    ranked = numbered(items.withColumn("_shorter", -F.col("length")), scratch, "pieces", ["_shorter", *order]).drop("_shorter")
+    kept = scratch.save(items, "items")  # range partitioning reads its input twice
+    ranked = numbered(kept.withColumn("_shorter", -F.col("length")), scratch, "pieces", ["_shorter", *order]).drop("_shorter")
     counts = {r["length"]: r["n"] for r in ranked.groupBy("length").agg(F.count("*").alias("n")).collect()}
     rows, _ = plan(counts, capacity)
     names = [*items.columns, "sequence_id", "offset"]

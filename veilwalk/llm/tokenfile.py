@@ -109,8 +109,7 @@ def tokenized(docs: DataFrame, id_col: str, text_col: str, path: str) -> DataFra
 def write(docs: DataFrame, uri: str, scratch: Scratch, id_col: str = "doc_id", text_col: str = "text", path: str | None = None) -> DataFrame:
     """Write token files of all documents under uri; returns the manifest (part, docs, tokens).
 
-    Texts are tokenized once and their ids kept in a shared table; ranks come from counts over all documents; only
-    coded ids are dealt by document id.
+    Texts are tokenized once and their ids kept in a shared table; ranks come from counts over all documents.
     """
     spark = docs.sparkSession
     path = path or default_path(VOCABULARY)
@@ -136,24 +135,18 @@ def write(docs: DataFrame, uri: str, scratch: Scratch, id_col: str = "doc_id", t
     rank[by_rank] = np.arange(size, dtype=np.uint32)
     put_file(f"{uri}/vocabulary.bin", by_rank.tobytes())
 
-    def code(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        coded = [encode(rank[np.frombuffer(x.as_buffer(), width)]) for x in b.column(2)]
-        cols = [b.column(0), b.column(1), pa.array([c for c, _ in coded], pa.binary()), pa.array([d for _, d in coded], pa.binary())]
-        yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n", "control", "data"])
-
-    coded = arrow_map(kept, code, "doc_id long, n long, control binary, data binary")
-    ordered = coded.repartitionByRange("doc_id").sortWithinPartitions("doc_id").withColumn("part", F.spark_partition_id())
+    ordered = kept.repartitionByRange("doc_id").sortWithinPartitions("doc_id").withColumn("part", F.spark_partition_id())
 
     def store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, ids, counts, controls, data = 0, [], [], [], []
+        part, ids, counts, coded = 0, [], [], []
         for b in batches:
-            part = b.column(4)[0].as_py() if b.num_rows else part
-            ids += [NO_ID if x is None else x for x in b.column(0).to_pylist()]
-            counts += b.column(1).to_pylist()
-            controls += b.column(2).to_pylist()
-            data += b.column(3).to_pylist()
+            if b.num_rows:
+                part = b.column(3)[0].as_py()
+                ids += [NO_ID if x is None else x for x in b.column(0).to_pylist()]
+                counts += b.column(1).to_pylist()
+                coded.append(rank[np.frombuffer(b"".join(b.column(2).to_pylist()), width)])
         if ids:
-            put_file(f"{uri}/part-{part:08d}.tok", _regrouped(ids, counts, controls, data))
+            put_file(f"{uri}/part-{part:08d}.tok", part_bytes(ids, np.array(counts, np.int64), np.concatenate(coded)))
             one = [part, len(ids), sum(counts)]
             yield pa.RecordBatch.from_arrays([pa.array([x], pa.int64()) for x in one], names=["part", "docs", "tokens"])
 
@@ -163,19 +156,6 @@ def write(docs: DataFrame, uri: str, scratch: Scratch, id_col: str = "doc_id", t
     return spark.createDataFrame(rows, "part long, docs long, tokens long")
 
 
-def _regrouped(ids: list[int], counts: list[int], controls: list[bytes], data: list[bytes]) -> bytes:
-    """A part file of documents coded one by one: data bytes stay, two-bit lengths close up."""
-    n = np.array(counts, np.int64)
-    codes = [(LENGTHS[np.frombuffer(c, np.uint8)].reshape(-1)[:k] - 1).astype(np.uint8) for c, k in zip(controls, counts, strict=True)]
-    flat = np.concatenate(codes)
-    padded = np.zeros(-(-len(flat) // 4) * 4, np.uint8)
-    padded[: len(flat)] = flat
-    padded = padded.reshape(-1, 4)
-    control = (padded[:, 0] | padded[:, 1] << 2 | padded[:, 2] << 4 | padded[:, 3] << 6).astype(np.uint8).tobytes()
-    head = np.array([len(ids), len(control), sum(map(len, data))], "<i8").tobytes()
-    return b"".join([MAGIC, head, np.array(ids, "<i8").tobytes(), n.astype("<i8").tobytes(), control, *data])
-
-
 def read(spark: SparkSession, uri: str) -> DataFrame:
     """(doc_id, start, n_tokens, ids_crc32) of the documents in the files under uri, in their order.
 
