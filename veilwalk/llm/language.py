@@ -24,6 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from veilwalk.llm.common import arrow_map, texts
 
@@ -194,11 +195,13 @@ class Tagger:
         return path
 
     def words(self, text: str) -> list[str]:
-        return WORD.findall(text.lower())
+        """Lower-case words; runs of numeric signs alone are no words."""
+        found = WORD.findall(text.lower())
+        return found if text.isascii() else [w for w in found if w.isalpha() or any(map(str.isalpha, w))]
 
     def spans(self, text: str) -> list[tuple[int, int, str]]:
         """(start, end, language) of maximal runs of words of one language."""
-        found = list(WORD.finditer(text))
+        found = [m for m in WORD.finditer(text) if any(map(str.isalpha, m.group()))]
         if not self.model.langs:
             return []
         e = self.scores_of([m.group().lower() for m in found])
@@ -244,8 +247,6 @@ class Tagger:
 
 def predict(docs: DataFrame, model: Model, penalty: float = PENALTY, text_col: str = "text") -> DataFrame:
     """docs with lang_pred and score; one pass, no shuffle."""
-    from pyspark.sql import types as T
-
     keep = [c for c in docs.columns if c not in ("lang_pred", "score")]
     docs = docs.select(*[F.col(f"`{c}`") for c in keep])
     i = keep.index(text_col)

@@ -130,13 +130,14 @@ def pack(items: DataFrame, capacity: int = CAPACITY, order: tuple[str, ...] = ("
     ranked = numbered(kept.withColumn("_shorter", -F.col("length")), scratch, "pieces", ["_shorter", *order]).drop("_shorter")
     counts = {r["length"]: r["n"] for r in ranked.groupBy("length").agg(F.count("*").alias("n")).collect()}
     rows, _ = plan(counts, capacity)
-    names = [*items.columns, "sequence_id", "offset"]
+    own = items.columns
+    names = [*own, "sequence_id", "offset"]
 
     def run(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         pos = b.column(b.schema.get_field_index("pos")).to_numpy()
         first, base, each, offset, length = rows[np.searchsorted(rows[:, 0], pos, "right") - 1].T
         seq, at = base + (pos - first) // each, offset + (pos - first) % each * length
-        cols = [b.column(b.schema.get_field_index(c)) for c in items.columns]
+        cols = [b.column(b.schema.get_field_index(c)) for c in own]
         yield pa.RecordBatch.from_arrays([*cols, pa.array(seq), pa.array(at)], names=names)
 
     schema = T.StructType([*items.schema.fields, T.StructField("sequence_id", T.LongType()), T.StructField("offset", T.LongType())])

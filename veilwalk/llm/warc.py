@@ -228,7 +228,9 @@ class WarcReader(DataSourceReader):
         names = sorted(x.base_name for x in found if x.base_name.endswith((".warc", ".warc.gz")))
         return [WarcPartition(f"{self.uri}/{n}") for n in names]
 
-    def read(self, partition: WarcPartition) -> Iterator[pa.RecordBatch]:
+    def read(self, partition: WarcPartition | None) -> Iterator[pa.RecordBatch]:
+        if partition is None:  # no archive was planned
+            return
         fs, path = pafs.FileSystem.from_uri(partition.uri)
         with fs.open_input_file(path) as f:
             yield from self._batches(Members(f))
