@@ -189,10 +189,10 @@ def test_keep_first(spark):
 @pytest.mark.parametrize("name,fold", [("byte_bpe_50k.json", False), ("word_bpe_49k.json", True)])
 def test_chunks_equal_whole_texts(name, fold, corpus):
     enc = ChunkEncoder(default_path(name), fold)
-    texts = [t or "" for _, t in corpus] + ["  a b", "a  b", "a\n b", "a b\n", " x", "x ", "b \x00a", "A'LL it's 's", "İ Σ", "a  b", "e ́x"]
-    want = [np.array(e.ids, "<u4").tobytes() for e in enc.whole.encode_batch(texts, add_special_tokens=False)]
-    assert enc.encode_many(texts) == want
-    assert enc.encode_many(texts) == want  # remembered
+    texts = [t or "" for _, t in corpus] + ["  a b", "a  b", "a\n b", "a b\n", " x", "x ", "b \x00a", "\x02a b", "a, b. c,. d.  e×. f,\ng. ", "b \x01, c", "b \x02a", "\x02", "A'LL it's 's", "İ Σ", "a  b", "e ́x"]
+    want = [[*e.ids, 7] for e in enc.whole.encode_batch(texts, add_special_tokens=False)]
+    assert [x.tolist() for x in enc.encode_many(texts, 7)] == want
+    assert [x.tolist() for x in enc.encode_many(texts, 7)] == want  # remembered
 
 
 def whole_ids(name, text, end):
@@ -364,7 +364,7 @@ def test_suffixes_on_repeats(spark, monkeypatch):
     monkeypatch.setattr(suffixes, "SLICE", 64)
     raw = np.frombuffer("".join(t or "" for _, t in rows).encode(), np.uint8)
     offsets = np.r_[0, np.cumsum([len((t or "").encode()) for _, t in rows])]
-    q, u, doc, start, n = suffixes.items(raw, offsets)
+    q, u, doc, start, n, sides = suffixes.items(raw, offsets)
     covered = sum(n)
     assert covered == sum(max(0, len((t or "").encode()) - 99) for _, t in rows)
 

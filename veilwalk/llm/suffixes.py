@@ -8,8 +8,9 @@ Equal strings have their anchors at equal places, so only suffixes that start ar
 2. Initial buckets. Windows that share an anchor form one item: a run of starts. Items are dealt by the anchor's 32-byte
    bucket and refined by the 100-byte identifiers of their first and last windows, which cover the item's whole string.
    Of items with one such string all but the earliest are repeats as a whole.
-3. Where a bucket still holds different strings, the windows of each string's earliest item are compared one by one by
-   a 128-bit digest of their bytes.
+3. Where a bucket still holds different strings, it is refined by the identifiers at the offsets 32 bytes before and
+   after the anchor, one of which every window covers; the windows of what is left are compared one by one by a 128-bit
+   digest of their bytes.
 
 Repeats within a batch are settled there, so a string that many documents hold reaches its bucket once for each batch.
 A task streams over sorted buckets and keeps a few numbers.
@@ -36,7 +37,7 @@ GRAM = 32
 #: Window starts of one slice of bytes.
 SLICE = 1 << 20
 K1, K2, K3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
-S29, S32 = np.uint64(29), np.uint64(32)
+S29, S32, ONE = np.uint64(29), np.uint64(32), np.uint64(1)
 
 
 def refine(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -71,7 +72,10 @@ def leftmost_least(h: np.ndarray, width: int) -> np.ndarray:
 
 
 def items(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, ...]:
-    """(bucket, string, document index, first start, number of starts) of all items of documents laid end to end."""
+    """(bucket, string, document index, first start, number of starts, sides) of all items of documents laid end to end.
+
+    sides holds 32 bits each of the identifiers of the 32 bytes before and after the anchor, 0 where the item ends first.
+    """
     out = []
     for c in range(0, max(len(raw) - WIDTH + 1, 0), SLICE):
         part = raw[c : c + SLICE + WIDTH - 1]
@@ -94,15 +98,18 @@ def items(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, ...]:
         s0 = s[first]
         string = refine(h100[s0], h100[s0 + n - 1] ^ (n.astype(np.uint64) * K3))
         doc = np.searchsorted(offsets, s0 + c, "right") - 1
-        out.append((h32[anchor[first]], string, doc, s0 + c - offsets[doc], n))
-    kinds = (np.uint64, np.uint64, np.int64, np.int64, np.int64)
-    return tuple(np.concatenate(x) if x else np.zeros(0, k) for x, k in zip(list(zip(*out, strict=True)) or [()] * 5, kinds, strict=True))
+        p = anchor[first]
+        before = np.where(p - GRAM >= s0, h32[np.maximum(p - GRAM, 0)] >> S32 | ONE, 0)
+        after = np.where(p + 2 * GRAM <= s0 + n + WIDTH - 1, h32[np.minimum(p + GRAM, len(h32) - 1)] >> S32 | ONE, 0)
+        out.append((h32[p], string, doc, s0 + c - offsets[doc], n, (before.astype(np.uint64) << S32 | after.astype(np.uint64)).view(np.int64)))
+    kinds = (np.uint64, np.uint64, np.int64, np.int64, np.int64, np.int64)
+    return tuple(np.concatenate(x) if x else np.zeros(0, k) for x, k in zip(list(zip(*out, strict=True)) or [()] * 6, kinds, strict=True))
 
 
 ROWS = "q long, u long, doc long, place long"
 
 
-def _settle(q: np.ndarray, u: np.ndarray, doc: np.ndarray, place: np.ndarray) -> pa.RecordBatch:
+def _settle(q: np.ndarray, u: np.ndarray, doc: np.ndarray, place: np.ndarray, sides: np.ndarray | None = None) -> pa.RecordBatch:
     """Rows of a batch with its own repeats settled: those have a negative place and a bucket that spreads them."""
     order = np.lexsort((place, doc, u, q))
     q, u, doc, place = q[order], u[order], doc[order], place[order]
@@ -112,7 +119,27 @@ def _settle(q: np.ndarray, u: np.ndarray, doc: np.ndarray, place: np.ndarray) ->
     keep = new | later
     place, q, u = np.where(later, ~place, place), np.where(later, refine(doc.astype(np.uint64), place.astype(np.uint64)), q), np.where(later, np.uint64(0), u)
     cols = [q.view(np.int64)[keep], u.view(np.int64)[keep], doc[keep], place[keep]]
-    return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["q", "u", "doc", "place"])
+    names = ["q", "u", "doc", "place"]
+    if sides is not None:
+        cols, names = [*cols, np.where(later, 0, sides[order])[keep]], [*names, "sides"]
+    return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=names)
+
+
+def _lonely(bucket: np.ndarray, sides: np.ndarray, candidates: np.ndarray) -> np.ndarray:
+    """True for candidates that agree with no other of their bucket in the bytes before or after the anchor.
+
+    A window has 68 bytes besides its anchor's 32, so it holds all 32 before the anchor or all 32 after it: without
+    agreement there no window of the item can occur in another item.
+    """
+    at = np.flatnonzero(candidates)
+    agrees = np.zeros(len(at), bool)
+    for side in (sides[at] >> 32 & 0xFFFFFFFF, sides[at] & 0xFFFFFFFF):
+        key = refine(bucket[at].astype(np.uint64), side.astype(np.uint64))
+        _, group, size = np.unique(key, return_inverse=True, return_counts=True)
+        agrees |= (side != 0) & (size[group] > 1)
+    out = np.zeros(len(bucket), bool)
+    out[at] = ~agrees
+    return out
 
 
 def _decided(rows: DataFrame) -> DataFrame:
@@ -128,6 +155,7 @@ def _decided(rows: DataFrame) -> DataFrame:
             q, u, doc, place = (b.column(k).to_numpy() for k in range(4))
             known = place < 0
             docs, places = [doc[known]], [~place[known]]
+            sides = b.column(4).to_numpy()[~known] if b.num_columns > 4 else None
             q, u, doc, place = q[~known], u[~known], doc[~known], place[~known]
             if len(q):
                 if last is None:
@@ -143,6 +171,8 @@ def _decided(rows: DataFrame) -> DataFrame:
                 bucket = np.cumsum(newq)
                 strings = np.bincount(bucket, newu)
                 mixed = newu & ((bucket == 0) | (strings[bucket] > 1))
+                if sides is not None:  # buckets that lie within the batch as a whole
+                    mixed &= ~_lonely(bucket, sides, mixed & (bucket > 0) & (bucket < bucket[-1]))
                 docs.append(doc[mixed])
                 places.append(~place[mixed])
                 if strings[0] and not told:
@@ -186,10 +216,10 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     def sample(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             raw, offsets = text_buffer(b.column(1))
-            q, u, doc, start, n = items(raw, offsets)
-            yield _settle(q, u, b.column(0).to_numpy()[doc], start * 128 + n)
+            q, u, doc, start, n, sides = items(raw, offsets)
+            yield _settle(q, u, b.column(0).to_numpy()[doc], start * 128 + n, sides)
 
-    decided = scratch.save(_decided(source.mapInArrow(sample, ROWS)), "decided")
+    decided = scratch.save(_decided(source.mapInArrow(sample, ROWS + ", sides long")), "decided")
     whole = decided.where("place >= 0")
     open_ = decided.where("place < 0").groupBy("doc").agg(F.collect_list(F.bitwise_not("place")).alias("places"))
 
