@@ -34,7 +34,7 @@ def align_cost(a: Column, b: Column, one_sided: bool = False) -> Column:
 
     def advance(before: Column, row: Column) -> Column:
         costs = F.transform(b, lambda y: l1(row, y))
-        steps = F.zip_with(costs, F.zip_with(F.slice(before, 1, F.size(b)), F.slice(before, 2, F.size(b)), F.least), lambda c, m: F.struct(c.alias("c"), m.alias("m")))
+        steps = F.zip_with(costs, F.zip_with(F.slice(before, 1, F.size(b)), F.slice(before, 2, F.size(b)), lambda p, q: F.least(p, q)), lambda c, m: F.struct(c.alias("c"), m.alias("m")))
         if one_sided:
             return F.concat(F.array(inf), F.transform(steps, lambda s: s["c"] + s["m"]))
         return F.aggregate(steps, F.array(inf), lambda out, s: F.concat(out, F.array(s["c"] + F.least(s["m"], F.element_at(out, -1)))))

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from veilwalk.functions.draws import unit
 from veilwalk.functions.vectors import pool_size
-from veilwalk.operators.tree import lca_sizes, square
+from veilwalk.operators.tree import common_depth, lca_sizes, square
 
 
 def demand(vectors: DataFrame, bins: DataFrame, rounding: str = "round", seed: str = "1") -> DataFrame:
@@ -64,22 +64,6 @@ def tree_pool(dissim: DataFrame, leaves: DataFrame, bins: DataFrame, wanted: Dat
     return rows.groupBy("block").applyInPandas(work, "u long, pool array<long>").where(F.size("pool") > 0)
 
 
-def common_depth(paths: list[str]) -> np.ndarray:
-    """Length of the common prefix of each pair of paths."""
-    out = np.array([[len(p)] * len(paths) for p in paths])
-    order = sorted(range(len(paths)), key=lambda i: paths[i])
-    stack = [(0, len(order), 0)]
-    while stack:
-        lo, hi, depth = stack.pop()
-        if hi - lo < 2:
-            continue
-        mid = next(k for k in range(lo, hi) if paths[order[k]][depth : depth + 1] == "1")
-        out[np.ix_(order[lo:mid], order[mid:hi])] = depth
-        out[np.ix_(order[mid:hi], order[lo:mid])] = depth
-        stack += [(lo, mid, depth + 1), (mid, hi, depth + 1)]
-    return out
-
-
 def exact_pool(adjacency: DataFrame) -> DataFrame:
     """(u, pool) of true neighbours: what a perfect guess would hold."""
     return adjacency.select(F.col("v").alias("u"), F.col("nbrs").alias("pool"))

@@ -54,33 +54,38 @@ def skipgram_blocks(cooc: DataFrame, dim: int, blocks: int = 4, epochs: int = 3,
             todo = pairs.where(F.col("j") == meets).select("i", F.lit(0).alias("kind"), "a", "b", F.col("n").cast("double").alias("n"), F.lit(None).cast("array<double>").alias("vec"))
             s = source.select(F.col("b").alias("i"), F.lit(1).alias("kind"), F.col("v").alias("a"), F.lit(0).cast("long").alias("b"), F.lit(0.0).alias("n"), "vec")
             c = context.select(F.pmod(F.col("b") - shift, F.lit(blocks)).alias("i"), F.lit(2).alias("kind"), F.col("v").alias("a"), F.lit(0).cast("long").alias("b"), F.lit(0.0).alias("n"), "vec")
-            step = rate / (1 + epoch)
-
-            def train(pdf: pd.DataFrame, step=step, epoch=epoch, shift=shift) -> pd.DataFrame:
-                s, c, p = (pdf[pdf["kind"] == k] for k in (1, 2, 0))
-                sid, cid = np.sort(s["a"].to_numpy()), np.sort(c["a"].to_numpy())
-                x = np.stack(s.sort_values("a")["vec"].to_list()) if len(s) else np.zeros((0, dim))
-                y = np.stack(c.sort_values("a")["vec"].to_list()) if len(c) else np.zeros((0, dim))
-                if len(p) and len(x) and len(y):
-                    p = p.sort_values(["a", "b"])
-                    i, j, n = np.searchsorted(sid, p["a"]), np.searchsorted(cid, p["b"]), p["n"].to_numpy()
-                    rng = np.random.default_rng([seed, epoch, shift, len(p)])
-                    for part in np.array_split(rng.permutation(len(p)), max(1, len(p) // 256)):
-                        for target, cols in [(1.0, j[part]), *[(0.0, rng.integers(0, len(y), len(part))) for _ in range(negatives)]]:
-                            a, b = x[i[part]], y[cols]
-                            g = step * np.minimum(n[part], 5) * (target - 1 / (1 + np.exp(-np.clip((a * b).sum(1), -30, 30))))
-                            np.add.at(x, i[part], g[:, None] * b)
-                            np.add.at(y, cols, g[:, None] * a)
-                        np.clip(x, -8, 8, out=x)
-                        np.clip(y, -8, 8, out=y)
-                return pd.DataFrame({"kind": [1] * len(sid) + [2] * len(cid), "v": np.r_[sid, cid].astype(np.int64), "vec": [*x, *y]})
-
+            train = _trainer(rate / (1 + epoch), [seed, epoch, shift], dim, negatives)
             moved = store.keep(todo.union(s).union(c).groupBy("i").applyInPandas(train, "kind int, v long, vec array<double>"))
             source = moved.where("kind = 1").select("v", "vec").withColumn("b", place("v"))
             context = moved.where("kind = 2").select("v", "vec").withColumn("b", place("v"))
     return source.select("v", F.transform("vec", lambda x: x.cast("float")).alias("vec"))
 
 
+def _trainer(step: float, seeds: list[int], dim: int, negatives: int):
+    """Trains the vectors of one source and one context block on the pairs between them."""
+
+    def train(pdf: pd.DataFrame) -> pd.DataFrame:
+        s, c, p = (pdf[pdf["kind"] == k] for k in (1, 2, 0))
+        sid, cid = np.sort(s["a"].to_numpy()), np.sort(c["a"].to_numpy())
+        x = np.stack(s.sort_values("a")["vec"].to_list()) if len(s) else np.zeros((0, dim))
+        y = np.stack(c.sort_values("a")["vec"].to_list()) if len(c) else np.zeros((0, dim))
+        if len(p) and len(x) and len(y):
+            p = p.sort_values(["a", "b"])
+            i, j, n = np.searchsorted(sid, p["a"]), np.searchsorted(cid, p["b"]), p["n"].to_numpy()
+            rng = np.random.default_rng([*seeds, len(p)])
+            for part in np.array_split(rng.permutation(len(p)), max(1, len(p) // 256)):
+                for target, cols in [(1.0, j[part]), *[(0.0, rng.integers(0, len(y), len(part))) for _ in range(negatives)]]:
+                    a, b = x[i[part]], y[cols]
+                    g = step * np.minimum(n[part], 5) * (target - 1 / (1 + np.exp(-np.clip((a * b).sum(1), -30, 30))))
+                    np.add.at(x, i[part], g[:, None] * b)
+                    np.add.at(y, cols, g[:, None] * a)
+                np.clip(x, -8, 8, out=x)
+                np.clip(y, -8, 8, out=y)
+        return pd.DataFrame({"kind": [1] * len(sid) + [2] * len(cid), "v": np.r_[sid, cid].astype(np.int64), "vec": [*x, *y]})
+
+    return train
+
+
 def lookup(embedding: DataFrame, vertices: DataFrame) -> DataFrame:
     return vertices.join(embedding, "v")
 

@@ -6,7 +6,8 @@ the order of paths, a node is a common prefix of paths, and its leaves are an in
 
 from __future__ import annotations
 
-from collections.abc import Callable
+import bisect
+import os
 
 import numpy as np
 import pandas as pd
@@ -134,12 +135,13 @@ def build_tree(dissim: DataFrame, vertices: DataFrame, method: str = "hybrid", e
     if n > exact_limit:
         raise ValueError(f"{n} vertices exceed the limit {exact_limit} of the exact tree; use bisect_tree")
     rows = dissim.select("u", "v", "delta").unionByName(vertices.select(F.col("v").alias("u"), "v", F.lit(0.0).alias("delta")))
+    rows = rows.withColumn("all", F.lit(0))
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
         ids = np.unique(np.r_[pdf["u"], pdf["v"]])
         return pd.DataFrame({"v": ids, "path": leaf_paths(square(ids, pdf["u"], pdf["v"], pdf["delta"]), method)})
 
-    return rows.groupBy(F.lit(0)).applyInPandas(work, "v long, path string")
+    return rows.groupBy("all").applyInPandas(work, "v long, path string")
 
 
 def bisect_tree(matrices: DataFrame, block: int = 256, method: str = "hybrid", seed: str = "1") -> DataFrame:
@@ -215,29 +217,45 @@ def median_order(vectors: DataFrame) -> DataFrame:
 
 def rank_lca(i: Column, j: Column, n: Column) -> Column:
     """Leaves under the lowest common ancestor of two ordinals in the rank tree of n leaves: a shared bit prefix."""
-    span = F.shiftleft(F.lit(1).cast("long"), F.length(F.bin(i.bitwiseXOR(j))).cast("int"))
+    span = F.pow(F.lit(2.0), F.length(F.bin(i.bitwiseXOR(j)))).cast("long")
     low = F.floor(i / span) * span
     return F.when(i == j, F.lit(1)).otherwise(F.least(n, low + span) - low).cast("long")
 
 
-def lca_sizes(paths: list[str]) -> np.ndarray:
-    """Leaves under the lowest common ancestor of each pair of leaves given by paths."""
-    order = sorted(range(len(paths)), key=lambda i: paths[i])
-    size = np.ones((len(paths), len(paths)), np.int64)
-    stack = [(0, len(order), 0)]
+def splits(paths: list[str]) -> list[tuple[list[int], list[int], int]]:
+    """(left leaves, right leaves, depth) of each inner node above some leaves, by indices into paths."""
+    order, out = sorted(range(len(paths)), key=lambda i: paths[i]), []
+    stack = [(0, len(order))]
     while stack:
-        lo, hi, depth = stack.pop()
+        lo, hi = stack.pop()
         if hi - lo < 2:
             continue
-        mid = next((k for k in range(lo, hi) if paths[order[k]][depth : depth + 1] == "1"), hi)
-        if mid in (lo, hi):
-            raise ValueError("a node of one child")
-        a, b = order[lo:mid], order[mid:hi]
-        size[np.ix_(a, b)] = size[np.ix_(b, a)] = hi - lo
-        stack += [(lo, mid, depth + 1), (mid, hi, depth + 1)]
+        first, last = paths[order[lo]], paths[order[hi - 1]]
+        depth = len(os.path.commonprefix([first, last]))
+        if depth == len(first):
+            raise ValueError("a leaf above another")
+        mid = bisect.bisect_left(order, last[: depth + 1], lo, hi, key=lambda i: paths[i])
+        out.append((order[lo:mid], order[mid:hi], depth))
+        stack += [(lo, mid), (mid, hi)]
+    return out
+
+
+def lca_sizes(paths: list[str]) -> np.ndarray:
+    """Leaves under the lowest common ancestor of each pair of leaves given by paths."""
+    size = np.ones((len(paths), len(paths)), np.int64)
+    for a, b, _ in splits(paths):
+        size[np.ix_(a, b)] = size[np.ix_(b, a)] = len(a) + len(b)
     return size
 
 
+def common_depth(paths: list[str]) -> np.ndarray:
+    """Length of the common prefix of each pair of paths."""
+    out = np.array([[len(p)] * len(paths) for p in paths])
+    for a, b, depth in splits(paths):
+        out[np.ix_(a, b)] = out[np.ix_(b, a)] = depth
+    return out
+
+
 def lca_leaves(leaves: DataFrame, pairs: DataFrame) -> DataFrame:
     """(u, v, leaves) of pairs: the smallest node that holds both, found among the nodes above u."""
     placed = ordinals(leaves).select("v", "path", "ordinal")
@@ -246,6 +264,3 @@ def lca_leaves(leaves: DataFrame, pairs: DataFrame) -> DataFrame:
     above = above.select("u", "v", "o", F.explode(cut).alias("path"))
     inside = above.join(nodes(leaves).select("path", "lo", "hi", "size"), "path").where("o >= lo and o < hi")
     return inside.groupBy("u", "v").agg(F.min("size").alias("leaves"))
-
-
-Kernel = Callable[[np.ndarray], list[str]]

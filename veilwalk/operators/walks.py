@@ -16,7 +16,8 @@ from veilwalk.functions.draws import unit
 from veilwalk.operators.encoder import encode
 from veilwalk.plans.lineage import Store
 
-EVERY = 4
+#: Rounds between two tables.
+EVERY = 8
 LOCAL_EDGES = 2_000_000
 
 
@@ -44,7 +45,8 @@ def true_walks(adjacency: DataFrame, cfg: WalkConfig, pools: DataFrame | None =
     )
     ended = []
     for step in range(cfg.length):
-        moved = state.where("left > 0").join(adj, F.col("at") == F.col("v"))
+        open_ = F.col("left") > 0
+        moved = state.join(adj, open_ & (F.col("at") == F.col("v")), "left")
         pick = F.floor(unit(cfg.seed, "step", "walk_id", "left", rng=cfg.rng) * F.col("deg")).cast("int") + 1
         moved = moved.withColumn("u", F.element_at("nbrs", pick)).drop("v", "nbrs", "deg")
         fired = jumped = F.lit(False)
@@ -59,17 +61,18 @@ def true_walks(adjacency: DataFrame, cfg: WalkConfig, pools: DataFrame | None =
         second = F.col("u") if cfg.jump_emits == "intermediate" else to
         left = F.col("left") - F.when(jumped, 2).otherwise(1)
         sends = (left > 0) if cfg.charge_final_jump else (left > 0) & ~(jumped & (left <= 2))
+        stay = lambda name, new: F.when(open_, new).otherwise(F.col(name)).alias(name)
         state = moved.select(
-            "walk_id", "start", "rep", to.alias("at"), left.alias("left"),
-            F.concat("seq", F.when(jumped, F.array(F.col("u"), second)).otherwise(F.array("u"))).alias("seq"),
-            (F.col("hops") + sends.cast("int")).alias("hops"), (F.col("jumps") + jumped.cast("int")).alias("jumps"),
-            (F.col("pool_empty") + (fired & ~jumped).cast("int")).alias("pool_empty"),
+            "walk_id", "start", "rep", stay("at", to), stay("left", left),
+            stay("seq", F.concat("seq", F.when(jumped, F.array(F.col("u"), second)).otherwise(F.array("u")))),
+            stay("hops", F.col("hops") + sends.cast("int")), stay("jumps", F.col("jumps") + jumped.cast("int")),
+            stay("pool_empty", F.col("pool_empty") + (fired & ~jumped).cast("int")),
         )
-        ends = step == cfg.length - 1 or (pool is not None and 2 * (step + 1) >= cfg.length)
-        if ends or step % EVERY == EVERY - 1:
+        if step % EVERY == EVERY - 1 or step == cfg.length - 1:
             state = store.keep(state)
-        if ends:
-            ended.append(state.where("left <= 0"))
+            if 2 * (step + 1) >= cfg.length:
+                ended.append(state.where("left <= 0"))
+                state = state.where("left > 0")
     out = ended[0]
     for more in ended[1:]:
         out = out.union(more)
