@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from veilwalk.llm.common import Scratch, arrow_map, numbered, texts
+from veilwalk.llm.common import Scratch, arrow_map, numbered
 from veilwalk.llm.tokens import default_path, encoder
 
 CAPACITY = 2048
@@ -104,16 +104,13 @@ def plan(counts: dict[int, int], capacity: int = CAPACITY) -> tuple[np.ndarray,
 def pieces(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, capacity: int = CAPACITY) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32): whole documents, and pieces of those longer than the capacity."""
     path = path or default_path(VOCABULARY)
-    end = np.array([END_ID], "<u4").tobytes()
-
     def run(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         out: list[tuple] = []
-        for doc, ids in zip(b.column(0).to_pylist(), encoder(path).encode_many(texts(b.column(1))), strict=True):
-            ids += end
-            n = len(ids) // 4
+        for doc, ids in zip(b.column(0).to_pylist(), encoder(path).encode_column(b.column(1), END_ID), strict=True):
+            n = len(ids)
             cuts = [0, *range(n % capacity or capacity, n + 1, capacity)] if n > capacity else [0, n]
             for k, (s, e) in enumerate(zip(cuts, cuts[1:], strict=False)):
-                out.append((doc, k, s, e - s, zlib.crc32(ids[4 * s : 4 * e])))
+                out.append((doc, k, s, e - s, zlib.crc32(ids[s:e])))
         cols = list(zip(*out, strict=True)) or [()] * 5
         kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
         names = ["doc_id", "piece", "start", "length", "ids_crc32"]

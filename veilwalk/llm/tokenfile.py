@@ -23,7 +23,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from veilwalk.llm.common import Scratch, arrow_map, texts
+from veilwalk.llm.common import Scratch, arrow_map
 from veilwalk.llm.tokens import default_path, encoder
 
 VOCABULARY = "word_bpe_49k.json"
@@ -94,12 +94,10 @@ def put_file(uri: str, content: bytes) -> None:
 
 def tokenized(docs: DataFrame, id_col: str, text_col: str, path: str) -> DataFrame:
     """(doc_id, n, ids): ids with the end id as little-endian 16-bit integers where the vocabulary allows it."""
-    end = np.array([END_ID], "<u4").tobytes()
-
     def run(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, fold_ascii=True)
         width = "<u2" if enc.whole.get_vocab_size() <= 1 << 16 else "<u4"
-        ids = [np.frombuffer(x + end, "<u4") for x in enc.encode_many(texts(b.column(1)))]
+        ids = enc.encode_column(b.column(1), END_ID)
         cols = [b.column(0), pa.array([len(x) for x in ids], pa.int64()), pa.array([x.astype(width).tobytes() for x in ids], pa.binary())]
         yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n", "ids"])
 

@@ -3,7 +3,8 @@ tokenizer never joins, and the ids of frequent chunks are remembered in each wor
 
 Chunks end before a single space that stands between two characters which are not white space. Both vocabularies
 start a new pre-token there, so ids of chunks laid end to end are ids of the text; texts with other white space
-before a space go through the tokenizer whole.
+beside a space go through the tokenizer whole. Arrow splits a batch and numbers its distinct chunks, the tokenizer
+sees those that are new, and numpy lays out the ids.
 """
 
 from __future__ import annotations
@@ -11,17 +12,24 @@ from __future__ import annotations
 import os
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 #: Chunks remembered by one worker, in each of two generations; a full one replaces the older.
-REMEMBERED = 450_000
+REMEMBERED = 300_000
 #: Longest chunk worth remembering, in characters.
 LONGEST = 40
+#: Bytes of text that are laid out together.
+PART = 10_000_000
 #: The special token that separates chunks encoded together: text on its two sides is tokenized apart.
 APART = "<|endoftext|>"
-#: Marks the first chunk of a text; no other holds a space.
-FIRST = " "
+#: Marks the first chunk of a text, which has no space before it; texts that hold it go whole.
+FIRST = "\x02"
+#: Marks a full stop or comma that ends a word before a space, a pre-token of its own in both vocabularies.
+MARK = "\x01"
+ENDING = r"([A-Za-z\x{C0}-\x{D6}\x{D8}-\x{F6}\x{F8}-\x{FF}])([.,]) "
 
 
 def default_path(name: str) -> str:
@@ -31,7 +39,7 @@ def default_path(name: str) -> str:
 
 
 class ChunkEncoder:
-    """Ids of texts as little-endian unsigned 32-bit bytes, equal to encoding each whole text with the tokenizers library."""
+    """Ids of texts, equal to encoding each whole text with the tokenizers library."""
 
     def __init__(self, path: str, fold_ascii: bool = False):
         from tokenizers import Tokenizer
@@ -40,60 +48,105 @@ class ChunkEncoder:
         self.whole.encode_special_tokens = True
         self.apart = Tokenizer.from_file(path)
         self.apart_id = self.apart.token_to_id(APART)
+        self.lengths = np.zeros(self.apart.get_vocab_size(), np.int64)  # bytes of each token
+        for token, i in self.apart.get_vocab().items():
+            self.lengths[i] = len(token.removesuffix("</w>"))
         self.fold = fold_ascii
-        self.seen: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
+        self.seen: dict[str, bytes | None] = {FIRST: b""}
+        self.older: dict[str, bytes | None] = {}
 
-    def encode_whole(self, text: str) -> bytes:
-        return np.array(self.whole.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4").tobytes()
+    def encode_whole(self, text: str) -> np.ndarray:
+        return np.array(self.whole.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4")
 
     def _encode(self, parts: list[str]) -> list[bytes]:
+        """Ids of chunks: they are encoded end to end and told apart by the lengths of their bytes and of the tokens'."""
         out: list[bytes] = []
-        for at in range(0, len(parts), 1000):
-            text = APART.join(parts[at : at + 1000])
-            ids = np.array(self.apart.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4")
-            data, cuts = ids.tobytes(), (np.flatnonzero(ids == self.apart_id) * 4).tolist()
-            out += [data[s:e] for s, e in zip([0, *[c + 4 for c in cuts]], [*cuts, len(data)], strict=True)]
+        for at in range(0, len(parts), 2000):
+            some = parts[at : at + 2000]
+            ids = np.array(self.apart.encode_batch_fast(["".join(some)], add_special_tokens=False)[0].ids, "<u4")
+            texts = ["".join(w.split()) for w in some] if self.fold else some  # this vocabulary drops white space
+            ends = np.cumsum(np.fromiter(map(len, map(str.encode, texts)), np.int64, len(some)))
+            token_ends = np.cumsum(self.lengths[ids])
+            cuts = np.searchsorted(token_ends, ends)
+            if len(ids) and token_ends[-1] == ends[-1] and (token_ends[np.minimum(cuts, len(ids) - 1)] == ends).all():
+                data, cuts = ids.tobytes(), ((cuts + 1) * 4).tolist()
+                out += [data[s:e] for s, e in zip([0, *cuts[:-1]], cuts, strict=True)]
+            else:
+                out += self._encode_apart(some)
         return out
 
-    @staticmethod
-    def unsafe(chunk: str) -> bool:
-        word = chunk.removeprefix(FIRST)
-        return not word or word != word.strip() or APART in word
-
-    def encode_many(self, texts: list[str]) -> list[bytes]:
-        """Keys are chunks without the space before them; the first chunk of a text, which has none, is marked."""
-        out: list[bytes] = [b""] * len(texts)
-        for at in range(0, len(texts), 256):
-            split: list[tuple[int, list[str]]] = []
-            for i in range(at, min(at + 256, len(texts))):
-                t = texts[i]
-                if self.fold:
-                    t = t.lower() if t.isascii() else t.encode("utf-8").lower().decode("utf-8")
-                if t:
-                    chunks = t.split(" ")
-                    chunks[0] = FIRST + chunks[0]
-                    split.append((i, chunks))
-            if len(self.seen) > REMEMBERED:
-                self.older, self.seen = self.seen, {}
-            seen, older = self.seen, self.older
-            new = set().union(*(c for _, c in split)).difference(seen)
-            if older:
-                again = new.intersection(older)
-                seen.update((w, older[w]) for w in again)
-                new -= again
-            if bad := {w for w in new if self.unsafe(w)}:
-                for i, _ in (x for x in split if not bad.isdisjoint(x[1])):
-                    out[i] = self.encode_whole(texts[i])
-                split = [x for x in split if bad.isdisjoint(x[1])]
-                new = set().union(*(c for _, c in split)).difference(seen)
-            fresh = list(new)
-            seen.update(zip(fresh, self._encode([w[1:] if w[0] == FIRST else " " + w for w in fresh]), strict=True))
-            for i, c in split:
-                out[i] = b"".join(map(seen.__getitem__, c))
-            for w in fresh:
-                if len(w) > LONGEST:
-                    del seen[w]
+    def _encode_apart(self, parts: list[str]) -> list[bytes]:
+        """The same with a special token between chunks: for texts whose letters the tokenizer changes."""
+        ids = np.array(self.apart.encode_batch_fast([APART.join(parts)], add_special_tokens=False)[0].ids, "<u4")
+        data, cuts = ids.tobytes(), (np.flatnonzero(ids == self.apart_id) * 4).tolist()
+        return [data[s:e] for s, e in zip([0, *[c + 4 for c in cuts]], [*cuts, len(data)], strict=True)]
+
+    def _ids_of(self, chunks: list[str]) -> list[bytes | None]:
+        """Ids of distinct chunks; None for those that cannot stand alone."""
+        if len(self.seen) > REMEMBERED:
+            self.older, self.seen = self.seen, {FIRST: b""}
+        seen, older = self.seen, self.older
+        new = [w for w in chunks if w not in seen]
+        found: dict[str, bytes | None] = {}
+        fresh, heads = [], []
+        for w in new:
+            if w in older:
+                seen[w] = older[w]
+                continue
+            bare = w[:1] in (FIRST, MARK)
+            word = w[1:] if bare else w
+            if not word or word != word.strip() or APART in word:
+                found[w] = None
+            else:
+                (heads if bare else fresh).append(w)
+        found.update(zip(fresh, self._encode([" " + w for w in fresh]), strict=True))
+        if heads:
+            found.update(zip(heads, self._encode_apart([w[1:] for w in heads]), strict=True))
+        seen.update((w, v) for w, v in found.items() if len(w) <= LONGEST)
+        return [seen[w] if w in seen else found[w] for w in chunks]
+
+    def encode_column(self, column: pa.Array, end_id: int) -> list[np.ndarray]:
+        """Ids of each text with the end id after them, as unsigned 32-bit arrays; nulls are empty."""
+        column = pc.fill_null(column.cast(pa.large_utf8()), "")
+        sizes, out, at = np.cumsum(pc.binary_length(column).to_numpy(zero_copy_only=False)), [], 0
+        while at < len(column):
+            done = sizes[at - 1] if at else 0
+            to = max(at + 1, int(np.searchsorted(sizes, done + PART)))
+            out += self._part(column.slice(at, to - at), end_id)
+            at = to
+        return out
+
+    def encode_many(self, texts: list[str], end_id: int = 0) -> list[np.ndarray]:
+        return self.encode_column(pa.array(texts, pa.large_utf8()), end_id)
+
+    def _part(self, column: pa.Array, end_id: int) -> list[np.ndarray]:
+        texts = pc.ascii_lower(column) if self.fold else column
+        odd = pc.or_(pc.match_substring_regex(texts, f"[{FIRST}{MARK}]"), pc.starts_with(texts, " ")).to_numpy(zero_copy_only=False)
+        texts = pc.replace_substring_regex(texts, ENDING, rf"\1 {MARK}\2 ")
+        marked = pc.binary_join_element_wise(pa.scalar(FIRST, pa.large_utf8()), texts, pa.scalar("", pa.large_utf8()))
+        lists = pc.split_pattern(marked, " ")
+        coded = lists.flatten().dictionary_encode()
+        index = coded.indices.to_numpy()
+        ids = self._ids_of(coded.dictionary.to_pylist())
+        ends = np.cumsum(lists.value_lengths().to_numpy())
+        unsafe = np.fromiter((v is None for v in ids), bool, len(ids))
+        if unsafe.any():
+            odd = odd | (np.add.reduceat(unsafe[index], np.r_[0, ends[:-1]]) > 0)
+        ids = [v or b"" for v in ids]
+        sizes = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+        flat = np.frombuffer(b"".join([*ids, np.array([end_id], "<u4").tobytes()]), "<u4")
+        sizes = np.r_[sizes, 1]
+        first = (np.cumsum(sizes) - sizes).astype(np.int32)
+        index = np.insert(index, ends, len(ids))  # the end id is one more chunk of each text
+        n = sizes[index]
+        upto = np.cumsum(n)
+        place = np.repeat(first[index] - (upto - n).astype(np.int32), n)
+        place += np.arange(len(place), dtype=np.int32)
+        laid = flat[place]
+        cuts = upto[ends + np.arange(len(ends))]
+        out = [laid[s:e] for s, e in zip(np.r_[0, cuts[:-1]].tolist(), cuts.tolist(), strict=True)]
+        for i in np.flatnonzero(odd):
+            out[i] = np.r_[self.encode_whole(column[int(i)].as_py()), np.array([end_id], "<u4")].astype("<u4")
         return out
 
 
