@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -48,10 +49,8 @@ def score_gap(score: float, against: float) -> dict[str, float]:
 
 def f1_summary_udf():
     """Grouped pandas aggregate twin of f1 over summed counts."""
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
 
-    @pandas_udf("double")
+    @F.pandas_udf("double")
     def f1_of(tp: pd.Series, fp: pd.Series, fn: pd.Series) -> float:
         a = 2.0 * tp.sum()
         b = a + fp.sum() + fn.sum()

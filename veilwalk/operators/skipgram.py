@@ -28,7 +28,7 @@ def skipgram(walks: DataFrame, dim: int, window: int, seed: int = 1, iterations:
     return found.select(F.col("word").cast("long").alias("v"), vector_to_array("vector", "float32").alias("vec"))
 
 
-def skipgram_blocks(cooc: DataFrame, dim: int, blocks: int = 4, epochs: int = 3, negatives: int = 5, rate: float = 0.25, seed: int = 1) -> DataFrame:
+def skipgram_blocks(cooc: DataFrame, dim: int, blocks: int = 4, epochs: int = 3, negatives: int = 5, rate: float = 0.1, seed: int = 1) -> DataFrame:
     """(v, vec) from co-occurrence counts (a, b, n), by block-parallel training with negative samples.
 
     Source and context vectors are tables of blocks. In each of an epoch's rounds every task trains one source block
