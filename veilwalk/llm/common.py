@@ -76,6 +76,7 @@ def arrow_map(df: DataFrame, batch: Callable[[pa.RecordBatch], Iterator[pa.Recor
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             yield from batch(b)
+        pa.default_memory_pool().release_unused()  # workers outlive their tasks
 
     return df.mapInArrow(run, schema)
 

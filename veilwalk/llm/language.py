@@ -16,7 +16,6 @@ are labelled each on their own.
 from __future__ import annotations
 
 import re
-import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -33,7 +32,9 @@ BUCKETS = 1 << 16
 SAMPLE = 1500
 PENALTY = 12.0
 FLOOR = -40.0
-REMEMBERED = 400_000
+REMEMBERED = 250_000
+#: Multipliers of the n-gram hashes.
+G1, G2, G3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0xD6E8FEB86659FD93)
 WORD = re.compile(r"[^\W\d_]+")
 #: First code point, last code point, script.
 SCRIPTS = (
@@ -46,6 +47,8 @@ SCRIPTS = (
 
 def script(word: str) -> str:
     """Script of the first letter that a range covers."""
+    if "a" <= word[:1] <= "z":
+        return "latin"
     for c in word:
         n = ord(c)
         for lo, hi, name in SCRIPTS:
@@ -54,10 +57,27 @@ def script(word: str) -> str:
     return "other"
 
 
-def grams(word: str) -> list[int]:
-    """Buckets of the two- and three-letter n-grams of a lower-case word with its ends marked."""
-    w = f"<{word}>"
-    return [zlib.crc32(w[i : i + n].encode("utf-8", "replace")) & (BUCKETS - 1) for n in (2, 3) for i in range(len(w) - n + 1)]
+def grams(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Buckets of the two- and three-letter n-grams of lower-case words with their ends marked.
+
+    Both are arrays over all letters of all words, end marks included, with -1 where a word ends first; the third array
+    holds the words' starts.
+    """
+    codes = np.frombuffer(("<" + "><".join(words) + ">").encode("utf-32-le", "surrogatepass"), "<u4").astype(np.uint64)
+    sizes = np.fromiter(map(len, words), np.int64, len(words)) + 2
+    ends = np.cumsum(sizes)
+    two, three = np.full(len(codes), -1, np.int64), np.full(len(codes), -1, np.int64)
+    h = codes[:-1] * G1 + codes[1:]
+    two[:-1] = _bucket(h)
+    three[:-2] = _bucket(h[:-1] * G2 + codes[2:])
+    two[ends - 1] = -1
+    three[ends - 1] = three[ends - 2] = -1
+    return two, three, ends - sizes
+
+
+def _bucket(h: np.ndarray) -> np.ndarray:
+    h = h * G3
+    return ((h ^ h >> np.uint64(31)) & np.uint64(BUCKETS - 1)).astype(np.int64)
 
 
 @dataclass
@@ -68,13 +88,18 @@ class Model:
     logp: np.ndarray
     scripts: dict[str, np.ndarray]
 
-    def score(self, word: str) -> np.ndarray:
-        """Scores of a lower-case word; languages that do not use its script have the floor."""
-        usable = self.scripts.get(script(word))
-        if usable is None:
-            return np.zeros(len(self.langs))
-        own = self.logp[grams(word)].sum(0) / 2
-        return np.where(usable, np.maximum(own - own[usable].max(), FLOOR), FLOOR)
+    def score(self, words: list[str]) -> np.ndarray:
+        """Scores of lower-case words by language; languages that do not use a word's script have the floor."""
+        if not words:
+            return np.zeros((0, len(self.langs)))
+        padded = np.concatenate([self.logp, np.zeros((1, len(self.langs)))])  # row -1 adds nothing
+        two, three, starts = grams(words)
+        own = np.add.reduceat(padded[two] + padded[three], starts, axis=0) / 2
+        kinds = [script(w) for w in words]
+        names = sorted(set(kinds))
+        known = np.stack([self.scripts.get(k, np.zeros(len(self.langs), bool)) for k in names])[np.fromiter(map(names.index, kinds), np.int64, len(kinds))]
+        own -= np.where(known, own, -np.inf).max(1, keepdims=True, initial=-1e300)
+        return np.where(known.any(1, keepdims=True), np.where(known, np.maximum(own, FLOOR), FLOOR), 0.0)
 
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample: int = SAMPLE) -> Model:
@@ -99,9 +124,14 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
                 words: dict[str, int] = {}
                 for w in WORD.findall(text.lower()):
                     words[w] = words.get(w, 0) + 1
+                if not words:
+                    continue
                 t = total.setdefault(lang, np.zeros(BUCKETS, np.int64))
+                two, three, starts = grams(list(words))
+                n = np.repeat(list(words.values()), np.diff(np.r_[starts, len(two)]))
+                for g in (two, three):
+                    t += np.bincount(g[g >= 0], n[g >= 0], BUCKETS).astype(np.int64)
                 for w, n in words.items():
-                    np.add.at(t, grams(w), n)
                     key = (lang, script(w))
                     seen[key] = seen.get(key, 0) + n * len(w)
             for lang, t in total.items():
@@ -141,30 +171,35 @@ class Tagger:
 
     def rows(self, words: list[str]) -> np.ndarray:
         index = self.index
-        for w in set(words).difference(index):
-            k = len(index)
-            if k == len(self.scores):
-                self.scores = np.concatenate([self.scores, np.zeros_like(self.scores)])
-            self.scores[k] = self.model.score(w)
-            index[w] = k
+        new = list(set(words).difference(index))
+        k = len(index)
+        while k + len(new) > len(self.scores):
+            self.scores = np.concatenate([self.scores, np.zeros_like(self.scores)])
+        for at in range(0, len(new), 20_000):
+            self.scores[k + at : k + min(at + 20_000, len(new))] = self.model.score(new[at : at + 20_000])
+        index.update(zip(new, range(k, k + len(new)), strict=True))
         return np.fromiter(map(index.__getitem__, words), np.int64, len(words))
 
     def viterbi(self, e: np.ndarray) -> np.ndarray:
         """The best path through scores e (words by languages) where each change costs the penalty."""
-        n, k = e.shape
+        n = len(e)
         if not n:
             return np.zeros(0, np.int64)
-        back = np.zeros((n, k), np.int16)
-        best, own = e[0].copy(), np.arange(k)
-        for i in range(1, n):
-            top = int(best.argmax())
-            change = best[top] - self.penalty > best
-            back[i] = np.where(change, top, own)
-            best = np.where(change, best[top] - self.penalty, best) + e[i]
+        penalty, back = self.penalty, []
+        best = e[0].tolist()
+        for row in e[1:].tolist():
+            top = max(best)
+            least = top - penalty
+            back.append((best.index(top), [b < least for b in best]))
+            best = [(least if b < least else b) + x for b, x in zip(best, row, strict=True)]
+        at = best.index(max(best))
         path = np.zeros(n, np.int64)
-        path[-1] = best.argmax()
-        for i in range(n - 1, 0, -1):
-            path[i - 1] = back[i, path[i]]
+        path[-1] = at
+        for i in range(n - 2, -1, -1):
+            top, changed = back[i]
+            if changed[at]:
+                at = top
+            path[i] = at
         return path
 
     def paths(self, e: np.ndarray, ends: np.ndarray) -> np.ndarray:
