@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from veilwalk.config import WalkConfig
@@ -27,43 +27,66 @@ def seeds(starts: DataFrame, per_vertex: int) -> DataFrame:
     return starts.select(F.col("v").alias("start"), reps.alias("rep")).select((F.col("start") * per_vertex + F.col("rep")).alias("walk_id"), "start", "rep")
 
 
-def true_walks(adjacency: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None, starts: DataFrame | None = None) -> DataFrame:
-    """(walk_id, start, rep, seq, hops, jumps, pool_empty): walks of true vertices.
+def indexed_edges(graph: DataFrame, pools: DataFrame | None) -> DataFrame:
+    """(v, i, u, du, pu): the i-th neighbour u of v, u's degree and the size of u's pool.
 
-    Each round moves every open walk one step by a join on its vertex. A step emits a neighbour u. With more than two
-    left to emit and a draw below the jump probability, it also emits a vertex u' of u's pool and goes there at once;
-    an empty pool leaves the step as it is. All rounds are expressions over deterministic draws, so a task that runs
-    again repeats its walks; a table every few rounds keeps plans short.
+    graph is an adjacency, or edges (v, u), whose hubs then never form an array. A walk at a hub needs one row of it,
+    and walks at one hub need different rows, so hubs are no hot keys.
     """
-    store = Store(adjacency.sparkSession, "walks")
-    adj = store.keep(adjacency.select("v", "nbrs", "deg"))
-    pool = None if pools is None or not cfg.jump else store.keep(pools.select(F.col("u").alias("_u"), "pool"))
-    begin = adj.select("v") if starts is None else starts.select("v").join(adj.select("v"), "v", "left_semi")
-    state = seeds(begin, cfg.per_vertex).select(
-        "walk_id", "start", "rep", F.col("start").alias("at"), F.lit(cfg.length).alias("left"), F.array().cast("array<long>").alias("seq"),
+    if "nbrs" in graph.columns:
+        rows = graph.select("v", F.posexplode("nbrs").alias("i", "u"))
+    else:
+        rows = graph.select("v", (F.row_number().over(Window.partitionBy("v").orderBy("u")) - 1).alias("i"), "u")
+    deg = rows.groupBy(F.col("v").alias("u")).agg(F.count("*").alias("du"))
+    rows = rows.join(deg, "u")
+    if pools is None:
+        return rows.select("v", F.col("i").cast("long").alias("i"), "u", "du", F.lit(0).cast("long").alias("pu"))
+    sizes = pools.select("u", F.size("pool").cast("long").alias("pu"))
+    return rows.join(sizes, "u", "left").select("v", F.col("i").cast("long").alias("i"), "u", "du", F.coalesce("pu", F.lit(0)).alias("pu"))
+
+
+def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None, starts: DataFrame | None = None) -> DataFrame:
+    """(walk_id, start, rep, seq, hops, jumps, pool_empty): walks of true vertices over an adjacency or edges.
+
+    Each round moves every open walk one step: it draws the number of its next neighbour and is joined with that one
+    row. A step emits a neighbour u. With more than two left to emit and a draw below the jump probability, it also
+    emits a vertex u' of u's pool and goes there at once; an empty pool leaves the step as it is. All rounds are
+    expressions over deterministic draws, so a task that runs again repeats its walks; a table every few rounds keeps
+    plans short.
+    """
+    store = Store(graph.sparkSession, "walks")
+    pools = None if not cfg.jump else pools
+    edges = store.keep(indexed_edges(graph, pools))
+    deg = edges.groupBy("v").agg(F.count("*").alias("deg"))
+    jumps = None
+    if pools is not None:
+        held = pools.select(F.col("u").alias("_u"), F.posexplode("pool").alias("_j", "w"))
+        jumps = store.keep(held.join(deg.select(F.col("v").alias("w"), F.col("deg").alias("dw")), "w").select("_u", F.col("_j").cast("long").alias("_j"), "w", "dw"))
+    begin = deg if starts is None else deg.join(starts.select("v"), "v", "left_semi")
+    first = seeds(begin.select("v"), cfg.per_vertex).join(begin.select(F.col("v").alias("start"), "deg"), "start")
+    state = first.select(
+        "walk_id", "start", "rep", F.col("start").alias("at"), "deg", F.lit(cfg.length).alias("left"), F.array().cast("array<long>").alias("seq"),
         F.lit(0).alias("hops"), F.lit(0).alias("jumps"), F.lit(0).alias("pool_empty"),
     )
     ended = []
     for step in range(cfg.length):
         open_ = F.col("left") > 0
-        moved = state.join(adj, open_ & (F.col("at") == F.col("v")), "left")
-        pick = F.floor(unit(cfg.seed, "step", "walk_id", "left", rng=cfg.rng) * F.col("deg")).cast("int") + 1
-        moved = moved.withColumn("u", F.element_at("nbrs", pick)).drop("v", "nbrs", "deg")
+        drawn = state.withColumn("_i", F.when(open_, F.floor(unit(cfg.seed, "step", "walk_id", "left", rng=cfg.rng) * F.col("deg"))))
+        moved = drawn.join(edges, (F.col("at") == F.col("v")) & (F.col("_i") == F.col("i")), "left").drop("v", "i", "_i")
         fired = jumped = F.lit(False)
-        to = F.col("u")
-        if pool is not None:
-            moved = moved.join(pool, F.col("u") == F.col("_u"), "left").drop("_u")
+        to, onward = F.col("u"), F.col("du")
+        if jumps is not None:
             fired = (F.col("left") > 2) & (unit(cfg.seed, "jump", "walk_id", "left", rng=cfg.rng) < cfg.jump)
-            size = F.coalesce(F.size("pool"), F.lit(0))
-            jumped = fired & (size > 0)
-            far = F.floor(unit(cfg.seed, "pool", "walk_id", "left", rng=cfg.rng) * size).cast("int") + 1
-            to = F.when(jumped, F.try_element_at("pool", far)).otherwise(F.col("u"))
+            jumped = fired & (F.col("pu") > 0)
+            far = F.floor(unit(cfg.seed, "pool", "walk_id", "left", rng=cfg.rng) * F.col("pu"))
+            moved = moved.withColumn("_f", F.when(jumped, far)).join(jumps, (F.col("u") == F.col("_u")) & (F.col("_f") == F.col("_j")), "left").drop("_u", "_j", "_f")
+            to, onward = F.when(jumped, F.col("w")).otherwise(F.col("u")), F.when(jumped, F.col("dw")).otherwise(F.col("du"))
         second = F.col("u") if cfg.jump_emits == "intermediate" else to
         left = F.col("left") - F.when(jumped, 2).otherwise(1)
         sends = (left > 0) if cfg.charge_final_jump else (left > 0) & ~(jumped & (left <= 2))
         stay = lambda name, new: F.when(open_, new).otherwise(F.col(name)).alias(name)
         state = moved.select(
-            "walk_id", "start", "rep", stay("at", to), stay("left", left),
+            "walk_id", "start", "rep", stay("at", to), stay("deg", onward), stay("left", left),
             stay("seq", F.concat("seq", F.when(jumped, F.array(F.col("u"), second)).otherwise(F.array("u")))),
             stay("hops", F.col("hops") + sends.cast("int")), stay("jumps", F.col("jumps") + jumped.cast("int")),
             stay("pool_empty", F.col("pool_empty") + (fired & ~jumped).cast("int")),
@@ -79,9 +102,9 @@ def true_walks(adjacency: DataFrame, cfg: WalkConfig, pools: DataFrame | None =
     return out.select("walk_id", "start", "rep", "seq", "hops", "jumps", "pool_empty")
 
 
-def uniform_walks(adjacency: DataFrame, cfg: WalkConfig, starts: DataFrame | None = None) -> DataFrame:
+def uniform_walks(graph: DataFrame, cfg: WalkConfig, starts: DataFrame | None = None) -> DataFrame:
     """The centralized baseline: no jumps, no substitution."""
-    return true_walks(adjacency, cfg.with_(jump=0.0), None, starts)
+    return true_walks(graph, cfg.with_(jump=0.0), None, starts)
 
 
 def substituted(walks: DataFrame, table: DataFrame | None, cfg: WalkConfig) -> DataFrame:
@@ -94,8 +117,8 @@ def substituted(walks: DataFrame, table: DataFrame | None, cfg: WalkConfig) -> D
     return walks.drop("seq").join(seq, "walk_id").select("walk_id", "start", "rep", "seq", "hops", "jumps", "pool_empty")
 
 
-def private_walks(adjacency: DataFrame, table: DataFrame | None, pools: DataFrame | None, cfg: WalkConfig, starts: DataFrame | None = None) -> DataFrame:
-    return substituted(true_walks(adjacency, cfg, pools, starts), table, cfg)
+def private_walks(graph: DataFrame, table: DataFrame | None, pools: DataFrame | None, cfg: WalkConfig, starts: DataFrame | None = None) -> DataFrame:
+    return substituted(true_walks(graph, cfg, pools, starts), table, cfg)
 
 
 def local_walks(adjacency: DataFrame, cfg: WalkConfig, starts: DataFrame | None = None, ret: float = 1.0, inout: float = 1.0) -> DataFrame:

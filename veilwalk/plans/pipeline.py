@@ -93,10 +93,9 @@ def fit_private(edges: DataFrame, cfg: WalkConfig, backend: str = "mllib", parts
     store = Store(edges.sparkSession, "private")
     parts = parts or build_tree_parts(edges, cfg, allow_over_bound)
     law, pools = laws(parts, cfg)
-    adjacency = store.keep(graphs.adjacency(edges))
     if cfg.exact_two_hop:
-        pools = predictor.exact_pool(adjacency)
-    corpus = store.keep(walks.private_walks(adjacency, law, pools, cfg))
+        pools = predictor.exact_pool(graphs.adjacency(edges))
+    corpus = store.keep(walks.private_walks(edges, law, pools, cfg))
     ledger = cost.privacy_ledger(corpus, cfg.eps_degree, cfg.eps_walk, parts.k, cfg.sensitivity)
     return FitResult(embed(corpus, cfg, backend), corpus, parts, ledger)
 
@@ -104,7 +103,7 @@ def fit_private(edges: DataFrame, cfg: WalkConfig, backend: str = "mllib", parts
 def fit_uniform(edges: DataFrame, cfg: WalkConfig, backend: str = "mllib") -> FitResult:
     """The centralized baseline with the same walks, window and dimension."""
     store = Store(edges.sparkSession, "uniform")
-    corpus = store.keep(walks.uniform_walks(graphs.adjacency(edges), cfg))
+    corpus = store.keep(walks.uniform_walks(edges, cfg))
     return FitResult(embed(corpus, cfg, backend), corpus, None, cost.privacy_ledger(corpus, None, None, 0))
 
 
@@ -144,6 +143,13 @@ def sweep(edges: DataFrame, truth: DataFrame, cfg: WalkConfig, grid: dict[str, I
     return spark.createDataFrame(rows, schema)
 
 
+def repeated(points: DataFrame) -> DataFrame:
+    """Mean and spread of a sweep's scores over its seeds."""
+    keys = ["method", "parameter", "value", "share"]
+    cells = [f(c).alias(f"{n}_{c}") for c in ("pooled_f1", "macro_f1", "mean_messages") for n, f in (("mean", F.avg), ("spread", F.stddev_pop))]
+    return points.groupBy(*keys).agg(F.count("*").alias("seeds"), *cells)
+
+
 def _points(fit: FitResult, truth: DataFrame, method: str, name: str, value: float | None, seed: str, shares: Iterable[float]) -> list[tuple]:
     embedding = Store(fit.walks.sparkSession, "sweep").keep(fit.embedding)
     messages = cost.walk_messages(fit.walks).first()["mean_messages"]
