@@ -93,15 +93,25 @@ def put_file(uri: str, content: bytes) -> None:
 
 
 def tokenized(docs: DataFrame, id_col: str, text_col: str, path: str) -> DataFrame:
-    """(doc_id, n, ids): ids with the end id as little-endian 16-bit integers where the vocabulary allows it."""
+    """(kind, doc_id, n, ids): ids with the end id as little-endian 16-bit integers where the vocabulary allows it.
+
+    Rows of kind 1 hold how often each id occurs in a batch, as 64-bit integers: one row for each batch.
+    """
     def run(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, fold_ascii=True)
         width = "<u2" if enc.whole.get_vocab_size() <= 1 << 16 else "<u4"
         ids = enc.encode_column(b.column(1), END_ID)
-        cols = [b.column(0), pa.array([len(x) for x in ids], pa.int64()), pa.array([x.astype(width).tobytes() for x in ids], pa.binary())]
-        yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "n", "ids"])
+        size = enc.whole.get_vocab_size()
+        total = np.zeros(size, np.int64)
+        for at in range(0, len(ids), 1000):
+            total += np.bincount(np.concatenate(ids[at : at + 1000]), minlength=size)
+        names = ["kind", "doc_id", "n", "ids"]
+        cols = [pa.array(np.zeros(len(ids), np.int32)), b.column(0), pa.array([len(x) for x in ids], pa.int64()), pa.array([x.astype(width).tobytes() for x in ids], pa.binary())]
+        yield pa.RecordBatch.from_arrays(cols, names=names)
+        cols = [pa.array([1], pa.int32()), pa.array([None], pa.int64()), pa.array([0], pa.int64()), pa.array([total.astype("<i8").tobytes()], pa.binary())]
+        yield pa.RecordBatch.from_arrays(cols, names=names)
 
-    return arrow_map(docs.select(docs[id_col].cast("long"), docs[text_col]), run, "doc_id long, n long, ids binary")
+    return arrow_map(docs.select(docs[id_col].cast("long"), docs[text_col]), run, "kind int, doc_id long, n long, ids binary")
 
 
 def write(docs: DataFrame, uri: str, scratch: Scratch, id_col: str = "doc_id", text_col: str = "text", path: str | None = None) -> DataFrame:
@@ -115,17 +125,18 @@ def write(docs: DataFrame, uri: str, scratch: Scratch, id_col: str = "doc_id", t
 
     size = Tokenizer.from_file(path).get_vocab_size()
     width = "<u2" if size <= 1 << 16 else "<u4"
-    kept = scratch.save(tokenized(docs, id_col, text_col, path), "ids")
+    both = scratch.save(tokenized(docs, id_col, text_col, path), "ids")
+    kept = both.where("kind = 0").drop("kind")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(size, np.int64)
         for b in batches:
             for x in b.column(0):
-                total += np.bincount(np.frombuffer(x.as_buffer(), width), minlength=size)
+                total += np.frombuffer(x.as_buffer(), "<i8")
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["id", "n"])
 
-    freq = kept.select("ids").mapInArrow(count, "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).toPandas()
+    freq = both.where("kind = 1").select("ids").mapInArrow(count, "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).toPandas()
     n = np.zeros(size, np.int64)  # one count for each entry of the vocabulary
     n[freq["id"].to_numpy(np.int64)] = freq["n"].to_numpy(np.int64)
     by_rank = np.lexsort((np.arange(size), -n)).astype("<u4")

@@ -10,6 +10,7 @@ sees those that are new, and numpy lays out the ids.
 from __future__ import annotations
 
 import os
+import unicodedata
 
 import numpy as np
 import pyarrow as pa
@@ -18,18 +19,16 @@ import pyarrow.compute as pc
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 #: Chunks remembered by one worker, in each of two generations; a full one replaces the older.
-REMEMBERED = 300_000
+REMEMBERED = 220_000
 #: Longest chunk worth remembering, in characters.
 LONGEST = 40
 #: Bytes of text that are laid out together.
-PART = 10_000_000
-#: The special token that separates chunks encoded together: text on its two sides is tokenized apart.
-APART = "<|endoftext|>"
+PART = 6_000_000
 #: Marks the first chunk of a text, which has no space before it; texts that hold it go whole.
 FIRST = "\x02"
-#: Marks a full stop or comma that ends a word before a space, a pre-token of its own in both vocabularies.
+#: Marks punctuation (no apostrophes) between a letter and a space, a pre-token of its own in both vocabularies.
 MARK = "\x01"
-ENDING = r"([A-Za-z\x{C0}-\x{D6}\x{D8}-\x{F6}\x{F8}-\x{FF}])([.,]) "
+ENDING = r"([A-Za-z\x{C0}-\x{D6}\x{D8}-\x{F6}\x{F8}-\x{FF}])([!-&(-/:-@\[-`{-~]+) "
 
 
 def default_path(name: str) -> str:
@@ -42,28 +41,31 @@ class ChunkEncoder:
     """Ids of texts, equal to encoding each whole text with the tokenizers library."""
 
     def __init__(self, path: str, fold_ascii: bool = False):
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
         self.whole = Tokenizer.from_file(path)
         self.whole.encode_special_tokens = True
-        self.apart = Tokenizer.from_file(path)
-        self.apart_id = self.apart.token_to_id(APART)
-        self.lengths = np.zeros(self.apart.get_vocab_size(), np.int64)  # bytes of each token
-        for token, i in self.apart.get_vocab().items():
+        self.lengths = np.zeros(self.whole.get_vocab_size(), np.int64)  # bytes of each token
+        for token, i in self.whole.get_vocab().items():
             self.lengths[i] = len(token.removesuffix("</w>"))
         self.fold = fold_ascii
+        self.letters = None
+        if fold_ascii:  # words of lower-case letters need no normalizing and are pre-tokens as they are
+            self.letters = Tokenizer.from_file(path)
+            self.letters.normalizer = normalizers.Sequence([])
+            self.letters.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.Split(" ", "removed"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         self.seen: dict[str, bytes | None] = {FIRST: b""}
         self.older: dict[str, bytes | None] = {}
 
     def encode_whole(self, text: str) -> np.ndarray:
         return np.array(self.whole.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4")
 
-    def _encode(self, parts: list[str]) -> list[bytes]:
+    def _encode(self, parts: list[str], tokenizer=None) -> list[bytes]:
         """Ids of chunks: they are encoded end to end and told apart by the lengths of their bytes and of the tokens'."""
         out: list[bytes] = []
         for at in range(0, len(parts), 2000):
             some = parts[at : at + 2000]
-            ids = np.array(self.apart.encode_batch_fast(["".join(some)], add_special_tokens=False)[0].ids, "<u4")
+            ids = np.array((tokenizer or self.whole).encode_batch_fast(["".join(some)], add_special_tokens=False)[0].ids, "<u4")
             texts = ["".join(w.split()) for w in some] if self.fold else some  # this vocabulary drops white space
             ends = np.cumsum(np.fromiter(map(len, map(str.encode, texts)), np.int64, len(some)))
             token_ends = np.cumsum(self.lengths[ids])
@@ -72,14 +74,12 @@ class ChunkEncoder:
                 data, cuts = ids.tobytes(), ((cuts + 1) * 4).tolist()
                 out += [data[s:e] for s, e in zip([0, *cuts[:-1]], cuts, strict=True)]
             else:
-                out += self._encode_apart(some)
+                out += self._encode_each(some)
         return out
 
-    def _encode_apart(self, parts: list[str]) -> list[bytes]:
-        """The same with a special token between chunks: for texts whose letters the tokenizer changes."""
-        ids = np.array(self.apart.encode_batch_fast([APART.join(parts)], add_special_tokens=False)[0].ids, "<u4")
-        data, cuts = ids.tobytes(), (np.flatnonzero(ids == self.apart_id) * 4).tolist()
-        return [data[s:e] for s, e in zip([0, *[c + 4 for c in cuts]], [*cuts, len(data)], strict=True)]
+    def _encode_each(self, parts: list[str]) -> list[bytes]:
+        """The same one by one: for chunks without a space before them, and where the tokenizer changes letters."""
+        return [np.array(e.ids, "<u4").tobytes() for e in self.whole.encode_batch_fast(parts, add_special_tokens=False)]
 
     def _ids_of(self, chunks: list[str]) -> list[bytes | None]:
         """Ids of distinct chunks; None for those that cannot stand alone."""
@@ -95,13 +95,17 @@ class ChunkEncoder:
                 continue
             bare = w[:1] in (FIRST, MARK)
             word = w[1:] if bare else w
-            if not word or word != word.strip() or APART in word:
+            if not word or word != word.strip():
                 found[w] = None
             else:
                 (heads if bare else fresh).append(w)
+        if self.letters is not None:
+            plain = [w for w in fresh if w.isalpha() and w.islower() and (w.isascii() or unicodedata.is_normalized("NFC", w))]
+            found.update(zip(plain, self._encode([" " + w for w in plain], self.letters), strict=True))
+            fresh = [w for w in fresh if w not in found]
         found.update(zip(fresh, self._encode([" " + w for w in fresh]), strict=True))
         if heads:
-            found.update(zip(heads, self._encode_apart([w[1:] for w in heads]), strict=True))
+            found.update(zip(heads, self._encode_each([w[1:] for w in heads]), strict=True))
         seen.update((w, v) for w, v in found.items() if len(w) <= LONGEST)
         return [seen[w] if w in seen else found[w] for w in chunks]
 
@@ -121,6 +125,8 @@ class ChunkEncoder:
 
     def _part(self, column: pa.Array, end_id: int) -> list[np.ndarray]:
         texts = pc.ascii_lower(column) if self.fold else column
+        if self.fold:  # white space of any kind only parts words here
+            texts = pc.replace_substring(texts, "\n", " ")
         odd = pc.or_(pc.match_substring_regex(texts, f"[{FIRST}{MARK}]"), pc.starts_with(texts, " ")).to_numpy(zero_copy_only=False)
         texts = pc.replace_substring_regex(texts, ENDING, rf"\1 {MARK}\2 ")
         marked = pc.binary_join_element_wise(pa.scalar(FIRST, pa.large_utf8()), texts, pa.scalar("", pa.large_utf8()))
