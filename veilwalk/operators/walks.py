@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from veilwalk.config import WalkConfig
@@ -45,17 +45,19 @@ def indexed_edges(graph: DataFrame, pools: DataFrame | None) -> DataFrame:
     return rows.join(sizes, "u", "left").select("v", F.col("i").cast("long").alias("i"), "u", "du", F.coalesce("pu", F.lit(0)).alias("pu"))
 
 
-def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None, starts: DataFrame | None = None) -> DataFrame:
+def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None, starts: DataFrame | None = None, jump: Column | None = None, charged: Column | None = None) -> DataFrame:
     """(walk_id, start, rep, seq, hops, jumps, pool_empty): walks of true vertices over an adjacency or edges.
 
     Each round moves every open walk one step: it draws the number of its next neighbour and is joined with that one
     row. A step emits a neighbour u. With more than two left to emit and a draw below the jump probability, it also
     emits a vertex u' of u's pool and goes there at once; an empty pool leaves the step as it is. All rounds are
     expressions over deterministic draws, so a task that runs again repeats its walks; a table every few rounds keeps
-    plans short.
+    plans short. jump and charged, expressions of rep, take the place of the configuration's for walks that differ.
     """
     store = Store(graph.sparkSession, "walks")
-    pools = None if not cfg.jump else pools
+    pools = None if not cfg.jump and jump is None else pools
+    jump = F.lit(cfg.jump) if jump is None else jump
+    charged = F.lit(cfg.charge_final_jump) if charged is None else charged
     edges = store.keep(indexed_edges(graph, pools))
     deg = edges.groupBy("v").agg(F.count("*").alias("deg"))
     jumps = None
@@ -76,14 +78,14 @@ def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None
         fired = jumped = F.lit(False)
         to, onward = F.col("u"), F.col("du")
         if jumps is not None:
-            fired = (F.col("left") > 2) & (unit(cfg.seed, "jump", "walk_id", "left", rng=cfg.rng) < cfg.jump)
+            fired = (F.col("left") > 2) & (unit(cfg.seed, "jump", "walk_id", "left", rng=cfg.rng) < jump)
             jumped = fired & (F.col("pu") > 0)
             far = F.floor(unit(cfg.seed, "pool", "walk_id", "left", rng=cfg.rng) * F.col("pu"))
             moved = moved.withColumn("_f", F.when(jumped, far)).join(jumps, (F.col("u") == F.col("_u")) & (F.col("_f") == F.col("_j")), "left").drop("_u", "_j", "_f")
             to, onward = F.when(jumped, F.col("w")).otherwise(F.col("u")), F.when(jumped, F.col("dw")).otherwise(F.col("du"))
         second = F.col("u") if cfg.jump_emits == "intermediate" else to
         left = F.col("left") - F.when(jumped, 2).otherwise(1)
-        sends = (left > 0) if cfg.charge_final_jump else (left > 0) & ~(jumped & (left <= 2))
+        sends = (left > 0) & (charged | ~(jumped & (left <= 2)))
         stay = lambda name, new: F.when(open_, new).otherwise(F.col(name)).alias(name)
         state = moved.select(
             "walk_id", "start", "rep", stay("at", to), stay("deg", onward), stay("left", left),

@@ -344,16 +344,15 @@ def walk_messages(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def messages_by_p(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Mean messages of walks of 40 by jump probability, under both accountings, beside their expectations."""
-    b, out = base(spark, sf_dir), None
-    pools = predictor.exact_pool(graphs.adjacency(b.edges))
-    for p in (0.0, 0.1, 0.2, 0.3, 0.4):
-        for charged in (True, False):
-            cfg = CFG.with_(length=40, per_vertex=2, jump=p, charge_final_jump=charged, rng="xx")
-            one = walks.true_walks(graphs.adjacency(b.edges), cfg, pools).agg(F.count("*").alias("walks"), r6(F.avg("hops")).alias("mean_messages"))
-            one = one.select(F.lit(p).alias("p"), F.lit(charged).alias("charge_final_jump"), "*")
-            out = one if out is None else out.union(one)
-    want = cost.expected_messages(spark, [40], [0.0, 0.1, 0.2, 0.3, 0.4]).select("p", "protocol", "published")
-    return out.join(F.broadcast(want), "p").select("p", "charge_final_jump", "walks", "mean_messages", F.when(F.col("charge_final_jump"), F.col("protocol")).otherwise(F.col("published")).alias("expected"))
+    store, ps = Store(spark, "messages"), [0.0, 0.1, 0.2, 0.3, 0.4]
+    edges = store.keep(graphs.document_terms(spark, sf_dir))
+    p = F.element_at(F.array(*[F.lit(x) for x in ps]), F.col("rep") % len(ps) + 1)
+    charged = F.col("rep") < len(ps)
+    cfg = CFG.with_(length=40, per_vertex=2 * len(ps), rng="xx")
+    found = walks.true_walks(edges, cfg, predictor.exact_pool(graphs.adjacency(edges)), None, p, charged)
+    means = found.groupBy(p.alias("p"), charged.alias("charge_final_jump")).agg(F.count("*").alias("walks"), r6(F.avg("hops")).alias("mean_messages"))
+    want = cost.expected_messages(spark, [40], ps).select("p", "protocol", "published")
+    return means.join(F.broadcast(want), "p").select("p", "charge_final_jump", "walks", "mean_messages", F.when(F.col("charge_final_jump"), F.col("protocol")).otherwise(F.col("published")).alias("expected"))
 
 
 def expected_messages_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
