@@ -178,18 +178,44 @@ def test_simhash_large_runs():
 
 def test_keep_first(spark):
     df = docs_of(spark, AWKWARD)
-    kept = {r["doc_id"] for r in simhash.keep_first(df).collect()}
+    kept = {r["doc_id"] for r in simhash.keep_first(df, groups=simhash.components(df)).collect()}
     comp = brute_components(range(len(AWKWARD)), [(a, b) for a in range(len(AWKWARD)) for b in range(a) if (brute_fingerprint(AWKWARD[a]) ^ brute_fingerprint(AWKWARD[b])).bit_count() <= 3])
     assert kept == {i for i in comp if comp[i] == i}
 
 
+def test_alike_documents(spark, sf):
+    """Edited copies join, others stay apart; links equal those of all pairs but for the few that no segment shows."""
+    rng = np.random.default_rng(9)
+    word = lambda: "".join(rng.choice(list("abcdefghijklmnop"), rng.integers(2, 9)))
+    rows, truth, n = [], {}, 0
+    for _ in range(40):
+        base = [word() for _ in range(rng.integers(150, 400))]
+        first = n
+        for c in range(rng.integers(1, 8)):
+            t = list(base)
+            for _ in range(0 if c == 0 else int(rng.integers(0, len(t) // 80 + 1))):
+                t[rng.integers(len(t))] = word()
+            rows.append((n, " ".join(t)))
+            truth[n] = first
+            n += 1
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = {r["doc_id"]: r["component_id"] for r in simhash.alike(df).collect()}
+    assert got == truth
+    assert {r["doc_id"] for r in simhash.keep_first(df).collect()} == set(truth.values())
+    ids, fps = np.arange(300), rng.integers(0, 1 << 63, (300, 3), dtype=np.uint64)
+    fps[:270] = fps[0]
+    fps[:270, 0] ^= np.arange(270, dtype=np.uint64)
+    edges = simhash._wide_links(np.zeros(300, np.int64), np.zeros(300, bool), ids, fps, 5)
+    assert len(set(brute_components(range(300), edges).values())) == 31 and len(edges) < 300
+
+
 # tokens
 
 
 @pytest.mark.parametrize("name,fold", [("byte_bpe_50k.json", False), ("word_bpe_49k.json", True)])
 def test_chunks_equal_whole_texts(name, fold, corpus):
     enc = ChunkEncoder(default_path(name), fold)
-    texts = [t or "" for _, t in corpus] + ["  a b", "a  b", "a\n b", "a b\n", " x", "x ", "b \x00a", "\x02a b", "a, b. c,. d.  e×. f,\ng. ", "b \x01, c", "b \x02a", "\x02", "A'LL it's 's", "İ Σ", "a  b", "e ́x"]
+    texts = [t or "" for _, t in corpus] + ["  a b", "a  b", "a\n b", "a b\n", " x", "x ", "b \x00a", "\x02a b", "a, b. c,. d.  e×. f,\ng. ", "b \x01, c", "HA!! Ho,!! x_ y. é*** ü$$$ a%% 1.5 2, don't, it's.", "a\nb\n\nc \nd", "b \x02a", "\x02", "A'LL it's 's", "İ Σ", "a  b", "e ́x"]
     want = [[*e.ids, 7] for e in enc.whole.encode_batch(texts, add_special_tokens=False)]
     assert [x.tolist() for x in enc.encode_many(texts, 7)] == want
     assert [x.tolist() for x in enc.encode_many(texts, 7)] == want  # remembered

@@ -99,6 +99,36 @@ def numbered(df: DataFrame, scratch: Scratch, name: str, keys: list[str], out: s
     return saved.join(F.broadcast(starts), "_part").withColumn(out, F.col("_start") + F.col("_row")).drop("_part", "_row", "_start")
 
 
+class Forest:
+    """Components of the links that one task finds; it hands on one link for each node, to its smallest companion.
+
+    Tasks that see the same group name few different smallest companions, so their links coincide.
+    """
+
+    def __init__(self) -> None:
+        self.parent: dict[int, int] = {}
+
+    def find(self, x: int) -> int:
+        parent = self.parent
+        while (up := parent.setdefault(x, x)) != x:
+            parent[x] = parent[up]
+            x = up
+        return x
+
+    def add(self, edges: list) -> None:
+        for x, y in edges:
+            a, b = self.find(x), self.find(y)
+            if a < b:
+                self.parent[b] = a
+            elif b < a:
+                self.parent[a] = b
+
+    def stars(self) -> np.ndarray:
+        """Rows (node, smallest node of its component) of all nodes but those."""
+        rows = [(x, self.find(x)) for x in list(self.parent)]
+        return np.array([r for r in rows if r[0] != r[1]], np.int64).reshape(-1, 2)
+
+
 def connected_components(edges: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFrame:
     """(node, root) of every node that has an edge (a, b); root is the smallest node of its component.
 
