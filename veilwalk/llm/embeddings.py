@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilwalk.llm.common import Scratch, connected_components, numbered
+from veilwalk.llm.common import Forest, Scratch, connected_components, numbered
 
 THRESHOLD = 0.9
 TILE = 8192
@@ -185,8 +185,10 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "
                 kinds.append(np.ones(len(at), np.int32))
                 xs.append(t.pos[at])
                 ys.append(m[at])
-            if edges:
-                e = np.array(edges, np.int64)
+            forest = Forest()
+            forest.add(edges)
+            e = forest.stars()
+            if len(e):
                 kinds.append(np.zeros(len(e), np.int32))
                 xs.append(e[:, 0])
                 ys.append(e[:, 1])
