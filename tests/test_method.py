@@ -332,12 +332,14 @@ def test_split_is_exact_and_decisions(spark):
     assert collect(classify.decide(scored, "known_count", truth)) == [(1, "a")]
 
 
-def test_logistic_regression_separates(spark):
+def test_logistic_regression_separates(spark, monkeypatch):
     rng = np.random.default_rng(6)
     rows = [(i, [float(t) for t in rng.normal(size=3) + (3 if i % 2 else -3)]) for i in range(200)]
     f = spark.createDataFrame(rows, "v long, vec array<double>")
     labels = spark.createDataFrame([(i, "odd" if i % 2 else "even") for i in range(200)], "v long, label string")
     names, w = classify.fit_ovr(f, labels, rounds=40)
+    monkeypatch.setattr(classify, "LOCAL_FLOATS", 0)
+    assert np.allclose(w, classify.fit_ovr(f, labels, rounds=40)[1], atol=1e-6)
     got = metrics.pooled_f1(metrics.label_confusion(classify.decide(classify.scores(f, names, w)), labels)).first()[0]
     assert got > 0.97
 

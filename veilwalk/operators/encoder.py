@@ -88,9 +88,20 @@ def as_table(law: DataFrame) -> DataFrame:
 
 
 def draw(targets: Column, cdf: Column, u: Column) -> Column:
-    """The first target whose cumulated probability exceeds u; the last one if rounding leaves u above all."""
-    at = F.array_position(F.transform(cdf, lambda c: c > u), True)
-    return F.element_at(targets, F.when(at > 0, at).otherwise(F.size(targets)).cast("int"))
+    """The first target whose cumulated probability exceeds u; the last one if rounding leaves u above all.
+
+    A binary search whose state holds u, which is thus computed once for a row.
+    """
+    def halve(s: Column, _: Column) -> Column:
+        mid = F.floor((s["lo"] + s["hi"]) / 2).cast("int")
+        above = F.get(cdf, mid) > s["u"]
+        open_ = s["lo"] < s["hi"]
+        lo = F.when(open_ & ~above, mid + 1).otherwise(s["lo"])
+        return F.struct(lo.alias("lo"), F.when(open_ & above, mid).otherwise(s["hi"]).alias("hi"), s["u"].alias("u"))
+
+    start = F.struct(F.lit(0).alias("lo"), F.size(cdf).alias("hi"), u.alias("u"))
+    steps = F.sequence(F.lit(0), F.ceil(F.log2(F.size(cdf) + 1)).cast("int"))
+    return F.aggregate(steps, start, halve, lambda s: F.get(targets, F.least(s["lo"], F.size(targets) - 1)))
 
 
 def encode(df: DataFrame, table: DataFrame, column: str, out: str, seed: str, *keys: str, rng: str = "md5") -> DataFrame:
