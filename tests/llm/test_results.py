@@ -209,6 +209,43 @@ def test_alike_documents(spark, sf):
     assert len(set(brute_components(range(300), edges).values())) == 31 and len(edges) < 300
 
 
+def exact_alike(rows):
+    sets = {}
+    for i, t in rows:
+        w = t.lower().split()
+        sets[i] = {" ".join(w[k : k + 5]) for k in range(max(len(w) - 4, 1))}
+    ids = sorted(sets)
+    share = {(a, b): len(sets[a] & sets[b]) / len(sets[a] | sets[b]) for k, a in enumerate(ids) for b in ids[k + 1 :]}
+    return brute_components(ids, [e for e, j in share.items() if j >= 0.8]), share
+
+
+def test_alike_links_are_exact(spark):
+    """Pairs just below the similarity stay apart, pairs just above join, also in runs too large for all pairs at once."""
+    rng = np.random.default_rng(12)
+    word = lambda: "".join(rng.choice(list("abcdefghijklmnop"), 8))
+    rows = []
+    for k in range(160):
+        base = [word() for _ in range(rng.integers(100, 400))]
+        want = rng.uniform(0.6, 0.79) if k % 2 else rng.uniform(0.8, 0.82)
+        t, n = list(base), len(base) - 4
+        new = int(n * (1 - want) / (1 + want))  # a tail of new words replaces that many shingles
+        t[len(t) - new :] = [word() for _ in range(new)]
+        rows += [(2 * k, " ".join(base)), (2 * k + 1, " ".join(t))]
+    base, n = [word() for _ in range(200)], len(rows)
+    for k in range(40):  # one run of each band, links between a few of its pairs only
+        t = list(base)
+        at = 5 * (k % 20)
+        t[at : at + 24] = [word() for _ in range(24)] if k < 20 else rows[n + k - 20][1].split()[at : at + 24]
+        if k >= 20:
+            t[150 + k % 20] = word()
+        rows.append((n + k, " ".join(t)))
+    want, share = exact_alike(rows)
+    pairs = [share[2 * k, 2 * k + 1] for k in range(160)]
+    assert sum(0.6 <= j < 0.8 for j in pairs) >= 70 and sum(0.8 <= j <= 0.83 for j in pairs) >= 70
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert {r["doc_id"]: r["component_id"] for r in simhash.alike(df).collect()} == want
+
+
 # tokens
 
 
