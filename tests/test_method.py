@@ -385,3 +385,32 @@ def test_randomized_response_and_two_hop(spark, golden):
     pairs = spark.range(4000).select(F.col("id").alias("v"), F.lit(-1).cast("long").alias("u"))
     told = baselines.randomized_response(pairs, edges, 1.0).agg(F.avg("told")).first()[0]
     assert abs(told - 1 / (1 + math.e)) < 0.03
+
+
+def test_pools_are_filled_past_their_blocks(spark):
+    rng = np.random.default_rng(4)
+    paths = [format(i, "05b") for i in range(32)]
+    kinds = rng.integers(1, 3, 32)
+    leaves = spark.createDataFrame([(i, p, p[:2]) for i, p in enumerate(paths)], "v long, path string, block string")
+    plan = spark.createDataFrame([(i, i, int(b)) for i, b in enumerate(kinds)], "v long, ordinal long, bin int")
+    need = {(u, b): int(rng.integers(0, (kinds == b).sum() - (kinds[u] == b) + 1)) for u in range(32) for b in (1, 2)}
+    wanted = spark.createDataFrame([(u, b, m) for (u, b), m in need.items()], "u long, bin int, m long")
+    dissim = spark.createDataFrame([(u, v, float(abs(u - v))) for u in range(32) for v in range(32) if u < v and u // 8 == v // 8], "u long, v long, delta double")
+    inner = predictor.tree_pool(dissim, leaves, plan, wanted, block=F.col("block"))
+    got = {r["u"]: r["pool"] for r in predictor.fill_pools(inner, leaves, plan, wanted).collect()}
+    common = lambda a, b: next((k for k in range(5) if a[k] != b[k]), 5)
+    for u in range(32):
+        want = []
+        for b in (1, 2):
+            order = sorted((w for w in range(32) if w != u and kinds[w] == b), key=lambda w: (-common(paths[u], paths[w]), abs(u - w) if u // 8 == w // 8 else 0, w))
+            want += order[: need[u, b]]
+        assert got.get(u, []) == sorted(want)
+
+
+def test_scale_query_keeps_all_rows(spark, sf, monkeypatch):
+    from veilwalk.plans import queries
+
+    seen = []
+    monkeypatch.setattr(queries.pipeline, "fit_private", lambda edges, cfg, *a: seen.append(cfg) or pipeline.FitResult(edges, edges, None, edges))
+    queries.copurchase_at_scale(spark, sf)
+    assert seen[0].row_cap is None

@@ -64,6 +64,32 @@ def tree_pool(dissim: DataFrame, leaves: DataFrame, bins: DataFrame, wanted: Dat
     return rows.groupBy("block").applyInPandas(work, "u long, pool array<long>").where(F.size("pool") > 0)
 
 
+def fill_pools(pools: DataFrame, leaves: DataFrame, bins: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(u, pool) of pools made within blocks, filled from the parent subtrees of the block until each bin's demand is met.
+
+    leaves has v, path and block, the path of v's block. Members outside the block come by the deepest common subtree, then by
+    id: dissimilarities are known within blocks only. All of a block's vertices share one list for each bin.
+    """
+    at = leaves.select("v", "path", "block").join(bins.select("v", "bin"), "v")
+    inside = at.groupBy("block", "bin").agg(F.count("*").alias("inside"))
+    own = F.when(F.col("own") == F.col("bin"), 1).otherwise(0)
+    short = wanted.join(at.select(F.col("v").alias("u"), "block", F.col("bin").alias("own")), "u").join(inside, ["block", "bin"], "left")
+    short = short.select("u", "block", "bin", (F.col("m") - F.coalesce("inside", F.lit(0)) + own).cast("int").alias("r")).where("r > 0")
+    most = short.groupBy("block", "bin").agg(F.max("r").alias("most")).join(inside, ["block", "bin"], "left").na.fill(0, ["inside"])
+    prefixes = lambda c: F.transform(F.sequence(F.lit(0), F.length(c)), lambda i: F.col(c).substr(F.lit(1), i))
+    up = at.select("v", "path", "bin", F.explode(prefixes("path")).alias("up"))
+    room = up.groupBy("up", "bin").agg(F.count("*").alias("n"))
+    above = most.select("block", "bin", "most", "inside", F.explode(prefixes("block")).alias("up")).where("up <> block")
+    chosen = above.join(room, ["up", "bin"]).where("n - inside >= most or up = ''").groupBy("block", "bin", "most").agg(F.max_by("up", F.length("up")).alias("up"))
+    found = chosen.join(up, ["up", "bin"]).where("not startswith(path, block)")
+    common = F.size(F.filter(F.sequence(F.lit(1), F.length("block")), lambda i: F.col("path").substr(F.lit(1), i) == F.col("block").substr(F.lit(1), i)))
+    ordered = found.select("block", "bin", "most", F.struct((-common).alias("near"), "v").alias("w")).groupBy("block", "bin", "most").agg(F.sort_array(F.collect_list("w")).alias("w"))
+    lists = ordered.select("block", "bin", F.slice(F.transform("w", lambda x: x["v"]), F.lit(1), F.col("most")).alias("w"))
+    more = short.join(lists, ["block", "bin"]).select("u", F.slice("w", F.lit(1), F.col("r")).alias("w")).groupBy("u").agg(F.flatten(F.collect_list("w")).alias("more"))
+    none = F.array().cast("array<long>")
+    return pools.join(more, "u", "full").select("u", F.sort_array(F.concat(F.coalesce("pool", none), F.coalesce("more", none))).alias("pool"))
+
+
 def exact_pool(adjacency: DataFrame) -> DataFrame:
     """(u, pool) of true neighbours: what a perfect guess would hold."""
     return adjacency.select(F.col("v").alias("u"), F.col("nbrs").alias("pool"))

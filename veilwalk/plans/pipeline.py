@@ -79,6 +79,7 @@ def laws(parts: TreeParts, cfg: WalkConfig) -> tuple[DataFrame | None, DataFrame
         n = leaves.count()
         law = None if cfg.eps_walk is None else encoder.pruned_table(parts.dissim, leaves, F.col("block"), n, cfg.eps_walk, cfg.score_scale)
         pools = predictor.tree_pool(parts.dissim, leaves, parts.bins, wanted, cfg.near, F.col("block"))
+        pools = predictor.fill_pools(store.keep(pools), leaves, parts.bins, wanted)
     return None if law is None else store.keep(law), store.keep(pools)
 
 

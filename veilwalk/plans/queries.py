@@ -573,10 +573,10 @@ def sweep_p(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def copurchase_at_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Vectors of the large co-purchase graph: tree by bisection, laws and pools by block, rows capped."""
+    """Vectors of the large co-purchase graph: tree by bisection, laws by block, pools by block and its parents, all rows."""
     store = Store(spark, "scale")
     edges = store.keep(graphs.copurchase(spark, sf_dir))
-    cfg = SMALL.with_(tree="bisect", block=128, row_cap=24, per_vertex=1, rng="xx")
+    cfg = SMALL.with_(tree="bisect", block=128, per_vertex=1, rng="xx")
     fit = pipeline.fit_private(edges, cfg)
     return fit.embedding
 
