@@ -414,3 +414,24 @@ def test_scale_query_keeps_all_rows(spark, sf, monkeypatch):
     monkeypatch.setattr(queries.pipeline, "fit_private", lambda edges, cfg, *a: seen.append(cfg) or pipeline.FitResult(edges, edges, None, edges))
     queries.copurchase_at_scale(spark, sf)
     assert seen[0].row_cap is None
+
+
+def test_workloads_have_full_grids_and_parameters(spark, sf, monkeypatch):
+    from veilwalk.plans import queries
+
+    seen = []
+
+    def record(edges, truth, cfg, grid, shares=(0.5,), seeds=("1",), baseline=True, trees=None):
+        assert truth.join(graphs.roster(edges), "v", "left_semi").count() > 0
+        seen.append(((cfg.length, cfg.per_vertex, cfg.window, cfg.dim), grid, list(shares)))
+        return spark.range(1)
+
+    monkeypatch.setattr(queries.pipeline, "sweep", record)
+    ps, some, full = [0.0, 0.1, 0.2, 0.3, 0.4], [0.1, 0.2, 0.5, 0.6], (40, 80, 10, 128)
+    for name in ("sweep_p", "full_sweep_p", "full_sweep_eps_succession", "full_private_against_uniform_copurchase", "sweep_k", "full_sweep_k_copurchase", "full_sweep_walks"):
+        queries.queries()[name](spark, sf)
+    assert seen[0] == ((10, 5, 5, 32), {"jump": ps}, some) and seen[1] == (full, {"jump": ps}, some)
+    assert seen[2] == (full, {"eps": [0.5, 1.0, 2.0, 4.0]}, some) and seen[3] == (full, {"jump": [0.2]}, [0.1, 0.2, 0.3, 0.4, 0.5, 0.6])
+    bounds = [default_bins(graphs.roster(g(spark, sf)).count()) for g in (graphs.document_terms, graphs.copurchase)]
+    assert [s[1]["bins"] for s in seen[4:6]] == [list(range(2, k + 1)) for k in bounds]
+    assert seen[6:] == [((40, n, 10, 128), {"jump": ps}, some) for n in (20, 40, 60, 80)]

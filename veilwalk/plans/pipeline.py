@@ -124,12 +124,13 @@ def evaluate(embedding: DataFrame, truth: DataFrame, share: float, seed: str = "
     return both.select(F.lit(rule).alias("rule"), F.lit(test.count()).cast("long").alias("n_test"), "pooled_f1", "macro_f1")
 
 
-def sweep(edges: DataFrame, truth: DataFrame, cfg: WalkConfig, grid: dict[str, Iterable], shares: Iterable[float] = (0.5,), seeds: Iterable[str] = ("1",), baseline: bool = True) -> DataFrame:
+def sweep(edges: DataFrame, truth: DataFrame, cfg: WalkConfig, grid: dict[str, Iterable], shares: Iterable[float] = (0.5,), seeds: Iterable[str] = ("1",), baseline: bool = True, trees: dict | None = None) -> DataFrame:
     """(method, parameter, value, seed, share, pooled_f1, macro_f1, mean_messages), one row for each point of the grid.
 
-    Trees are built once for each choice of bins and noise; walks once for each point, whatever the shares.
+    Trees are built once for each choice of bins and noise, and shared by sweeps of one graph that are given the same trees;
+    walks once for each point, whatever the shares.
     """
-    rows, spark, trees = [], edges.sparkSession, {}
+    rows, spark, trees = [], edges.sparkSession, {} if trees is None else trees
     for seed in seeds:
         if baseline:
             rows += _points(fit_uniform(edges, cfg.with_(seed=seed)), truth, "uniform", "", None, seed, shares)

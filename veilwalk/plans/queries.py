@@ -542,34 +542,110 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fit.embedding.join(sent, "v", "left").select("v", "vec", F.coalesce("messages", F.lit(0)).alias("messages"))
 
 
-def _compare(spark: SparkSession, sf_dir: str, shares: list[float], cfg: WalkConfig = SMALL) -> DataFrame:
-    edges = Store(spark, "compare").keep(graphs.document_terms(spark, sf_dir))
-    return pipeline.sweep(edges, _truth(spark, sf_dir), cfg, {"jump": [0.2]}, shares)
+#: Parameters and grids of the workloads as surveyed; SMALL takes the same grids with shorter and fewer walks.
+FULL = WalkConfig(length=40, per_vertex=80, window=10, dim=128, seed="1")
+SHARES = [0.1, 0.2, 0.3, 0.4, 0.5, 0.6]
+SPARSE = [0.01, 0.02, 0.03, 0.04, 0.05, 0.06, 0.07, 0.08, 0.09, 0.1]
+SOME_SHARES = [0.1, 0.2, 0.5, 0.6]
+JUMPS = [0.0, 0.1, 0.2, 0.3, 0.4]
+NOISES = [0.5, 1.0, 2.0, 4.0]
+
+
+def _graph(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:
+    """Kept edges of a workload's graph, and its labels."""
+    make, truth = {"documents": (graphs.document_terms, _truth), "copurchase": (graphs.copurchase, graphs.labels_of_parts), "succession": (graphs.succession, graphs.labels_of_users)}[name]
+    return Store(spark, "workload").keep(make(spark, sf_dir)), truth(spark, sf_dir)
+
+
+def _compare(spark: SparkSession, sf_dir: str, shares: list[float], cfg: WalkConfig = SMALL, graph: str = "documents") -> DataFrame:
+    return pipeline.sweep(*_graph(spark, sf_dir, graph), cfg, {"jump": [0.2]}, shares)
+
+
+def _sweep(spark: SparkSession, sf_dir: str, cfg: WalkConfig, grid: dict[str, list], graph: str = "documents") -> DataFrame:
+    return pipeline.sweep(*_graph(spark, sf_dir, graph), cfg, grid, SOME_SHARES, baseline=False)
+
+
+def _sweep_k(spark: SparkSession, sf_dir: str, cfg: WalkConfig, graph: str = "documents") -> DataFrame:
+    """All numbers of bins from two to their bound."""
+    edges, truth = _graph(spark, sf_dir, graph)
+    most = default_bins(graphs.roster(edges).count())
+    return pipeline.sweep(edges, truth, cfg, {"bins": list(range(2, most + 1))}, SOME_SHARES, baseline=False)
+
+
+def _sweep_walks(spark: SparkSession, sf_dir: str, cfg: WalkConfig, numbers: list[int]) -> DataFrame:
+    """All pairs of walks per vertex and jump probability; trees are shared."""
+    edges, truth = _graph(spark, sf_dir, "documents")
+    trees, out = {}, None
+    for n in numbers:
+        rows = pipeline.sweep(edges, truth, cfg.with_(per_vertex=n), {"jump": JUMPS}, SOME_SHARES, baseline=False, trees=trees).withColumn("per_vertex", F.lit(n))
+        out = rows if out is None else out.unionByName(rows)
+    return out
 
 
 def private_against_uniform(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Both methods by share of training vertices."""
-    return _compare(spark, sf_dir, [0.1, 0.2, 0.3, 0.4, 0.5, 0.6])
+    return _compare(spark, sf_dir, SHARES)
 
 
 def private_against_uniform_sparse(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Both methods with few training vertices."""
-    return _compare(spark, sf_dir, [0.01, 0.02, 0.05, 0.09, 0.1])
+    return _compare(spark, sf_dir, SPARSE)
 
 
 def sweep_k(spark: SparkSession, sf_dir: str) -> DataFrame:
-    edges = Store(spark, "sweep").keep(graphs.document_terms(spark, sf_dir))
-    return pipeline.sweep(edges, _truth(spark, sf_dir), SMALL, {"bins": [2, 4, 6]}, [0.1, 0.5], baseline=False)
+    return _sweep_k(spark, sf_dir, SMALL)
 
 
 def sweep_eps(spark: SparkSession, sf_dir: str) -> DataFrame:
-    edges = Store(spark, "sweep").keep(graphs.document_terms(spark, sf_dir))
-    return pipeline.sweep(edges, _truth(spark, sf_dir), SMALL, {"eps": [0.5, 1.0, 2.0, 4.0]}, [0.1, 0.5], baseline=False)
+    return _sweep(spark, sf_dir, SMALL, {"eps": NOISES})
 
 
 def sweep_p(spark: SparkSession, sf_dir: str) -> DataFrame:
-    edges = Store(spark, "sweep").keep(graphs.document_terms(spark, sf_dir))
-    return pipeline.sweep(edges, _truth(spark, sf_dir), SMALL, {"jump": [0.0, 0.2, 0.4]}, [0.1, 0.5], baseline=False)
+    return _sweep(spark, sf_dir, SMALL, {"jump": JUMPS})
+
+
+def sweep_walks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _sweep_walks(spark, sf_dir, SMALL, [2, 5, 10, 20])
+
+
+def full_private_against_uniform(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _compare(spark, sf_dir, SHARES, FULL)
+
+
+def full_private_against_uniform_copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _compare(spark, sf_dir, SHARES, FULL, "copurchase")
+
+
+def full_private_against_uniform_sparse(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _compare(spark, sf_dir, SPARSE, FULL)
+
+
+def full_private_against_uniform_sparse_copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _compare(spark, sf_dir, SPARSE, FULL, "copurchase")
+
+
+def full_sweep_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _sweep_k(spark, sf_dir, FULL)
+
+
+def full_sweep_k_copurchase(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _sweep_k(spark, sf_dir, FULL, "copurchase")
+
+
+def full_sweep_eps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _sweep(spark, sf_dir, FULL, {"eps": NOISES})
+
+
+def full_sweep_eps_succession(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _sweep(spark, sf_dir, FULL, {"eps": NOISES}, "succession")
+
+
+def full_sweep_p(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _sweep(spark, sf_dir, FULL, {"jump": JUMPS})
+
+
+def full_sweep_walks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _sweep_walks(spark, sf_dir, FULL, [20, 40, 60, 80])
 
 
 def copurchase_at_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -596,7 +672,9 @@ uniform_walks biased_walks jump_walks private_walks walk_messages messages_by_p
 cooccurrence_prob pmi walk_dissim skipgram_mllib skipgram_blocks label_matrix split_counts label_confusion macro_f1 pooled_f1 chance_f1
 message_ledger_cube privacy_ledger row_linkability randomized_response exact_two_hop shared_neighbours asof_segment interval_user_pairs
 event_props_json session_windows sliding_activity degree_bands stream_bin_counts flagship private_against_uniform
-private_against_uniform_sparse sweep_k sweep_eps sweep_p copurchase_at_scale ovr_scores""".split()
+private_against_uniform_sparse sweep_k sweep_eps sweep_p sweep_walks full_private_against_uniform
+full_private_against_uniform_copurchase full_private_against_uniform_sparse full_private_against_uniform_sparse_copurchase full_sweep_k
+full_sweep_k_copurchase full_sweep_eps full_sweep_eps_succession full_sweep_p full_sweep_walks copurchase_at_scale ovr_scores""".split()
 
 
 def queries() -> dict[str, Query]:

@@ -152,3 +152,19 @@ def labels_of_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     lang = docs.where("lang is not null").select(F.col("doc_id").alias("v"), F.concat(F.lit("lang:"), "lang").alias("label"))
     known: list[Column] = [F.concat(F.lit(f"{c}:"), F.col(c).cast("string")) for c in ("quality", "toxic")]
     return lang.union(marks.select(F.col("doc_id").alias("v"), F.explode(F.array(*known)).alias("label")))
+
+
+def labels_of_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(v, label): brand, first word of the type, and size band of ten."""
+    band = F.ceil(F.col("p_size") / 10).cast("string")
+    kinds = F.array(F.concat(F.lit("brand:"), "p_brand"), F.concat(F.lit("type:"), F.substring_index("p_type", " ", 1)), F.concat(F.lit("size:"), band))
+    rows = load(spark, sf_dir, "part").select(F.col("p_partkey").alias("v"), F.explode(kinds).alias("label"))
+    return rows.where("label is not null")
+
+
+def labels_of_users(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(v, label): event types of which a user has more events than users have on average."""
+    n = load(spark, sf_dir, "events").groupBy(F.col("user_id").alias("v"), "event_type").agg(F.count("*").alias("n"))
+    users = n.agg(F.count_distinct("v").alias("users"))
+    mean = n.groupBy("event_type").agg(F.sum("n").alias("all")).crossJoin(users)  # one row of users
+    return n.join(F.broadcast(mean), "event_type").where("n * users > all").select("v", F.concat(F.lit("event:"), "event_type").alias("label"))
