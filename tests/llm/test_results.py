@@ -569,6 +569,22 @@ def test_language_mixed_text_and_no_letters(spark):
     assert language.Tagger(empty).label(["abc"]) == (["und"], [0.0])
 
 
+def test_language_stage_rejects_what_was_not_learned(spark):
+    import corpus_pipeline
+
+    docs = table(spark, "/root/testdata/sf0.01", "documents").select("doc_id", "text", "lang")
+    foreign = ["Η γλώσσα αυτή δεν είναι γνωστή σε κανέναν εδώ", "этот язык здесь никому не известен", "这 种 语 言 在 这 里 没 有 人 认 识", "xqzvk jwqxz kkvwq zzxqj vvkqx wjzqk qqxzv kzjwx"]
+    mixed = docs.where("lang is not null and length(text) > 300").orderBy("doc_id").first()["text"][:100] + " этот язык здесь никому не известен" * 20
+    more = spark.createDataFrame([(10**6 + i, t, None) for i, t in enumerate([*foreign, mixed])], docs.schema)
+    model = language.fit(docs.where(~language.held_out()))
+    tagger = language.Tagger(model)
+    assert tagger.label(foreign[:3]) == (["und"] * 3, [0.0] * 3) and tagger.spans(foreign[1]) == []
+    kept = {r["doc_id"] for r in corpus_pipeline.identify_language(spark, docs.unionByName(more), "").collect()}
+    assert not any(i >= 10**6 for i in kept)
+    clean = [r["doc_id"] for r in docs.where("lang is not null and length(text) > 300").collect()]
+    assert sum(i in kept for i in clean) >= 0.995 * len(clean)
+
+
 # licences
 
 

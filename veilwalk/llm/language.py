@@ -2,13 +2,15 @@
 
 Script ranges narrow the candidate languages of each word; each word gets a score for each candidate from character
 n-grams; Viterbi over the words with a switching penalty labels spans. The language of a text is the one whose spans
-hold most letters.
+hold most letters. Letters of words in scripts that no language was learned in count for no language, but for the whole of
+the text. The margin of a text is the log-likelihood per letter that its leading language has, on the words of its spans,
+over a background where all n-grams seen in training are equally likely; text unlike anything learned lies below zero.
 
 Most texts need no table: where no stretch of words favours another language by more than the penalty, the path that
 stays in one language is optimal (each stretch elsewhere costs a switch and gains less), which numpy shows for a whole
 batch at once. The others are decoded word by word.
 
-Results: null texts, and texts without a letter, are 'und' with score 0; training rows without a text or language are
+Results: null texts, and texts without a letter of a learned script, are 'und' with score and margin 0; training rows without a text or language are
 left out; with nothing to learn from every text is 'und'; ties go to the language that sorts first; rows that repeat
 are labelled each on their own.
 """
@@ -82,24 +84,31 @@ def _bucket(h: np.ndarray) -> np.ndarray:
 
 @dataclass
 class Model:
-    """langs; log-probabilities of n-gram buckets by language; the languages seen in each script."""
+    """langs; log-probabilities of n-gram buckets by language; the languages seen in each script; the background's log-probability."""
 
     langs: list[str]
     logp: np.ndarray
     scripts: dict[str, np.ndarray]
+    background: float = 0.0
 
     def score(self, words: list[str]) -> np.ndarray:
         """Scores of lower-case words by language; languages that do not use a word's script have the floor."""
+        return self.judge(words)[0]
+
+    def judge(self, words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Scores; whether a language uses the word's script; log-likelihood of the best such language over the background."""
         if not words:
-            return np.zeros((0, len(self.langs)))
+            return np.zeros((0, len(self.langs))), np.zeros(0, bool), np.zeros(0)
         padded = np.concatenate([self.logp, np.zeros((1, len(self.langs)))])  # row -1 adds nothing
         two, three, starts = grams(words)
         own = np.add.reduceat(padded[two] + padded[three], starts, axis=0) / 2
         kinds = [script(w) for w in words]
         names = sorted(set(kinds))
         known = np.stack([self.scripts.get(k, np.zeros(len(self.langs), bool)) for k in names])[np.fromiter(map(names.index, kinds), np.int64, len(kinds))]
-        own -= np.where(known, own, -np.inf).max(1, keepdims=True, initial=-1e300)
-        return np.where(known.any(1, keepdims=True), np.where(known, np.maximum(own, FLOOR), FLOOR), 0.0)
+        best = np.where(known, own, -np.inf).max(1, keepdims=True, initial=-1e300)
+        some = known.any(1)
+        over = np.where(some, best[:, 0] - self.background * (np.fromiter(map(len, words), np.int64, len(words)) + 0.5), 0.0)
+        return np.where(some[:, None], np.where(known, np.maximum(own - best, FLOOR), FLOOR), 0.0), some, over
 
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample: int = SAMPLE) -> Model:
@@ -150,7 +159,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     total = np.array(sum(letters.values(), np.zeros(len(langs))))
     scripts = {k: v >= 0.01 * total for k, v in letters.items() if (v >= 0.01 * total).any()}
     smooth = table + 0.5
-    return Model(langs, np.log(smooth / smooth.sum(0)), scripts)
+    return Model(langs, np.log(smooth / smooth.sum(0)), scripts, -float(np.log(max(1, np.count_nonzero(table.any(1))))))
 
 
 def _counts(langs: list, buckets: list, scripts: list, n: list) -> pa.RecordBatch:
@@ -168,15 +177,17 @@ class Tagger:
     def forget(self) -> None:
         self.index: dict[str, int] = {}
         self.scores = np.zeros((1024, len(self.model.langs)))
+        self.known, self.over = np.zeros(1024, bool), np.zeros(1024)
 
     def rows(self, words: list[str]) -> np.ndarray:
         index = self.index
         new = list(set(words).difference(index))
         k = len(index)
         while k + len(new) > len(self.scores):
-            self.scores = np.concatenate([self.scores, np.zeros_like(self.scores)])
+            self.scores, self.known, self.over = (np.concatenate([x, np.zeros_like(x)]) for x in (self.scores, self.known, self.over))
         for at in range(0, len(new), 20_000):
-            self.scores[k + at : k + min(at + 20_000, len(new))] = self.model.score(new[at : at + 20_000])
+            part = slice(k + at, k + min(at + 20_000, len(new)))
+            self.scores[part], self.known[part], self.over[part] = self.model.judge(new[at : at + 20_000])
         index.update(zip(new, range(k, k + len(new)), strict=True))
         return np.fromiter(map(index.__getitem__, words), np.int64, len(words))
 
@@ -235,26 +246,28 @@ class Tagger:
         return found if text.isascii() else [w for w in found if w.isalpha() or any(map(str.isalpha, w))]
 
     def spans(self, text: str) -> list[tuple[int, int, str]]:
-        """(start, end, language) of maximal runs of words of one language."""
+        """(start, end, language) of maximal runs of words of one language; words of unlearned scripts end a run."""
         found = [m for m in WORD.finditer(text) if any(map(str.isalpha, m.group()))]
         if not self.model.langs:
             return []
-        e = self.scores_of([m.group().lower() for m in found])
+        rows = self.rows([m.group().lower() for m in found])
         out: list[list] = []
-        for m, k in zip(found, self.viterbi(e), strict=True):
-            if out and out[-1][2] == self.model.langs[k]:
+        before = False
+        for m, k, known in zip(found, self.viterbi(self.scores[rows]), self.known[rows], strict=True):
+            if known and before and out[-1][2] == self.model.langs[k]:
                 out[-1][1] = m.end()
-            else:
+            elif known:
                 out.append([m.start(), m.end(), self.model.langs[k]])
+            before = known
         return [tuple(x) for x in out]
 
-    def scores_of(self, words: list[str]) -> np.ndarray:
-        rows = self.rows(words)
-        return self.scores[rows]
-
     def label(self, batch: list[str]) -> tuple[list[str], list[float]]:
         """Language and share of letters in its spans, for each text."""
-        langs, out_lang, out_score, at = self.model.langs, [], [], 0
+        return self.judge(batch)[:2]
+
+    def judge(self, batch: list[str]) -> tuple[list[str], list[float], list[float]]:
+        """Language, share of letters in its spans, and margin, for each text."""
+        langs, out_lang, out_score, out_margin, at = self.model.langs, [], [], [], 0
         while at < len(batch):
             words, ends, size, first = [], [], 0, at
             while at < len(batch) and (size < 1 << 20 or at == first):
@@ -265,36 +278,42 @@ class Tagger:
             if not langs:
                 out_lang += ["und"] * len(ends)
                 out_score += [0.0] * len(ends)
+                out_margin += [0.0] * len(ends)
                 continue
             ends = np.array(ends)
-            path = self.paths(self.scores_of(words), ends)
+            rows = self.rows(words)
+            e, known = self.scores[rows], self.known[rows]
+            path = self.paths(e, ends)
             letters = np.fromiter(map(len, words), np.int64, len(words))
             doc = np.repeat(np.arange(len(ends)), np.diff(np.r_[0, ends]))
-            held = np.bincount(doc * len(langs) + path, letters, len(ends) * len(langs)).reshape(len(ends), -1)
-            total = held.sum(1)
+            held = np.bincount(doc * len(langs) + path, letters * known, len(ends) * len(langs)).reshape(len(ends), -1)
+            total = np.bincount(doc, letters, len(ends))
             top = held.argmax(1)
-            out_lang += ["und" if t == 0 else langs[k] for t, k in zip(total, top, strict=True)]
-            out_score += (held[np.arange(len(ends)), top] / np.maximum(total, 1)).tolist()
+            lead = held[np.arange(len(ends)), top]
+            out_lang += ["und" if t == 0 else langs[k] for t, k in zip(lead, top, strict=True)]
+            out_score += (lead / np.maximum(total, 1)).tolist()
+            gain = (e[np.arange(len(path)), path] + self.over[rows]) * (known & (path == top[doc]))
+            out_margin += (np.bincount(doc, gain, len(ends)) / np.maximum(lead, 1)).tolist()
             if len(self.index) > REMEMBERED:
                 self.forget()
-        return out_lang, out_score
+        return out_lang, out_score, out_margin
 
 
-def predict(docs: DataFrame, model: Model, penalty: float = PENALTY, text_col: str = "text") -> DataFrame:
-    """docs with lang_pred and score; one pass, no shuffle."""
-    keep = [c for c in docs.columns if c not in ("lang_pred", "score")]
+def predict(docs: DataFrame, model: Model, penalty: float = PENALTY, text_col: str = "text", margin: bool = False) -> DataFrame:
+    """docs with lang_pred and score, and with margin where asked for; one pass, no shuffle."""
+    added = [T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType()), T.StructField("margin", T.DoubleType())][: 2 + margin]
+    keep = [c for c in docs.columns if c not in [f.name for f in added]]
     docs = docs.select(*[F.col(f"`{c}`") for c in keep])
     i = keep.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tagger = Tagger(model, penalty)
         for b in batches:
-            lang, score = tagger.label(texts(b.column(i)))
-            cols = [*b.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64())]
-            yield pa.RecordBatch.from_arrays(cols, names=[*keep, "lang_pred", "score"])
+            lang, score, over = tagger.judge(texts(b.column(i)))
+            cols = [pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(over, pa.float64())]
+            yield pa.RecordBatch.from_arrays([*b.columns, *cols[: len(added)]], names=[*keep, *[f.name for f in added]])
 
-    schema = T.StructType([*docs.schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, *added]))
 
 
 def held_out(id_col: str = "doc_id") -> F.Column:
