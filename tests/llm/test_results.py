@@ -557,6 +557,19 @@ def test_language_viterbi_and_spans(spark):
     assert abs(value(small, tagger.viterbi(small)) - best) < 1e-9
 
 
+def test_language_shortcut_is_exact():
+    tagger = language.Tagger(language.Model(["a", "b", "c"], np.zeros((language.BUCKETS, 3)), {}), 12.0)
+    e = np.array([[0.0, -20, -9], [-20, 0, -9]])
+    assert tagger.paths(e, np.array([2])).tolist() == tagger.viterbi(e).tolist() == [0, 1]
+    rng = np.random.default_rng(6)
+    value = lambda b, p: b[np.arange(len(b)), p].sum() - 12.0 * np.count_nonzero(np.diff(p))
+    blocks = [rng.choice([0.0, -3.0, -6.0, -9.0, -20.0], (n, 3)) for n in rng.integers(1, 7, 400)]
+    path, at = tagger.paths(np.concatenate(blocks), np.cumsum([len(b) for b in blocks])), 0
+    for b in blocks:
+        assert abs(value(b, path[at : at + len(b)]) - value(b, tagger.viterbi(b))) < 1e-9
+        at += len(b)
+
+
 def test_language_mixed_text_and_no_letters(spark):
     rows = [(i, t, lang) for i, (t, lang) in enumerate([("the house and the garden with flowers", "en"), ("das haus und der garten mit blumen", "de")] * 8)]
     model = language.fit(spark.createDataFrame(rows + [(99, None, "en"), (98, "x", None)], "doc_id long, text string, lang string"))

@@ -6,9 +6,9 @@ hold most letters. Letters of words in scripts that no language was learned in c
 the text. The margin of a text is the log-likelihood per letter that its leading language has, on the words of its spans,
 over a background where all n-grams seen in training are equally likely; text unlike anything learned lies below zero.
 
-Most texts need no table: where no stretch of words favours another language by more than the penalty, the path that
-stays in one language is optimal (each stretch elsewhere costs a switch and gains less), which numpy shows for a whole
-batch at once. The others are decoded word by word.
+Most texts need no table: where no stretch of words favours another language by more than half the penalty, the path that
+stays in the best single language is optimal (two stretches or more, m, gain at most m/2 penalties and cost m-1 switches),
+which numpy shows for a whole batch at once. The others are decoded word by word.
 
 Results: null texts, and texts without a letter of a learned script, are 'und' with score and margin 0; training rows without a text or language are
 left out; with nothing to learn from every text is 'und'; ties go to the language that sorts first; rows that repeat
@@ -235,7 +235,7 @@ class Tagger:
         low = np.minimum.accumulate(low, axis=0) + step * doc[:, None]
         here = total - before[starts[full]][doc]
         best = np.maximum.reduceat((here - low).max(1), starts[full])
-        for i in np.flatnonzero(best > self.penalty - 1e-6):
+        for i in np.flatnonzero(best > self.penalty / 2 - 1e-6):
             s, t = starts[full[i]], ends[full[i]]
             path[s:t] = self.viterbi(e[s:t])
         return path
