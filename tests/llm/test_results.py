@@ -462,6 +462,17 @@ def test_warc(spark, sf, least):
     assert few.count() == sum(1 for r in got.collect() if r["record_type"] == "revisit")
 
 
+def test_warc_repeated_id_with_two_payloads(spark):
+    rows = [(5, "a", "X" * 50), (5, "b", "Y" * 60), (9, "c", "X" * 50), (7, "d", "Z"), (7, "e", "W"), (8, "f", "Z"), (8, "g", "W")]
+    uri = Scratch(spark, "warc").path("twice")
+    assert warc.write(spark.createDataFrame(rows, "page_id long, url string, html string"), uri) == len(rows)
+    got = {r["target_uri"]: (r["record_type"], r["refers_to"], r["payload"] and bytes(r["payload"])) for r in warc.read(spark, uri, verify=True).collect()}
+    assert got == {
+        "a": ("revisit", "<urn:page:9>", None), "b": ("response", None, b"Y" * 60), "c": ("response", None, b"X" * 50), "d": ("revisit", "<urn:page:8>", None),
+        "e": ("revisit", "<urn:page:8>", None), "f": ("response", None, b"Z"), "g": ("response", None, b"W"),
+    }
+
+
 def test_warc_pushdown_and_foreign_members(spark, tmp_path):
     import gzip
 

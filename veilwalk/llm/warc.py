@@ -68,14 +68,14 @@ def member(data: bytes, level: int = 6) -> bytes:
 
 
 def revisits(pages: DataFrame, least: int = 0) -> DataFrame:
-    """(page_id, refers_to) of pages whose payload of at least that many bytes a page of larger id has as well.
+    """(page_id, h, n, refers_to) of pages whose payload of at least that many bytes, of digest h and length n, a page of larger id has as well.
 
     Payloads are compared by digest and length; counts per digest are combined before they are dealt.
     """
     keyed = pages.where("page_id is not null").select("page_id", F.sha1("html").alias("h"), F.octet_length("html").alias("n"))
     keyed = keyed.where(F.col("n") >= least)
     best = keyed.groupBy("h", "n").agg(F.max("page_id").alias("refers_to"), F.count("*").alias("c")).where("c > 1").drop("c")
-    return keyed.join(best, ["h", "n"]).where("page_id < refers_to").select("page_id", "refers_to").distinct()
+    return keyed.join(best, ["h", "n"]).where("page_id < refers_to").select("page_id", "h", "n", "refers_to").distinct()
 
 
 def write(pages: DataFrame, uri: str, least: int = 0, level: int = 6) -> int:
@@ -84,7 +84,8 @@ def write(pages: DataFrame, uri: str, least: int = 0, level: int = 6) -> int:
     Whole records are dealt by page id, which no group of equal payloads can make uneven.
     """
     pages = pages.select(F.col("page_id").cast("long"), "url", F.coalesce("html", F.lit("")).alias("html"))
-    marked = pages.join(revisits(pages, least), "page_id", "left").select("page_id", "url", "html", "refers_to")
+    keyed = pages.withColumns({"h": F.sha1("html"), "n": F.octet_length("html")})
+    marked = keyed.join(revisits(pages, least), ["page_id", "h", "n"], "left").select("page_id", "url", "html", "refers_to")
 
     def store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part = TaskContext.get().partitionId()
