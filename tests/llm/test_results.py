@@ -246,6 +246,42 @@ def test_alike_links_are_exact(spark):
     assert {r["doc_id"]: r["component_id"] for r in simhash.alike(df).collect()} == want
 
 
+def test_spanning_sets_equal_all_pairs():
+    """Components of links equal those of all pairs, of one tile and of two, at sizes around the limits."""
+    rng = np.random.default_rng(21)
+    for _ in range(60):
+        pool = rng.integers(0, 1 << 63, 60, dtype=np.uint64)
+        sets = []
+        for _ in range(int(rng.integers(2, 40))):
+            base = pool[: rng.integers(1, 60)] if rng.random() < 0.7 else rng.choice(pool, rng.integers(1, 30), replace=False)
+            sets.append(np.unique(np.r_[base[rng.random(len(base)) < rng.uniform(0.8, 1)], rng.integers(0, 1 << 63, rng.integers(1, 5), dtype=np.uint64)]))
+        share = lambda a, b: len(np.intersect1d(a, b)) / len(np.union1d(a, b))
+        near = [(i, j) for i in range(len(sets)) for j in range(i) if share(sets[i], sets[j]) >= 0.8]
+        assert brute_components(range(len(sets)), simhash.spanning_sets(sets, None, 0.8)) == brute_components(range(len(sets)), near)
+        side = rng.integers(0, 2, len(sets))
+        across = [(i, j) for i, j in near if side[i] != side[j]]
+        assert brute_components(range(len(sets)), simhash.spanning_sets(sets, side, 0.8)) == brute_components(range(len(sets)), across)
+
+
+def test_alike_finds_all_near_copies_of_large_groups(spark, monkeypatch):
+    """Groups of copies with different numbers of edits, cut into several tiles: every link of 0.8 and more joins, none below does."""
+    rng = np.random.default_rng(22)
+    word = lambda: "".join(rng.choice(list("abcdefghijklmnop"), 8))
+    rows = []
+    for _ in range(4):
+        base = [word() for _ in range(rng.integers(60, 200))]
+        for c in range(60):
+            t = list(base)
+            for _ in range(int(len(t) * rng.uniform(0, 0.05) * (c > 0))):
+                t[rng.integers(len(t))] = word()
+            rows.append((len(rows), " ".join(t)))
+    want, share = exact_alike(rows)
+    assert sum(j >= 0.8 for j in share.values()) > 200 and sum(0.6 < j < 0.8 for j in share.values()) > 500
+    monkeypatch.setattr(simhash, "CHUNK", 2000)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert {r["doc_id"]: r["component_id"] for r in simhash.alike(df).collect()} == want
+
+
 # tokens
 
 

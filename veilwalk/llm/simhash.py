@@ -23,15 +23,17 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilwalk.llm.common import Scratch, arrow_map, connected_components, text_buffer
-
-#: Sketches of documents that are alike: 64-bit words, one bit of each for each minimum; minima of a band; the
-#: dissimilarity allowed; and the bits that may differ before a pair is not worth a look (at a similarity of 0.8: 19
-#: expected, standard deviation 5.7, so six of them above).
-WIDE, BAND, UNLIKE, FAR = 3, 3, 0.2, 54
-MINIMA = 64
-#: Runs of one band up to this size give all their pairs at once; larger ones a spanning set first.
-SPANNED_RUN = 8
+from veilwalk.llm.common import Forest, Scratch, arrow_map, connected_components, text_buffer
+
+#: Sketches of documents that are alike: 64-bit words, one bit for each minimum; minima of a band, bands, the
+#: dissimilarity allowed; and the bits that may differ before a pair is not worth a look (at a similarity of 0.8: 25.6
+#: expected, standard deviation 4.8, so five of them above).
+WIDE, BAND, BANDS, UNLIKE, FAR = 4, 3, 21, 0.2, 51
+MINIMA = 64 * WIDE
+#: Runs of one band up to this size give all their pairs, larger ones pairs that span them.
+SPANNED_RUN = 64
+#: Shingles of one tile of a family.
+CHUNK = 1 << 19
 
 SEED = 42
 MAX_BITS = 3
@@ -78,16 +80,15 @@ FACTORS |= np.uint64(1)
 def minima(hashes: np.ndarray) -> np.ndarray:
     """The least value over the hashes of each of MINIMA functions; two sets share one with the chance of their Jaccard similarity."""
     least = np.full(MINIMA, np.iinfo(np.uint64).max, np.uint64)
-    for at in range(0, len(hashes), 2048):
-        least = np.minimum(least, ((hashes[at : at + 2048] ^ XORS) * FACTORS).min(1))
+    for at in range(0, len(hashes), 256):
+        least = np.minimum(least, ((hashes[at : at + 256] ^ XORS) * FACTORS).min(1))
     return least
 
 
 def band_keys(least: np.ndarray) -> np.ndarray:
     """A key for each BAND minima of rows of minima, different in each band."""
-    n = MINIMA // BAND
-    parts = least[:, : n * BAND].reshape(len(least), n, BAND)
-    key = np.broadcast_to(np.arange(n, dtype=np.uint64), parts.shape[:2])
+    parts = least[:, : BANDS * BAND].reshape(len(least), BANDS, BAND)
+    key = np.broadcast_to(np.arange(BANDS, dtype=np.uint64), parts.shape[:2])
     for k in range(BAND):
         key = _mixed(key * np.uint64(0x9E3779B97F4A7C15) + parts[:, :, k])
     return key
@@ -224,25 +225,25 @@ def _node(kinds: np.ndarray) -> int:
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame:
-    """(doc_id, node, w0, w1, w2, keys): number, bits of the minima and band keys of each row's set of shingles; no keys without words."""
+    """(doc_id, node, kinds, w0..w3, keys): number, size, bits of the minima and band keys of each row's set of shingles; no keys without words."""
     names = [f"w{k}" for k in range(WIDE)]
 
     def run(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         raw, offsets = text_buffer(b.column(1))
         data, n = memoryview(raw), b.num_rows
-        nodes, least, full = np.zeros(n, np.uint64), np.zeros((n, MINIMA), np.uint64), np.zeros(n, bool)
+        nodes, least, size = np.zeros(n, np.uint64), np.zeros((n, MINIMA), np.uint64), np.zeros(n, np.int64)
         for i, (s, e) in enumerate(zip(offsets[:-1], offsets[1:], strict=True)):
             kinds = np.unique(shingle_hashes(bytes(data[s:e]), width))
-            nodes[i], least[i], full[i] = _node(kinds), minima(kinds), len(kinds) > 0
-        mixed = _mixed(least)
-        words = [np.packbits((mixed >> np.uint64(k) & np.uint64(1)).astype(np.uint8), axis=1, bitorder="little").view("<i8")[:, 0] for k in range(WIDE)]
-        keys = band_keys(least).view(np.int64)
-        ends = np.r_[0, np.cumsum(full * keys.shape[1])].astype(np.int32)
-        cols = [pa.array(nodes.view(np.int64)), *[pa.array(w.copy()) for w in words], pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[full].ravel()))]
-        yield pa.RecordBatch.from_arrays([b.column(0), *cols], names=["doc_id", "node", *names, "keys"])
+            nodes[i], least[i], size[i] = _node(kinds), minima(kinds), len(kinds)
+        bits = (_mixed(least) & np.uint64(1)).astype(np.uint8)
+        words = np.packbits(bits, axis=1, bitorder="little").view("<i8").reshape(n, WIDE)
+        keys, full = band_keys(least).view(np.int64), size > 0
+        ends = np.r_[0, np.cumsum(full * BANDS)].astype(np.int32)
+        cols = [pa.array(nodes.view(np.int64)), pa.array(size), *[pa.array(words[:, k].copy()) for k in range(WIDE)], pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[full].ravel()))]
+        yield pa.RecordBatch.from_arrays([b.column(0), *cols], names=["doc_id", "node", "kinds", *names, "keys"])
 
-    rows = docs.where(docs[id_col].isNotNull()).select(docs[id_col].cast("long").alias("doc_id"), docs[text_col])
-    return arrow_map(rows, run, "doc_id long, node long, " + ", ".join(f"{n} long" for n in names) + ", keys array<long>")
+    rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col]).where("doc_id is not null")
+    return arrow_map(rows, run, "doc_id long, node long, kinds long, " + ", ".join(f"{n} long" for n in names) + ", keys array<long>")
 
 
 def _far(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -301,91 +302,125 @@ def _runs(batches: Iterator[pa.RecordBatch], names: list[str]) -> Iterator[list[
         yield held
 
 
-def _apart(nodes: np.ndarray, roots: np.ndarray, fps: np.ndarray, limit: int) -> Iterator[np.ndarray]:
-    """Rows of pairs of one run that are near in bits and of different roots."""
-    for i in range(len(nodes) - 1):
-        rest = np.flatnonzero(roots[i + 1 :] != roots[i]) + i + 1
-        rest = rest[_far(fps[rest], fps[i]) <= limit]
-        if len(rest):
-            yield np.c_[np.full(len(rest), nodes[i]), nodes[rest]]
-
-
-def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, id_col: str, text_col: str, width: int, least: float, scratch: Scratch, name: str) -> DataFrame:
-    """The pairs (a, b) of nodes whose sets of shingles have at least that Jaccard similarity, computed from the texts of their documents."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "first_id"), "node").select("first_id").distinct()
-    rows = docs.select(docs[id_col].cast("long").alias("first_id"), docs[text_col].alias("text")).join(wanted, "first_id", "left_semi")
-
-    def sets(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        raw, offsets = text_buffer(b.column(1))
-        data = memoryview(raw)
-        kinds = [np.unique(shingle_hashes(bytes(data[s:e]), width)) for s, e in zip(offsets[:-1], offsets[1:], strict=True)]
-        found = pa.array(np.array([_node(x) for x in kinds], np.uint64).view(np.int64))
-        yield pa.RecordBatch.from_arrays([found, pa.array([x.tobytes() for x in kinds], pa.binary())], names=["node", "kinds"])
-
-    held = scratch.save(arrow_map(rows, sets, "node long, kinds binary"), f"sets-{name}")
-
-    def compare(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        keep = np.zeros(b.num_rows, bool)
-        for i, (x, y) in enumerate(zip(b.column(2), b.column(3), strict=True)):
-            x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-            if min(len(x), len(y)) < least * max(len(x), len(y)) - 1e-9:
-                continue
-            both = len(np.intersect1d(x, y, assume_unique=True))
-            keep[i] = both >= least * (len(x) + len(y) - both) - 1e-9
-        yield pa.RecordBatch.from_arrays([b.column(0).filter(pa.array(keep)), b.column(1).filter(pa.array(keep))], names=["a", "b"])
-
-    left = pairs.join(held.select(F.col("node").alias("a"), F.col("kinds").alias("x")), "a")
-    both = left.join(held.select(F.col("node").alias("b"), F.col("kinds").alias("y")), "b").select("a", "b", "x", "y")
-    return scratch.save(arrow_map(both, compare, "a long, b long").distinct(), f"links-{name}")
+class Sets:
+    """Sets of shingles in one task, their tokens numbered from the rarest to the most frequent one."""
+
+    def __init__(self, sets: list[np.ndarray], least: float):
+        self.least, self.size = least, np.array([len(x) for x in sets], np.int64)
+        self.ends = np.cumsum(self.size)
+        _, token, often = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        rank = np.empty(len(often), np.int64)
+        rank[np.argsort(often, kind="stable")] = np.arange(len(often))
+        owner = np.repeat(np.arange(len(sets)), self.size)
+        order = np.lexsort((rank[token], owner))
+        self.tokens = rank[token][order]
+        self.common = np.add.reduceat(often[token], np.r_[0, self.ends[:-1]]) / self.size
+        # Sets this similar share one of the rarest tokens of each: as many as may miss in the other one, and one more.
+        self.lead = self.size - np.ceil(least * self.size - 1e-9).astype(np.int64) + 1
+        place = np.arange(len(owner)) - np.repeat(self.ends - self.size, self.size)
+        leading = place < np.repeat(self.lead, self.size)
+        by_token = np.argsort(self.tokens[leading], kind="stable")
+        self.holders = owner[leading][by_token]
+        self.holder_ends = np.cumsum(np.bincount(self.tokens[leading], minlength=len(often)))
+        self.holder_starts = np.r_[0, self.holder_ends[:-1]]
+        self.mark = np.zeros(len(often), bool)
+
+    def of(self, i: int) -> np.ndarray:
+        return self.tokens[self.ends[i] - self.size[i] : self.ends[i]]
+
+    def candidates(self, i: int) -> np.ndarray:
+        lead = self.of(i)[: self.lead[i]]
+        return np.unique(_ranges(self.holders, self.holder_starts[lead], self.holder_ends[lead]))
+
+    def alike(self, i: int, others: np.ndarray) -> np.ndarray:
+        """Those others whose similarity to set i is at least the limit."""
+        small, large = np.minimum(self.size[others], self.size[i]), np.maximum(self.size[others], self.size[i])
+        others = others[small >= self.least * large - 1e-9]
+        if not len(others):
+            return others
+        self.mark[self.of(i)] = True
+        held = self.mark[_ranges(self.tokens, self.ends[others] - self.size[others], self.ends[others])]
+        both = np.add.reduceat(held.astype(np.int64), np.r_[0, np.cumsum(self.size[others])[:-1]])
+        self.mark[self.of(i)] = False
+        return others[both >= self.least * (self.size[i] + self.size[others] - both) - 1e-9]
+
+
+def _ranges(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Slices of values laid end to end."""
+    n = ends - starts
+    return values[np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(starts, n)]
+
+
+def spanning_sets(sets: list[np.ndarray], side: np.ndarray | None, least: float) -> list[tuple[int, int]]:
+    """Links (indices) that join the components of pairs with at least that Jaccard similarity, each of them exact.
+
+    With sides only pairs of both sides count. The sets that share most with others lead, so that copies of one text
+    join it first; what is joined already is not compared again. No pair is left out.
+    """
+    s, component, open_, edges = Sets(sets, least), np.arange(len(sets)), np.ones(len(sets), bool), []
+    for i in np.argsort(-s.common, kind="stable"):
+        open_[i] = False
+        near = s.candidates(i)
+        near = near[open_[near] & (component[near] != component[i])]
+        if side is not None:
+            near = near[side[near] != side[i]]
+        for j in s.alike(i, near):
+            if component[j] != component[i]:
+                component[component == component[j]] = component[i]
+                edges.append((int(i), int(j)))
+    return edges
 
 
 def alike(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, unlike: float = UNLIKE) -> DataFrame:
     """(doc_id, component_id) of documents linked where the Jaccard similarity of their shingles is at least 1 - unlike.
 
-    Every link is verified by its exact similarity. Candidates share a band of three minima and differ in at most FAR bits
-    of their sketches: of pairs at a similarity of 0.8, 21 bands miss fewer than one in a million. Equal sets of shingles
-    collapse before. Large runs of a band give a spanning set of candidates first; their pairs that verified links did not
-    join are all looked at afterwards.
+    Equal sets of shingles collapse before. Sets that agree in a segment of three minima and differ in at most FAR bits of
+    their sketches form families; of pairs at a similarity of 0.8 fewer than one in a million fall to different ones.
+    Within a family links are found by exact similarity, a pair of tiles at a time: a set is dealt once for each tile of
+    its family, and no pair of sets is ever a row.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "alike")
     names, least = [f"w{k}" for k in range(WIDE)], 1 - unlike
     rows = scratch.save(sketches(docs, id_col, text_col, width), "rows")
-    nodes = scratch.save(rows.groupBy("node").agg(F.min("doc_id").alias("first_id"), *[F.first(c).alias(c) for c in (*names, "keys")]), "nodes")
+    nodes = scratch.save(rows.groupBy("node").agg(F.min("doc_id").alias("first_id"), *[F.first(c).alias(c) for c in ("kinds", *names, "keys")]), "nodes")
     dealt = nodes.select(F.explode("keys").alias("key"), "node", *names).repartition("key").sortWithinPartitions("key")
 
-    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def join(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for key, node, *words in _runs(batches, ["node", *names]):
-            fps = np.stack(words, 1).view(np.uint64)
-            e = np.array(_wide_links(key, np.zeros(len(key), bool), node, fps, FAR, SPANNED_RUN), np.int64).reshape(-1, 2)
-            e = np.unique(np.sort(e, axis=1), axis=0)
-            cuts = np.flatnonzero(np.diff(key)) + 1
-            size = np.diff(np.r_[0, cuts, len(key)])
-            big = np.repeat(size > SPANNED_RUN, size)
-            a, b, large = np.r_[e[:, 0], key[big]], np.r_[e[:, 1], node[big]], np.r_[np.zeros(len(e), bool), np.ones(big.sum(), bool)]
-            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(large)], names=["a", "b", "large"])
-
-    hits = scratch.save(dealt.mapInArrow(first, "a long, b long, large boolean"), "hits")
-    linked = verified(hits.where("not large").select("a", "b").distinct(), nodes, docs, id_col, text_col, width, least, scratch, "first")
-    roots = connected_components(linked, scratch)
-
-    member = hits.where("large").select(F.col("a").alias("key"), F.col("b").alias("node")).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    open_keys = member.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("key")
-    parted = scratch.save(member.join(open_keys, "key", "left_semi"), "parted")
-    if not parted.isEmpty():
-
-        def second(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for key, node, root, *words in _runs(batches, ["node", "root", *names]):
-                fps, cuts = np.stack(words, 1).view(np.uint64), np.flatnonzero(np.diff(key)) + 1
-                for s, t in zip(np.r_[0, cuts], np.r_[cuts, len(key)], strict=True):
-                    for e in _apart(node[s:t], root[s:t], fps[s:t], FAR):
-                        e = np.sort(e, axis=1)
-                        yield pa.RecordBatch.from_arrays([pa.array(e[:, 0].copy()), pa.array(e[:, 1].copy())], names=["a", "b"])
-
-        again = parted.join(nodes.select("node", *names), "node").select("key", "node", "root", *names).repartition("key").sortWithinPartitions("key")
-        pairs = scratch.save(again.mapInArrow(second, "a long, b long").distinct(), "rest")
-        more = verified(pairs, nodes, docs, id_col, text_col, width, least, scratch, "second")
-        roots = connected_components(linked.union(more), Scratch(spark, "alike"))
+            forest = Forest()
+            forest.add(_wide_links(key, np.zeros(len(key), bool), node, np.stack(words, 1).view(np.uint64), FAR, SPANNED_RUN))
+            e = forest.stars()
+            yield pa.RecordBatch.from_arrays([pa.array(e[:, 0].copy()), pa.array(e[:, 1].copy())], names=["a", "b"])
+
+    families = connected_components(dealt.mapInArrow(join, "a long, b long"), scratch)
+    members = families.join(nodes.select("node", "first_id", "kinds"), "node").withColumnRenamed("root", "family")
+    tiles = members.groupBy("family").agg(F.ceil(F.sum("kinds") / CHUNK).alias("tiles"))
+    members = scratch.save(members.join(tiles, "family").select("node", "family", "first_id", "tiles"), "members")
+    wanted = members.select("first_id").distinct()
+    texts_of = docs.select(docs[id_col].cast("long").alias("first_id"), docs[text_col].alias("text")).join(wanted, "first_id", "left_semi")
+
+    def sets(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        raw, offsets = text_buffer(b.column(1))
+        data = memoryview(raw)
+        kinds = [np.unique(shingle_hashes(bytes(data[s:e]), width)) for s, e in zip(offsets[:-1], offsets[1:], strict=True)]
+        found = pa.array(np.array([_node(x) for x in kinds], np.uint64).view(np.int64))
+        yield pa.RecordBatch.from_arrays([found, pa.array([x.tobytes() for x in kinds], pa.binary())], names=["node", "set"])
+
+    held = arrow_map(texts_of, sets, "node long, set binary").join(members.select("node", "family", "tiles"), "node")
+    held = held.withColumn("tile", F.pmod(F.xxhash64("node"), "tiles")).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("tiles") - 1)))
+    held = held.select("family", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"), "tile", "node", "set")
+
+    def links(t: pa.Table) -> pa.Table:
+        node, first = np.unique(t["node"].to_numpy(), return_index=True)  # rows that repeat an id repeat its set
+        side = t["tile"].to_numpy()[first] if t["i"][0].as_py() != t["j"][0].as_py() else None
+        column = t["set"].combine_chunks()
+        found = spanning_sets([np.frombuffer(column[int(k)].as_buffer(), np.uint64) for k in first], side, least) if len(node) > 1 else []
+        e = np.array(found, np.int64).reshape(-1, 2)
+        return pa.table([pa.array(node[e[:, 0]]), pa.array(node[e[:, 1]])], names=["a", "b"])
+
+    linked = held.groupBy("family", "i", "j").applyInArrow(links, "a long, b long")
+    roots = connected_components(linked, Scratch(spark, "alike"))
     ids = nodes.select("node", "first_id").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     names_of = ids.groupBy("root").agg(F.min("first_id").alias("component_id"))
     ids = ids.join(names_of, "root").select("node", "component_id")
