@@ -664,12 +664,106 @@ def test_licenses(spark):
 
 def test_licenses_find_planted_lines(spark):
     planted = {"Licensed under CC BY-NC 4.0.": "cc-by-nc-4.0", "Licensed under the Apache License, Version 2.0.": "apache-2.0", "Released under the MIT License.": "mit", "All rights reserved.": "proprietary", "This work is licensed under the GNU General Public License, version 3.": "gpl-3.0"}
-    got = {r["doc_id"]: r["license"] for r in entry.op1_license_scan(spark, "/root/testdata/sf0.01").collect()}
+    rows = entry.op1_license_scan(spark, "/root/testdata/sf0.01").collect()
+    got = {r["doc_id"]: r["license"] if r["origin"] == "own" else None for r in rows}
+    above = {r["path"][: -len("/LICENSE.txt")]: r["license"] for r in rows if r["path"].endswith("/LICENSE.txt") and r["origin"] == "own"}
+    for r in rows:  # the nearest licence file upwards, found one directory at a time
+        folder, want = r["path"].rsplit("/", 1)[0], None
+        while want is None and folder:
+            want, folder = above.get(folder), folder.rpartition("/")[0]
+        assert r["origin"] == "own" or (r["license"], r["origin"]) == (want, want and "inherited"), r["path"]
     for r in table(spark, "/root/testdata/sf0.01", "documents").collect():
         names = [n for line, n in planted.items() if line in r["text"].split("\n")]
         assert (got[r["doc_id"]] in names) if names else got[r["doc_id"]] is None, r["doc_id"]
 
 
+MIT_OPENING = """MIT License
+
+Copyright (c) 2024 Jane Doe
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+"""
+BSD_TWO = """Copyright (c) 2020, Some One. All rights reserved.
+
+Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+"""
+BSD_THREE = BSD_TWO + """3. Neither the name of the copyright holder nor the names of its
+   contributors may be used to endorse or promote products derived from
+   this software without specific prior written permission.
+"""
+APACHE_HEADING = "            Apache License\n      Version 2.0, January 2004\n   http://www.apache.org/licenses/\n"
+GPL_HEADING = """                    GNU GENERAL PUBLIC LICENSE
+                       Version 3, 29 June 2007
+
+ Copyright (C) 2007 Free Software Foundation, Inc. <https://fsf.org/>
+ Everyone is permitted to copy and distribute verbatim copies
+ of this license document, but changing it is not allowed.
+"""
+GPL_HEADER = """/*
+ * This program is free software: you can redistribute it and/or modify
+ * it under the terms of the GNU General Public License as published by
+ * the Free Software Foundation, either version 2 of the License, or
+ * (at your option) any later version.
+ */
+int main() {}
+"""
+
+
+def test_licenses_of_whole_files_and_headers(spark):
+    files = {
+        "m/LICENSE": (MIT_OPENING, "mit"), "m/a.c": ("int x;", "mit"), "b/COPYING": (BSD_TWO, "bsd-2-clause"), "c/LICENSE.md": (BSD_THREE, "bsd-3-clause"),
+        "d/COPYING": (APACHE_HEADING, "apache-2.0"), "e/LICENSE": (GPL_HEADING, "gpl-3.0"), "e/f/g.py": ("import os", "gpl-3.0"),
+        "h/a.c": ("// SPDX-License-Identifier: MIT\nint x;", "mit"), "h/b.py": ("# SPDX-License-Identifier: Apache-2.0", "apache-2.0"),
+        "h/c.c": ("/* SPDX-License-Identifier: GPL-2.0-only WITH Linux-syscall-note */", "gpl-2.0"), "h/d.rs": ("// SPDX-License-Identifier: (MIT OR Apache-2.0)", "mit or apache-2.0"),
+        "h/e.c": (GPL_HEADER, "gpl-2.0"), "h/f.c": (MIT_OPENING, "mit"), "h/g.txt": ("Copyright 2020 X. All rights reserved.", "proprietary"), "h/h.txt": ("all rights of man are reserved by permission", None),
+    }
+    columns = "dir string, given int, origin string, license int, up int, file int, path string, text string"
+    df = spark.createDataFrame([("x", 1, "o", 2, 3, 4, p, t) for p, (t, _) in files.items()] * 2, columns)
+    got = licenses.scan(df)
+    assert got.columns == ["dir", "given", "up", "file", "path", "license", "score", "origin"]
+    rows = got.collect()
+    assert len(rows) == 2 * len(files) and {(r["path"], r["license"]) for r in rows} == {(p, x) for p, (_, x) in files.items()}
+    assert {r["path"] for r in rows if r["origin"] == "inherited"} == {"m/a.c", "e/f/g.py"} and all((r["dir"], r["given"], r["up"], r["file"]) == ("x", 1, 3, 4) for r in rows)
+
+
+def test_licenses_cosine_equals_dense_vectors(spark):
+    """Scores by shared terms equal those of dense TF-IDF vectors, with frequencies counted over all files."""
+    rng = np.random.default_rng(5)
+    words = [*licenses.VOCABULARY, "foo", "bar", "baz", "7.1"]
+    files = [" ".join(rng.choice(words, rng.integers(0, 60))) for _ in range(120)] + [None, ""]
+    frequency, n = licenses.frequencies(spark.createDataFrame([(t,) for t in files], "text string"))
+    assert n == len(files) and frequency == {w: sum(w in licenses.terms(t or "") for t in files) for w in licenses.VOCABULARY}
+    at = {w: i for i, w in enumerate(words)}
+    weight = np.array([math.log((1 + n) / (1 + frequency.get(w, 0))) + 1 for w in words])
+
+    def dense(text):
+        v = np.zeros(len(words))
+        for t, c in licenses.terms(text).items():
+            v[at[t]] = c
+        return v * weight
+
+    scorer = licenses.Scorer(frequency, n)
+    names = [k for k in sorted(licenses.TEMPLATES) for _ in licenses.TEMPLATES[k]]
+    templates = np.stack([dense(t) for k in sorted(licenses.TEMPLATES) for t in licenses.TEMPLATES[k]])
+    templates /= np.linalg.norm(templates, axis=1, keepdims=True)
+    for text in [t for t in files if t] + ["Released under the MIT License.", "foo bar"]:
+        cosine = templates @ dense(text) / np.linalg.norm(dense(text))
+        name, score = scorer.best(text)
+        assert abs(score - cosine.max()) < 1e-9 and (score < 1e-9 or cosine[[k for k, x in enumerate(names) if x == name]].max() > cosine.max() - 1e-9)
+
+
 # all operators on empty and awkward tables
 
 

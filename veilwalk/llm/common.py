@@ -99,6 +99,23 @@ def numbered(df: DataFrame, scratch: Scratch, name: str, keys: list[str], out: s
     return saved.join(F.broadcast(starts), "_part").withColumn(out, F.col("_start") + F.col("_row")).drop("_part", "_row", "_start")
 
 
+#: Keys with more rows than this are hot; a hot key's rows are dealt over so many tasks.
+HOT_ROWS, SPREAD = 1 << 20, 64
+
+
+def spread_join(left: DataFrame, right: DataFrame, key: str, by: list[str], how: str = "inner") -> DataFrame:
+    """left joined to right, which has one row for each key; rows of a hot key or a null one are dealt by a hash of the columns by.
+
+    Hot keys are at most left's rows / HOT_ROWS, which bounds what is broadcast: 16 MB of keys for 10^12 rows.
+    """
+    heavy = left.where(F.col(key).isNotNull()).groupBy(key).agg(F.count("*").alias("_n")).where(F.col("_n") > HOT_ROWS).select(key, F.lit(True).alias("_hot"))
+    salt = F.when(F.col("_hot") | F.col(key).isNull(), F.pmod(F.xxhash64(*by), F.lit(SPREAD))).otherwise(0)
+    dealt = left.join(F.broadcast(heavy), key, "left").withColumn("_salt", salt).drop("_hot")
+    copies = F.when(F.col("_hot"), F.sequence(F.lit(0).cast("long"), F.lit(SPREAD - 1).cast("long"))).otherwise(F.array(F.lit(0).cast("long")))
+    many = right.join(F.broadcast(heavy), key, "left").withColumn("_salt", F.explode(copies)).drop("_hot")
+    return dealt.join(many, [key, "_salt"], how).drop("_salt")
+
+
 class Forest:
     """Components of the links that one task finds; it hands on one link for each node, to its smallest companion.
 

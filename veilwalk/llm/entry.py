@@ -12,10 +12,12 @@ from veilwalk.llm.common import Scratch, shared_root, table
 
 
 def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Licence of every document; its path is made of source and id."""
+    """Licence of every document. Its path is made of source and id: folders of a hundred documents, whose first one stands for the folder's licence file."""
     docs = table(spark, sf_dir, "documents")
-    group = F.floor(F.col("doc_id") / 100).cast("string")
-    path = F.concat_ws("/", F.col("source"), group, F.concat(F.col("doc_id").cast("string"), F.lit(".txt")))
+    number = F.col("doc_id").cast("string")
+    name = F.when(F.col("doc_id") % 100 == 0, "LICENSE.txt").otherwise(F.concat(number, F.lit(".txt")))
+    folder = F.concat_ws("/", F.coalesce("source", F.lit("unknown")), F.floor(F.col("doc_id") / 1000).cast("string"), (F.floor(F.col("doc_id") / 100) % 10).cast("string"))
+    path = F.when(F.col("doc_id").isNotNull(), F.concat_ws("/", folder, name))
     files = docs.select("doc_id", path.alias("path"), "text")
     return licenses.scan(files).select("doc_id", "path", "license", F.round("score", 6).alias("score"), "origin")
 
