@@ -6,8 +6,8 @@ above; only pairs whose bound reaches the threshold are computed in double preci
 links, and links that span its components, never all pairs.
 
 Results: vectors that are null, empty, zero, or hold null or non-finite components link with nothing; only vectors of
-one length link; rows without an id are left out; rows that repeat an id count as vectors of their own; an empty table
-gives an empty result; other columns are ignored.
+one length link; rows without an id link with nothing and keep a null id; rows that repeat an id count as vectors of
+their own; an empty table gives an empty result; other columns are ignored. Work is that of all pairs of tiles.
 """
 
 from __future__ import annotations
@@ -19,11 +19,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilwalk.llm.common import Forest, Scratch, connected_components, numbered
+from veilwalk.llm.common import Forest, Scratch, connected_components, numbered, spread_join
 
 THRESHOLD = 0.9
 TILE = 8192
 ROWS, COLS = 512, 2048
+#: Pairs computed in double precision at once.
+PAIRS = 1 << 15
 #: Sums of this many products of int8 numbers are exact in single precision.
 EXACT_DIMS = 1024
 #: Relative slack for single-precision scaling of exact integers.
@@ -66,19 +68,24 @@ def _exact(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return (a * b).sum(1)
 
 
-def link_matrix(a: Tile, b: Tile, threshold: float) -> tuple[np.ndarray, np.ndarray] | np.ndarray:
-    """Links of two blocks: index pairs if candidates are few, else a truth table."""
+def link_matrix(a: Tile, b: Tile, threshold: float) -> np.ndarray:
+    """Truth table of the links of two blocks.
+
+    A product of int8 vectors lies within a known distance of the cosine: pairs surely above or surely below the
+    threshold are settled by it, all others by their cosine in double precision.
+    """
     products = int8_products(a.q, b.q)
     products *= b.scale.astype(products.dtype)
-    least = (threshold - (1 + a.lost) * b.lost.max() - a.lost) / a.scale
-    least -= np.abs(least) * SLACK + SLACK
-    maybe = products >= least[:, None].astype(products.dtype)
-    n = np.count_nonzero(maybe)
-    if n > maybe.size // 64:
-        return a.x @ b.x.T >= threshold
-    i, j = np.nonzero(maybe)
-    sure = _exact(a.x[i], b.x[j]) >= threshold
-    return i[sure], j[sure]
+    error = (1 + a.lost) * b.lost.max() + a.lost
+    low, high = (threshold - error) / a.scale, (threshold + error) / a.scale
+    low -= np.abs(low) * SLACK + SLACK
+    high += np.abs(high) * SLACK + SLACK
+    links = products >= high[:, None].astype(products.dtype)
+    i, j = np.nonzero((products >= low[:, None].astype(products.dtype)) & ~links)
+    for at in range(0, len(i), PAIRS):
+        p, q = i[at : at + PAIRS], j[at : at + PAIRS]
+        links[p, q] = _exact(a.x[p], b.x[q]) >= threshold
+    return links
 
 
 def spanning(table: np.ndarray) -> list[tuple[int, int]]:
@@ -111,21 +118,14 @@ def compare(a: Tile, b: Tile, same: bool, threshold: float) -> tuple[np.ndarray,
             if same and c + COLS <= r:
                 continue
             pb = b.part(c, c + COLS)
-            got = link_matrix(pa_, pb, threshold)
-            if isinstance(got, tuple):
-                i, j = got
-                if same:
-                    above = r + i < c + j
-                    i, j = i[above], j[above]
-                pairs = list(zip(i.tolist(), j.tolist(), strict=True))
-                na[r : r + ROWS] += np.bincount(i, pb.weight[j], len(pa_.pos)).astype(np.int64)
-                nb[c : c + COLS] += np.bincount(j, pa_.weight[i], len(pb.pos)).astype(np.int64)
-            else:
-                if same:
-                    got &= np.arange(r, r + len(pa_.pos))[:, None] < np.arange(c, c + len(pb.pos))
-                na[r : r + ROWS] += got @ pb.weight
-                nb[c : c + COLS] += pa_.weight @ got
-                pairs = spanning(got)
+            links = link_matrix(pa_, pb, threshold)
+            if same:
+                links &= np.arange(r, r + len(pa_.pos))[:, None] < np.arange(c, c + len(pb.pos))
+            if not links.any():
+                continue
+            na[r : r + ROWS] += links @ pb.weight
+            nb[c : c + COLS] += pa_.weight @ links
+            pairs = spanning(links)
             edges += [(int(pa_.pos[i]), int(pb.pos[j])) for i, j in pairs]
     return na, nb, edges
 
@@ -157,12 +157,15 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "
     """(vec_id, n_links, component_id, kept), one row for each row with an id."""
     spark = vectors.sparkSession
     scratch = Scratch(spark, "embeddings")
-    rows = vectors.where(vectors[id_col].isNotNull()).select(vectors[id_col].cast("long").alias("vec_id"), vectors[vec_col].cast("array<double>").alias("vec"))
+    vec = F.col("vec")
+    rows = vectors.select(vectors[id_col].cast("long").alias("vec_id"), vectors[vec_col].cast("array<double>").alias("vec"))
     finite = F.forall("vec", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf")))
-    usable = F.coalesce(finite & F.exists("vec", lambda v: v != 0), F.lit(False))
-    rows = rows.withColumn("vec", F.when(usable, F.col("vec")))
-    classes = rows.where("vec is not null").groupBy("vec").agg(F.min("vec_id").alias("first_id"), F.count("*").alias("weight"))
-    classes = scratch.save(classes.withColumn("h", F.xxhash64("vec")), "classes")
+    usable = F.coalesce(finite & F.exists("vec", lambda v: v != 0), F.lit(False)) & F.col("vec_id").isNotNull()
+    plain = F.transform("vec", lambda v: v + 0.0)  # -0.0 becomes 0.0, so that equal vectors have equal names
+    rows = scratch.save(rows.select("vec_id", F.when(usable, plain).alias("vec")).withColumn("class", F.when(vec.isNotNull(), F.sha2(F.to_json(F.struct("vec")), 256))), "rows")
+    classes = rows.where("vec is not null").groupBy("class").agg(F.first("vec").alias("vec"), F.min("vec_id").alias("first_id"), F.count("*").alias("weight"))
+    classes = scratch.save(classes.withColumn("h", F.xxhash64("class")), "classes")
+    rows = rows.drop("vec")
     ranked = scratch.save(numbered(classes, scratch, "ranked", ["h", "first_id"]).drop("h"), "numbered")
     n = ranked.count()
     if not n:
@@ -199,8 +202,8 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "
     counts = found.where("kind = 1").groupBy(F.col("x").alias("pos")).agg(F.sum("y").alias("links"))
     edges = found.where("kind = 0").select(F.col("x").alias("a"), F.col("y").alias("b"))
     roots = connected_components(edges, scratch).withColumnsRenamed({"node": "pos"})
-    full = ranked.join(counts, "pos", "left").join(roots, "pos", "left").withColumn("root", F.coalesce("root", "pos"))
+    full = ranked.drop("vec").join(counts, "pos", "left").join(roots, "pos", "left").withColumn("root", F.coalesce("root", "pos"))
     least = full.groupBy("root").agg(F.min("first_id").alias("component_id"))
-    full = full.join(least, "root").select("vec", (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("n_links"), "component_id")
-    out = rows.join(full, "vec", "left").select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
+    full = full.join(least, "root").select("class", (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("n_links"), "component_id")
+    out = spread_join(rows, full, "class", ["vec_id"], "left").select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
     return out.withColumn("kept", F.col("vec_id") == F.col("component_id"))
