@@ -9,8 +9,9 @@ verified in full.
 That finds near-exact copies. Documents that are alike (five-word shingles, similarity 0.8) differ in more bits; alike()
 finds candidates by bands of minima over the shingles' hashes and verifies each link by the exact similarity.
 
-Results: null or blank text has fingerprint zero, which links like any other; rows without an id are left out; rows
-that repeat an id are kept, each with its own fingerprint; an empty table gives an empty result; other columns are ignored.
+Results: null or blank text has fingerprint zero, which links like any other; components() gives rows without an id their
+fingerprint and a null component, alike() leaves them out; rows that repeat an id are kept, each with its own
+fingerprint; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilwalk.llm.common import Forest, Scratch, arrow_map, connected_components, text_buffer
+from veilwalk.llm.common import Forest, Scratch, arrow_map, connected_components, spread_join, text_buffer
 
 #: Sketches of documents that are alike: 64-bit words, one bit for each minimum; minima of a band, bands, the
 #: dissimilarity allowed; and the bits that may differ before a pair is not worth a look (at a similarity of 0.8: 25.6
@@ -103,8 +104,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         fps = [fingerprint(bytes(data[s:e]), width) for s, e in zip(offsets[:-1], offsets[1:], strict=True)]
         yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64))], names=["doc_id", "fp"])
 
-    rows = docs.where(docs[id_col].isNotNull()).select(docs[id_col].cast("long").alias("doc_id"), docs[text_col])
-    return arrow_map(rows, run, "doc_id long, fp long")
+    return arrow_map(docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col]), run, "doc_id long, fp long")
 
 
 def segment_keys(fps: DataFrame) -> DataFrame:
@@ -207,12 +207,13 @@ def components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     spark = docs.sparkSession
     scratch = Scratch(spark, "simhash")
     fps = scratch.save(fingerprints(docs, id_col, text_col, width), "fps")
-    distinct = scratch.save(fps.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "distinct")
+    distinct = scratch.save(fps.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("first_id")), "distinct")
     roots = connected_components(links(distinct.select("fp"), limit), scratch).withColumnsRenamed({"node": "fp"})
     ids = distinct.join(roots, "fp", "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     least = ids.groupBy("root").agg(F.min("first_id").alias("component_id"))
     ids = ids.join(least, "root").select("fp", "component_id")
-    return fps.join(ids, "fp").select("doc_id", "fp", "component_id")
+    component = F.when(F.col("doc_id").isNotNull(), F.col("component_id"))
+    return spread_join(fps, ids, "fp", ["doc_id"], "left").select("doc_id", "fp", component.alias("component_id"))
 
 
 def fingerprint_hex(fp: F.Column) -> F.Column:
@@ -424,7 +425,7 @@ def alike(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width
     ids = nodes.select("node", "first_id").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     names_of = ids.groupBy("root").agg(F.min("first_id").alias("component_id"))
     ids = ids.join(names_of, "root").select("node", "component_id")
-    return rows.select("doc_id", "node").join(ids, "node").select("doc_id", "component_id")
+    return spread_join(rows.select("doc_id", "node"), ids, "node", ["doc_id"]).select("doc_id", "component_id")
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", groups: DataFrame | None = None) -> DataFrame:
