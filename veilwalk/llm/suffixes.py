@@ -15,8 +15,8 @@ Equal strings have their anchors at equal places, so only suffixes that start ar
 Repeats within a batch are settled there, so a string that many documents hold reaches its bucket once for each batch.
 A task streams over sorted buckets and keeps a few numbers.
 
-Results: null and empty texts have no bytes; texts shorter than WIDTH lose nothing; rows without an id are left out;
-rows that repeat an id are one document, of which none is earlier; an empty table gives an empty result.
+Results: null and empty texts have no bytes; texts shorter than WIDTH lose nothing; rows without an id have no place
+before or after others, so they lose nothing and take nothing from others; rows that repeat an id are one document, of which none is earlier; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -211,7 +211,7 @@ RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 s
 def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """The texts (doc, text) and the repeated windows of each document (doc, places)."""
     scratch = Scratch(docs.sparkSession, "suffixes")
-    source = docs.where(docs[id_col].isNotNull()).select(docs[id_col].cast("long").alias("doc"), docs[text_col].alias("text"))
+    source = docs.select(docs[id_col].cast("long").alias("doc"), docs[text_col].alias("text"))
 
     def sample(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -219,7 +219,7 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
             q, u, doc, start, n, sides = items(raw, offsets)
             yield _settle(q, u, b.column(0).to_numpy()[doc], start * 128 + n, sides)
 
-    decided = scratch.save(_decided(source.mapInArrow(sample, ROWS + ", sides long")), "decided")
+    decided = scratch.save(_decided(source.where("doc is not null").mapInArrow(sample, ROWS + ", sides long")), "decided")
     whole = decided.where("place >= 0")
     open_ = decided.where("place < 0").groupBy("doc").agg(F.collect_list(F.bitwise_not("place")).alias("places"))
 
@@ -227,7 +227,7 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
         for b in batches:
             raw, offsets = text_buffer(b.column(1))
             values, ends = _lists(b.column(2))
-            data, ids = raw.tobytes(), b.column(0).to_numpy()
+            data, ids = raw.tobytes(), b.column(0).fill_null(0).to_numpy()  # rows without an id have no places
             digests, doc, place = [], [], []
             for k in np.flatnonzero(np.diff(ends)):
                 base = int(offsets[k])
