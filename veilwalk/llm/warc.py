@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, In, InputPartition, IsNotNull
 
-from veilwalk.llm.common import text_buffer
+from veilwalk.llm.common import spread_join, text_buffer
 
 #: Fixed values of the archive format.
 VERSION = b"WARC/1.1"
@@ -73,9 +73,9 @@ def revisits(pages: DataFrame, least: int = 0) -> DataFrame:
     Payloads are compared by digest and length; counts per digest are combined before they are dealt.
     """
     keyed = pages.where("page_id is not null").select("page_id", F.sha1("html").alias("h"), F.octet_length("html").alias("n"))
-    keyed = keyed.where(F.col("n") >= least)
-    best = keyed.groupBy("h", "n").agg(F.max("page_id").alias("refers_to"), F.count("*").alias("c")).where("c > 1").drop("c")
-    return keyed.join(best, ["h", "n"]).where("page_id < refers_to").select("page_id", "h", "n", "refers_to").distinct()
+    keyed = keyed.where(F.col("n") >= least).withColumn("k", F.concat_ws(":", "h", "n"))
+    best = keyed.groupBy("k").agg(F.max("page_id").alias("refers_to"), F.count("*").alias("c")).where("c > 1").drop("c")
+    return spread_join(keyed, best, "k", ["page_id"]).where("page_id < refers_to").select("page_id", "h", "n", "refers_to").distinct()
 
 
 def write(pages: DataFrame, uri: str, least: int = 0, level: int = 6) -> int:
