@@ -6,7 +6,8 @@ two-bit lengths; control bytes and data bytes lie apart, so that numpy decodes t
 A part file holds whole documents in ascending id order:
   magic, number of documents, doc ids (int64), tokens of each document (int64), bytes of controls, bytes of data,
   control bytes, data bytes. Integers are little-endian. The rank table is one more file, vocabulary.bin (uint32).
-Parts are named by number, written whole and renamed, so a task that runs again replaces its own part.
+Parts are named by number of task and file, written whole and renamed, so a task that runs again replaces its own parts.
+A part closes at PART_TOKENS, so a task holds no more than that and one batch.
 
 Results: null and empty texts hold the end id alone; rows without an id come first with a null id (written as the
 smallest int64); rows that repeat an id are kept; an empty table gives no part; other columns are ignored.
@@ -28,6 +29,8 @@ from veilwalk.llm.tokens import default_path, encoder
 
 VOCABULARY = "word_bpe_49k.json"
 END_ID = 1
+#: Tokens after which a task begins another file.
+PART_TOKENS = 1 << 25
 MAGIC = b"VWTOK001"
 NO_ID = -(1 << 63)
 
@@ -147,17 +150,26 @@ def write(docs: DataFrame, uri: str, scratch: Scratch, id_col: str = "doc_id", t
     ordered = kept.repartitionByRange("doc_id").sortWithinPartitions("doc_id").withColumn("part", F.spark_partition_id())
 
     def store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, ids, counts, coded = 0, [], [], []
+        part, k, ids, counts, coded, held = 0, 0, [], [], [], 0
+
+        def close() -> pa.RecordBatch:
+            put_file(f"{uri}/part-{part:08d}-{k:06d}.tok", part_bytes(ids, np.array(counts, np.int64), np.concatenate(coded)))
+            return pa.RecordBatch.from_arrays([pa.array([x], pa.int64()) for x in (part, len(ids), sum(counts))], names=["part", "docs", "tokens"])
+
         for b in batches:
+            for doc, n, x in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
+                if held and held + n > PART_TOKENS:
+                    yield close()
+                    k, ids, counts, coded, held = k + 1, [], [], [], 0
+                ids.append(NO_ID if doc is None else doc)
+                counts.append(n)
+                coded.append(rank[np.frombuffer(x.as_buffer(), width)])
+                held += n
             if b.num_rows:
                 part = b.column(3)[0].as_py()
-                ids += [NO_ID if x is None else x for x in b.column(0).to_pylist()]
-                counts += b.column(1).to_pylist()
-                coded.append(rank[np.frombuffer(b"".join(b.column(2).to_pylist()), width)])
+                coded = [np.concatenate(coded)]
         if ids:
-            put_file(f"{uri}/part-{part:08d}.tok", part_bytes(ids, np.array(counts, np.int64), np.concatenate(coded)))
-            one = [part, len(ids), sum(counts)]
-            yield pa.RecordBatch.from_arrays([pa.array([x], pa.int64()) for x in one], names=["part", "docs", "tokens"])
+            yield close()
 
     manifest = ordered.mapInArrow(store, "part long, docs long, tokens long")
     rows = [tuple(r) for r in manifest.collect()]  # one row for each file
@@ -175,20 +187,21 @@ def read(spark: SparkSession, uri: str) -> DataFrame:
     with fs.open_input_file(path) as f:
         by_rank = np.frombuffer(f.read(), "<u4")
 
-    def part_of(name: str) -> int:
-        return int(name.rsplit("part-", 1)[1].removesuffix(".tok"))
+    def part_of(name: str) -> str:
+        return name.rsplit("part-", 1)[1].removesuffix(".tok")
 
     def sizes(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         parts, tokens = [], []
-        for name, content in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-            buffer = content.as_buffer()
-            docs = int(np.frombuffer(buffer, "<i8", 1, 8)[0])
-            parts.append(part_of(name))
-            tokens.append(int(np.frombuffer(buffer, "<i8", docs, 32 + 8 * docs).sum()))
-        yield pa.RecordBatch.from_arrays([pa.array(parts, pa.int64()), pa.array(tokens, pa.int64())], names=["part", "tokens"])
+        for name in map(part_of, b.column(0).to_pylist()):  # headers alone are read here
+            fs, path = pafs.FileSystem.from_uri(f"{uri}/part-{name}.tok")
+            with fs.open_input_file(path) as f:
+                docs = int(np.frombuffer(f.read_at(8, 8), "<i8")[0])
+                tokens.append(int(np.frombuffer(f.read_at(8 * docs, 32 + 8 * docs), "<i8").sum()))
+            parts.append(name)
+        yield pa.RecordBatch.from_arrays([pa.array(parts, pa.string()), pa.array(tokens, pa.int64())], names=["part", "tokens"])
 
     before, total = {}, 0
-    for r in sorted(arrow_map(files.select("path", "content"), sizes, "part long, tokens long").collect()):
+    for r in sorted(arrow_map(files.select("path"), sizes, "part string, tokens long").collect()):  # one row for each file
         before[r["part"]], total = total, total + r["tokens"]
 
     def run(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
