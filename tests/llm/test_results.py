@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 import xxhash
 
-from veilwalk.llm import decontaminate, embeddings, entry, language, licenses, packing, pii, simhash, suffixes, tokenfile, warc
+from veilwalk.llm import common, decontaminate, embeddings, entry, language, licenses, packing, pii, simhash, suffixes, tokenfile, warc
 from veilwalk.llm.common import Scratch, connected_components, table
 from veilwalk.llm.tokens import ChunkEncoder, default_path
 
@@ -525,6 +525,40 @@ def test_warc_pushdown_and_foreign_members(spark, tmp_path):
     assert reader.wanted == {"record_type": {"response"}} and len(left) == 1
 
 
+def test_warc_skips_unwanted_payloads(tmp_path):
+    """Of records that a predicate on their headers or kind turns down, only the first bytes are read."""
+    import io
+
+    from pyspark.sql.datasource import EqualTo
+
+    rng = np.random.default_rng(3)
+    payloads = [rng.bytes(400_000) for _ in range(20)]
+    data = b"".join(warc.member(warc.record(f"<urn:page:{i}>", "response", f"http://h/{i}", p, warc.digest32(p), len(p), None)) for i, p in enumerate(payloads))
+
+    class Counting(io.BytesIO):
+        taken = 0
+
+        def read(self, n=-1):
+            out = super().read(n)
+            self.taken += len(out)
+            return out
+
+        def size(self):
+            return len(data)
+
+    def taken(filters, **options):
+        reader, f = warc.WarcReader({"path": "x", **options}), Counting(data)
+        assert list(reader.pushFilters(filters)) == []
+        return [r for b in reader._batches(warc.Members(f)) for r in b.to_pylist()], f.taken
+
+    rows, n = taken([EqualTo(("target_uri",), "http://h/7")])
+    assert len(rows) == 1 and rows[0]["payload"] == payloads[7] and n < 400_000 + 20 * 3 * warc.HEAD_BYTES + (1 << 18)
+    rows, n = taken([EqualTo(("record_type",), "revisit")])
+    assert rows == [] and n < 20 * 3 * warc.HEAD_BYTES
+    rows, n = taken([], payload="false")
+    assert [r["payload_bytes"] for r in rows] == [400_000] * 20 and n < 20 * 3 * warc.HEAD_BYTES
+
+
 # decontamination
 
 
@@ -784,6 +818,52 @@ def test_empty_and_awkward_tables(spark, tmp_path):
         query(spark, f"file://{tmp_path}/w").collect()
 
 
+def test_rows_without_an_id(spark):
+    """They stay in the results of operators that give one row for each row, alone and unchanged."""
+    text = "one passage that is repeated word for word in several rows of this table, long enough for a hundred bytes to match"
+    df = spark.createDataFrame([(None, text), (1, text), (2, text), (None, None)], "doc_id long, text string")
+    assert sorted(map(str, ((r["doc_id"], r["component_id"]) for r in simhash.components(df).collect()))) == sorted(map(str, [(None, None), (None, None), (1, 1), (2, 1)]))
+    assert sorted(((r["doc_id"] or 0, r["n_bytes"], r["n_removed"]) for r in suffixes.removed(df).collect())) == [(0, 0, 0), (0, len(text), 0), (1, len(text), 0), (2, len(text), len(text))]
+    x, y = [1.0, 2.0], [0.0, 0.0]
+    vectors = spark.createDataFrame([(None, x), (1, x), (2, x), (3, y), (4, None)], "vec_id long, embedding array<double>")
+    got = sorted(map(str, (tuple(r) for r in embeddings.near_duplicates(vectors).collect())))
+    assert got == sorted(map(str, [(None, 0, None, None), (1, 1, 1, True), (2, 1, 1, False), (3, 0, 3, True), (4, 0, 4, True)]))
+
+
+def test_decontamination_in_passes_and_small_token_parts(spark, monkeypatch):
+    """Items that need several automata, and tokens that need several files, give the results of one."""
+    rng = np.random.default_rng(14)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), 6))
+    items = [(i, " ".join(word() for _ in range(12))) for i in range(9)]
+    rows = [(d, " ".join([word() for _ in range(9)] + [items[d % 9][1] if d % 2 else ""])) for d in range(40)]
+    docs, bench = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    want = {tuple(r) for r in decontaminate.matches(docs, bench).collect()}, {r["doc_id"] for r in decontaminate.clean(docs, bench).collect()}
+    monkeypatch.setattr(decontaminate, "PASS_CHARS", 150)
+    got = {tuple(r) for r in decontaminate.matches(docs, bench).collect()}, {r["doc_id"] for r in decontaminate.clean(docs, bench).collect()}
+    assert got == want and len(want[0]) == 20 and len(want[1]) == 20
+    one = [tuple(r) for r in _token_rows(spark, docs)]
+    monkeypatch.setattr(tokenfile, "PART_TOKENS", 100)
+    many = [tuple(r) for r in _token_rows(spark, docs)]
+    assert one == many and len(one) == 40
+
+
+def _token_rows(spark, docs):
+    scratch = Scratch(spark, "parts")
+    tokenfile.write(docs, scratch.path("files"), scratch)
+    return sorted(tokenfile.read(spark, scratch.path("files")).collect())
+
+
+def test_spread_join(spark, monkeypatch):
+    """Rows of hot and null keys are dealt over many tasks and joined like all others."""
+    monkeypatch.setattr(common, "HOT_ROWS", 50)
+    left = spark.createDataFrame([(i, 1 if i % 3 == 0 else None if i % 3 == 1 else i) for i in range(600)], "i long, k long")
+    right = spark.createDataFrame([(k, f"v{k}") for k in range(0, 600, 2)] + [(1, "hot")], "k long, v string")
+    for how in ("inner", "left"):
+        got = common.spread_join(left, right, "k", ["i"], how)
+        want = left.join(right, "k", how).select(*got.columns)
+        assert sorted(map(str, got.collect())) == sorted(map(str, want.collect()))
+
+
 def test_pipeline(spark, sf):
     import corpus_pipeline
 

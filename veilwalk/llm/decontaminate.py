@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilwalk.llm.common import arrow_map, texts
+from veilwalk.llm.common import Scratch, texts
 
 ERROR_RATE = 0.08
 #: Letters of items that one automaton holds; more items are matched in several passes.
@@ -110,33 +110,37 @@ class Matcher:
         return sorted(out)
 
 
-def item_groups(benchmark: DataFrame, item_col: str = "item_id", item_text: str = "text") -> list[list[tuple]]:
-    """Normalized items in groups that one automaton each may hold."""
+def item_groups(benchmark: DataFrame, item_col: str = "item_id", item_text: str = "text") -> Iterator[list[tuple]]:
+    """Normalized items in groups that one automaton each may hold, one group at a time; one group at least."""
     rows = benchmark.where(benchmark[item_col].isNotNull()).select(benchmark[item_col].cast("long").alias("i"), benchmark[item_text].alias("t"))
-    groups, size = [[]], 0
+    group, size, first = [], 0, True
     for r in rows.distinct().orderBy("i", "t").toLocalIterator():
         t = normalize(r["t"])
         if t:
-            if size + len(t) > PASS_CHARS and groups[-1]:
-                groups.append([])
-                size = 0
-            groups[-1].append((r["i"], t))
+            if size + len(t) > PASS_CHARS and group:
+                yield group
+                group, size, first = [], 0, False
+            group.append((r["i"], t))
             size += len(t)
-    return groups
+    if group or first:
+        yield group
 
 
 def matches(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", rate: float = ERROR_RATE) -> DataFrame:
     """(doc_id, item_id, distance) of every item that a document holds within the item's budget.
 
-    Items are sent to the tasks in automata of at most PASS_CHARS letters each; the documents are never dealt.
+    Items are sent to the tasks in automata of at most PASS_CHARS letters each, and the driver holds two such groups at
+    most: what one finds is written before the next is read. The documents are never dealt.
     """
-    groups = item_groups(benchmark, item_col, item_text)
     source = docs.where(docs[id_col].isNotNull()).select(docs[id_col].cast("long").alias("doc_id"), docs[text_col])
-    out = None
-    for group in groups:
-        found = _pass(source, group, rate)
+    scratch, groups = Scratch(docs.sparkSession, "leaks"), item_groups(benchmark, item_col, item_text)
+    group, k, out = next(groups), 0, None
+    while (more := next(groups, None)) is not None:
+        found = scratch.save(_pass(source, group, rate), f"found{k}")
         out = found if out is None else out.unionByName(found)
-    return out.groupBy("doc_id", "item_id").agg(F.min("distance").alias("distance")) if len(groups) > 1 else out
+        group, k = more, k + 1
+    last = _pass(source, group, rate)
+    return last if out is None else out.unionByName(last).groupBy("doc_id", "item_id").agg(F.min("distance").alias("distance"))
 
 
 def _pass(source: DataFrame, group: list[tuple], rate: float) -> DataFrame:
@@ -157,14 +161,19 @@ def _pass(source: DataFrame, group: list[tuple], rate: float) -> DataFrame:
 
 def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", rate: float = ERROR_RATE) -> DataFrame:
     """The rows of docs that match no item; each text is matched where it is, so no text is dealt."""
-    groups = item_groups(benchmark)
-    at = docs.columns.index(text_col)
-    for group in groups:
+    at, schema = docs.columns.index(text_col), docs.schema
+    scratch, groups = Scratch(docs.sparkSession, "clean"), item_groups(benchmark)
+    group, k = next(groups), 0
 
-        def run(batches: Iterator[pa.RecordBatch], group=group) -> Iterator[pa.RecordBatch]:
+    def kept(docs: DataFrame, group: list[tuple]) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             matcher = Matcher(group, rate)
             for b in batches:
                 yield b.filter(pa.array([not matcher.matches(normalize(t)) for t in texts(b.column(at))], pa.bool_()))
 
-        docs = docs.mapInArrow(run, docs.schema)
-    return docs
+        return docs.mapInArrow(run, schema)
+
+    while (more := next(groups, None)) is not None:
+        docs = scratch.save(kept(docs, group), f"kept{k}")
+        group, k = more, k + 1
+    return kept(docs, group)
