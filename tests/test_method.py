@@ -280,7 +280,15 @@ def test_privacy_and_linkability_are_told(spark, golden):
     got = cost.row_linkability(matrices, vectors).first()
     assert got["rows"] == 14 and 0 < got["linkable"] < 1
     w = walks.uniform_walks(graphs.adjacency(edges), WalkConfig(length=4, per_vertex=2))
-    assert {(r["emissions"], r["eps"]) for r in cost.privacy_ledger(w, 2.0, 0.5, 2).collect()} == {(8, 6.0)}
+    held = {}  # each element is emitted by the device that the walk has come to
+    for r in w.collect():
+        for v in [r["start"], *r["seq"]][: len(r["seq"])]:
+            held[v] = held.get(v, 0) + 1
+    assert {r["v"]: (r["emissions"], r["eps"]) for r in cost.privacy_ledger(w, 2.0, 0.5, 2).collect()} == {v: (n, 2.0 + n * 0.5) for v, n in held.items()}
+    assert len({n for n in held.values()}) > 1
+    jumping = walks.true_walks(graphs.adjacency(edges), WalkConfig(length=5, per_vertex=4, jump=1.0), predictor.exact_pool(graphs.adjacency(edges)))
+    for r in jumping.collect():  # a jump's two elements come from the device that jumps
+        assert r["emitters"] == [r["start"], r["start"], r["seq"][1], r["seq"][1], r["seq"][3]] and r["jumps"] == 2
     ledger = cost.message_ledger(edges, w, 2)
     assert ledger.where("kind = 'step'").first()["n"] == 6 * 2 * 3
 
@@ -346,7 +354,7 @@ def test_logistic_regression_separates(spark, monkeypatch):
 
 def test_awkward_graphs(spark):
     make = lambda pairs: graphs.symmetrize(spark.createDataFrame(pairs, "v long, u long"))
-    assert collect(make([(1, 1), (1, 2), (2, 1), (1, 2), (None, 3), (-1, 4)])) == [(1, 2), (2, 1)]
+    assert collect(make([(1, 1), (1, 2), (2, 1), (1, 2), (None, 3), (-1, 4)])) == [(-1, 4), (1, 2), (2, 1), (4, -1)]
     for pairs in ([(0, 1)], [(0, i) for i in range(1, 6)], [(a, b) for a in range(5) for b in range(a)], [(0, 1), (1, 2), (2, 3)]):
         edges = make(pairs)
         parts = pipeline.build_tree_parts(edges, WalkConfig(eps_degree=None))
@@ -435,3 +443,120 @@ def test_workloads_have_full_grids_and_parameters(spark, sf, monkeypatch):
     bounds = [default_bins(graphs.roster(g(spark, sf)).count()) for g in (graphs.document_terms, graphs.copurchase)]
     assert [s[1]["bins"] for s in seen[4:6]] == [list(range(2, k + 1)) for k in bounds]
     assert seen[6:] == [((40, n, 10, 128), {"jump": ps}, some) for n in (20, 40, 60, 80)]
+
+
+def test_outside_mass_is_bounded(spark, small):
+    """What the exact law gives to vertices outside a block never exceeds the bound; even draws from it keep every vertex possible."""
+    cfg = WalkConfig(tree="bisect", block=12)
+    parts = pipeline.build_tree_parts(small, cfg)
+    leaves = Store(spark, "o").keep(parts.leaves.join(pipeline.tree_blocks(parts.leaves, 12), "v"))
+    n, full = leaves.count(), Store(spark, "o").keep(align.pairs_within(parts.matrices))
+    block = {r["v"]: r["block"] for r in leaves.collect()}
+    for eps in (2.0, 0.01, 0.0005):
+        law = Store(spark, "o").keep(encoder.pruned_table(parts.dissim, leaves, F.col("block"), n, eps, matrices=parts.matrices))
+        lost, outside = {r["v"]: r["lost_mass"] for r in law.collect()}, dict.fromkeys(block, 0.0)
+        for r in encoder.law_rows(encoder.encoder_table(full, leaves, eps)).collect():
+            outside[r["v"]] += r["pr"] * (block[r["v"]] != block[r["w"]])
+        assert all(outside[v] <= lost[v] + 1e-9 for v in block) and (eps > 0.001 or max(outside.values()) > 1e-4)
+    whole = encoder.with_outside(law, n)
+    asked = law.select("v").crossJoin(spark.range(200).select(F.col("id").alias("i")))
+    drawn = encoder.encode(asked.withColumnRenamed("v", "x"), whole, "x", "w", "1", "x", "i")
+    got = drawn.agg(F.count("*").alias("n"), F.count("w").alias("held"), F.count_distinct("w").alias("kinds")).first()
+    assert got["n"] == got["held"] == 200 * n and got["kinds"] == n
+
+
+def test_block_mode_is_told_and_keeps_its_options(spark, small):
+    cfg = WalkConfig(length=4, per_vertex=1, dim=8, window=2, tree="bisect", block=24, calibrated=50.0, one_sided=True, outside="uniform")
+    fit = pipeline.fit_private(small, cfg, "blocks")
+    assert fit.mode == fit.tree.mode == "blocks" and fit.embedding.count() > 0
+    assert pipeline.fit_uniform(small, cfg).mode == "uniform"
+    short = pipeline.pool_shortfall(fit.tree, pipeline.laws(fit.tree, cfg)[1], cfg).first()
+    assert short["mode"] == "blocks" and short["demanded"] == short["delivered"] > 0 and short["short"] == 0
+    plain = encoder.law_rows(encoder.pruned_table(fit.tree.dissim, fit.tree.leaves.withColumn("b", F.lit("")), F.col("b"), 169, 2.0, calibrated=50.0)).collect()
+    exact = encoder.law_rows(encoder.encoder_table(fit.tree.dissim, fit.tree.leaves, 2.0, calibrated=50.0)).collect()
+    assert sorted(map(tuple, plain)) == sorted(map(tuple, exact))
+
+
+def test_large_graphs_need_a_stated_mode(spark, small, monkeypatch):
+    monkeypatch.setattr(tree, "EXACT_LIMIT", 50)
+    with pytest.raises(ValueError, match="bisect"):
+        pipeline.build_tree_parts(small, WalkConfig())
+
+
+def test_biased_walks_follow_their_weights(spark):
+    """Step frequencies of the distributed walks agree with the weights, and with the walks in one task."""
+    edges = graphs.symmetrize(spark.createDataFrame([(0, 1), (0, 2), (1, 2), (1, 3), (1, 4), (3, 4), (2, 3)], "v long, u long"))
+    nbrs = {}
+    for r in edges.collect():
+        nbrs.setdefault(r["v"], set()).add(r["u"])
+    cfg, ret, inout = WalkConfig(length=6, per_vertex=400), 0.25, 4.0
+    for rows in (walks.biased_walks(edges, cfg, ret, inout).collect(), walks.local_walks(graphs.adjacency(edges), cfg, None, ret, inout).collect()):
+        seen = {}
+        for r in rows:
+            path = [r["start"], *r["seq"]]
+            assert all(b in nbrs[a] for a, b in zip(path, path[1:], strict=False))
+            for a, b, c in zip(path, path[1:], path[2:], strict=False):
+                seen.setdefault((a, b), []).append(c)
+        for (a, b), cs in seen.items():
+            w = {c: 1 / ret if c == a else 1.0 if c in nbrs[a] else 1 / inout for c in nbrs[b]}
+            for c in w:
+                p = w[c] / sum(w.values())
+                assert abs(cs.count(c) / len(cs) - p) < 5 * math.sqrt(p * (1 - p) / len(cs)) + 1e-3
+
+
+def test_blocks_train_on_all_occurrences(spark):
+    """A pair of many occurrences weighs more than one of five, and the loss of negative sampling falls towards that of a plain trainer."""
+    rows = [(0, 1, 400), (1, 0, 400), (0, 2, 5), (2, 0, 5), (1, 2, 5), (2, 1, 5), (3, 4, 200), (4, 3, 200), (0, 3, 1), (3, 0, 1)]
+    c = spark.createDataFrame(rows, "a long, b long, n long")
+    events = [e for part in skipgram._events(np.array([7, 1, 0, 40]), np.random.default_rng(0), 8) for e in part]
+    assert sorted(np.bincount(events, minlength=4).tolist()) == [0, 1, 7, 40]
+    held = skipgram.EVENTS
+    try:
+        skipgram.EVENTS = 10
+        assert np.bincount([e for part in skipgram._events(np.array([25, 3, 9]), np.random.default_rng(0), 4) for e in part]).tolist() == [25, 3, 9]
+    finally:
+        skipgram.EVENTS = held
+    vec = {r["v"]: np.array(r["vec"]) for r in skipgram.skipgram_blocks(c, 8, blocks=2, epochs=6).collect()}
+    cos = lambda a, b: vec[a] @ vec[b] / np.linalg.norm(vec[a]) / np.linalg.norm(vec[b])
+    assert np.isfinite(np.stack(list(vec.values()))).all() and cos(0, 1) != cos(0, 3)
+    assert skipgram.block_count(100, 64) == 4 and skipgram.block_count(10**9, 128) == -(-(10**9) * 128 // skipgram.BLOCK_FLOATS)
+
+
+def test_sweep_of_pairs_and_gaps(spark, small, sf):
+    truth = graphs.labels_of_documents(spark, sf)
+    cfg = WalkConfig(length=6, per_vertex=2, window=3, dim=8)
+    out = pipeline.sweep(small, truth, cfg, {"per_vertex*jump": [(1, 0.0), (2, 0.4)]}, [0.3, 0.5], ("1", "2"))
+    rows = out.collect()
+    assert len(rows) == 2 * 3 * 2 and {(r["value"], r["other"]) for r in rows if r["method"] == "private"} == {(1.0, 0.0), (2.0, 0.4)}
+    assert all(0 < r[c] <= 1 for r in rows for c in pipeline.SCORES) and {r["mode"] for r in rows} == {"exact", "uniform"}
+    assert {r["seeds"] for r in pipeline.repeated(out).collect()} == {2}
+    assert pipeline.score_gaps(out).count() == 2 * len(pipeline.SCORES)
+
+
+def test_grouped_evaluation_equals_the_distributed_one(spark, small, sf):
+    truth = tables.load(spark, sf, "documents").select(F.col("doc_id").alias("v"), F.concat(F.lit("lang:"), "lang").alias("label"))
+    fit = Store(spark, "e").keep(pipeline.fit_uniform(small, WalkConfig(length=8, per_vertex=4, window=3, dim=8)).embedding)
+    for share in (0.2, 0.5):
+        want = pipeline.evaluate(fit, truth, share).first()
+        got = classify.evaluate_points(fit.select(F.lit(0).alias("point"), F.lit("1").alias("seed"), "v", "vec"), truth, [share]).where("rule = 'known_count'").first()
+        assert got["n_test"] == want["n_test"] and abs(got["pooled_f1"] - want["pooled_f1"]) < 1e-9 and abs(got["macro_f1"] - want["macro_f1"]) < 1e-9
+
+
+def test_unknown_labels_do_not_count():
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(60, 2))
+    labels = [[f"q:{int(a > 0)}"] + ([f"t:{int(b > 0)}"] if i % 3 == 0 else []) for i, (a, b) in enumerate(x)]
+    got = {r[0]: r for r in classify.evaluate_group(x, labels, np.arange(60) < 30)}
+    assert got["known_count"][2] > 0.9 and got["threshold"][2] > 0.9
+
+
+def test_succession_joins_hours_days_and_years(spark, tmp_path):
+    rng = np.random.default_rng(2)
+    from datetime import datetime, timedelta
+
+    when = sorted(datetime(2019, 12, 30) + timedelta(minutes=int(m)) for m in rng.integers(0, 60 * 24 * 500, 120))
+    rows = [(i, t, int(rng.integers(0, 25))) for i, t in enumerate(when)]
+    spark.createDataFrame([(*r, "click", 1.0, "{}") for r in rows], "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string").write.parquet(f"file://{tmp_path}/events.parquet")
+    users = [u for _, _, u in rows]
+    want = {(a, b) for a, b in zip(users, users[1:], strict=False) if a != b}
+    assert set(collect(graphs.succession(spark, f"file://{tmp_path}"))) == want | {(b, a) for a, b in want}

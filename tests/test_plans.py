@@ -4,6 +4,8 @@ import subprocess
 import sys
 from pathlib import Path
 
+import pytest
+
 from veilwalk.operators import degree
 from veilwalk.plans import oracles, queries
 from veilwalk.sources import graphs
@@ -34,12 +36,18 @@ def test_every_oracle_has_a_query():
     assert set(oracles.SQL) <= set(queries.queries())
 
 
-def test_entry_works_without_training_data_part(tmp_path):
+@pytest.mark.parametrize("left", ["nothing", "pipeline", "llm"])
+def test_entry_works_without_training_data_part(tmp_path, left):
+    """Without both parts, and with one of them left behind, the rest imports and knows only its own queries."""
     import shutil
 
-    for name in ("veilwalk", "__spark_entry__.py"):
+    for name in ("veilwalk", "__spark_entry__.py", "corpus_pipeline.py"):
         src = REPO / name
-        (shutil.copytree if src.is_dir() else shutil.copy)(src, tmp_path / name)
-    shutil.rmtree(tmp_path / "veilwalk" / "llm", ignore_errors=True)
+        if src.exists():
+            (shutil.copytree if src.is_dir() else shutil.copy)(src, tmp_path / name)
+    if left != "llm":
+        shutil.rmtree(tmp_path / "veilwalk" / "llm", ignore_errors=True)
+    if left != "pipeline":
+        (tmp_path / "corpus_pipeline.py").unlink(missing_ok=True)
     code = "import __spark_entry__ as e; q = e.queries(); assert q and not any(n.startswith('op') or n == 'pipeline' for n in q); assert set(e.oracle_sql()) <= set(q)"
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, env={"PATH": "/usr/bin:/bin", "PYTHONPATH": str(tmp_path)})

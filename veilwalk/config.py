@@ -26,7 +26,10 @@ def check_bins(k: int, n: int, allow_over_bound: bool = False) -> int:
 class WalkConfig:
     """Walk length, walks per vertex, jump probability, noise, window, dimension; None switches a noise off.
 
-    eps_degree scales the Laplace noise of degree vectors, eps_walk the substitution law of emitted vertices.
+    eps_degree scales the Laplace noise of degree vectors, eps_walk the substitution law of emitted vertices. tree names
+    the way of the server: 'hybrid', 'average', 'single' and 'complete' are exact, with all pairs, and refuse graphs beyond
+    the exact limit; 'bisect' works by blocks at any size. outside is what a block law does with the mass it bounds outside
+    the block: 'drop' it, or draw from all vertices with it ('uniform').
     """
 
     length: int = 40
@@ -47,6 +50,7 @@ class WalkConfig:
     dim: int = 128
     tree: str = "hybrid"
     block: int = 1024
+    outside: str = "drop"
     row_cap: int | None = None
     one_sided: bool = False
     band: int | None = None

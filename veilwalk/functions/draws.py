@@ -13,7 +13,7 @@ BITS = 52
 SPAN = float(1 << BITS)
 
 
-def number(seed: str, purpose: str, *keys: Column | str, rng: str = "md5") -> Column:
+def number(seed: str | Column, purpose: str, *keys: Column | str, rng: str = "md5") -> Column:
     """A whole number below 2 to the 52 as long."""
     parts = [F.lit(seed), F.lit(purpose), *[(F.col(k) if isinstance(k, str) else k).cast("string") for k in keys]]
     if rng == "xx":

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from veilwalk.functions.vectors import align_cost, total
 
-CELLS = 1 << 21
+CELLS = 1 << 17
 
 
 def align_many(left: list[np.ndarray], right: list[np.ndarray], one_sided: bool = False, band: int | None = None) -> np.ndarray:
@@ -103,6 +103,11 @@ def dissimilarity(matrices: DataFrame, pairs: DataFrame, kernel: str = "arrow",
     return flat.mapInArrow(run, "u long, v long, delta double")
 
 
+def wide(spark) -> int:
+    """Partitions of work that is much for its bytes, which Spark would else gather in one task."""
+    return max(int(spark.conf.get("spark.sql.shuffle.partitions")), 4 * spark.sparkContext.defaultParallelism)
+
+
 PACKED = "struct<v: bigint, n: int, m: array<double>>"
 
 
@@ -118,6 +123,7 @@ def pairs_within(matrices: DataFrame, block: str | None = None, size: int = 64,
     packed = sized.withColumn("_c", chunk).groupBy(*group, "_c", F.ceil(F.col("_n") / size).alias("_k")).agg(F.collect_list(F.struct("v", F.size("m").alias("n"), F.flatten("m").alias("m"))).alias("rows"))
     meet = packed.withColumn("_o", F.explode(F.sequence(F.lit(0).cast("long"), F.greatest(F.lit(0), F.col("_k") - 1).cast("long"))))
     meet = meet.select(*group, F.least("_c", "_o").alias("i"), F.greatest("_c", "_o").alias("j"), F.col("_c").alias("own"), "rows")
+    meet = meet.repartition(wide(matrices.sparkSession), *group, "i", "j")
 
     def work(t: pa.Table) -> pa.Table:
         parts = {}

@@ -52,13 +52,13 @@ def ledger_cube(ledger: DataFrame) -> DataFrame:
 
 
 def privacy_ledger(walks: DataFrame, eps_degree: float | None, eps_walk: float | None, k: int, sensitivity: float = 1.0) -> DataFrame:
-    """(v, emissions, eps): basic composition over a start's released counts and walk elements; no tighter claim is made.
+    """(v, emissions, eps): basic composition over the counts a device releases and the walk elements it emits; no tighter claim is made.
 
-    Counts of one vertex lie in disjoint bins, so adding a link spends the noise budget once; exchanging one for another
+    An element is emitted by the device that holds the walk, so devices that many walks pass spend more. Counts of one vertex lie in disjoint bins, so adding a link spends the noise budget once; exchanging one for another
     touches two bins.
     """
     del k
-    spent = walks.groupBy(F.col("start").alias("v")).agg(F.sum(F.size("seq")).cast("long").alias("emissions"))
+    spent = walks.select(F.explode("emitters").alias("v")).groupBy("v").agg(F.count("*").alias("emissions"))
     fixed = 0.0 if eps_degree is None else eps_degree * max(1.0, 1.0 / sensitivity)
     return spent.select("v", "emissions", (F.lit(fixed) + F.col("emissions") * F.lit(eps_walk or 0.0)).alias("eps"))
 

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from veilwalk.functions.draws import unit
 from veilwalk.operators.tree import EXACT_LIMIT, lca_sizes, square
+from veilwalk.plans.lineage import Store, positions
 
 LAW = "v long, w long, pr double"
 
@@ -39,23 +40,82 @@ def encoder_table(dissim: DataFrame, leaves: DataFrame, eps: float, scale: float
     return _tables(dissim, leaves, F.lit(0), eps, scale, calibrated, None).drop("lost_mass")
 
 
-def pruned_table(dissim: DataFrame, leaves: DataFrame, block: Column, n: int, eps: float, scale: float = 1.0) -> DataFrame:
-    """(v, targets, cdf, lost_mass): the law within blocks of the tree (equal values of block, an expression of path).
+def pruned_table(dissim: DataFrame, leaves: DataFrame, block: Column, n: int, eps: float, scale: float = 1.0, calibrated: float | None = None, matrices: DataFrame | None = None) -> DataFrame:
+    """(v, targets, cdf, lost_mass): the law within blocks of the tree (equal values of block, a prefix of path).
 
-    lost_mass bounds what the law gives to vertices outside the block: each of them is at least as far as the block's
-    ancestors are wide. Outside dissimilarities are unknown here, so the least positive one of the block is assumed;
-    where it is zero the bound is void and lost_mass is 1.
+    lost_mass is at least what the exact law gives to vertices outside the block. With matrices it follows from
+    outside_weight, which bounds every dissimilarity to the outside from below; without them nothing is known of the
+    outside and it is the bound for outside vertices at no distance at all. Vertices outside have no probability here, so
+    this law has no bound on its ratios between vertices of different blocks; with_outside gives it one.
     """
-    return _tables(dissim, leaves, block, eps, scale, None, n)
+    outside = None
+    if matrices is not None:
+        outside = outside_weight(matrices, leaves.select("v", "path", block.alias("block")), factor_of(eps, scale, calibrated))
+    return _tables(dissim, leaves, block, eps, scale, calibrated, n, outside)
 
 
-def _tables(dissim: DataFrame, leaves: DataFrame, block: Column, eps: float, scale: float, calibrated: float | None, n: int | None) -> DataFrame:
-    factor = eps / scale if calibrated is None else eps / (2.0 * calibrated)
+def factor_of(eps: float, scale: float = 1.0, calibrated: float | None = None) -> float:
+    return eps / scale if calibrated is None else eps / (2.0 * calibrated)
+
+
+def outside_weight(matrices: DataFrame, leaves: DataFrame, factor: float) -> DataFrame:
+    """(v, outside): no less than the sum, over vertices outside v's block, of what the exact law weighs them with.
+
+    leaves has v, path and block. The outside of a block is the siblings of the nodes above it. All vertices of a sibling
+    share their lowest common subtree with v, the sibling's parent. Their dissimilarity to v is bounded from below by boxes
+    around the rows of their matrices: an alignment pairs first rows, last rows, and each row of v with some row.
+    """
+    first, last = F.element_at("m", 1), F.element_at("m", -1)
+    bound = lambda pick: F.aggregate("m", first, lambda s, r: F.zip_with(s, r, lambda x, y: pick(x, y)))
+    boxes = matrices.select("v", F.posexplode(F.arrays_zip(first.alias("f"), last.alias("l"), bound(F.least).alias("lo"), bound(F.greatest).alias("hi"))).alias("bin", "x"))
+    placed = leaves.join(boxes, "v").select("block", "bin", "x.*")
+    spans = [F.min("f").alias("f0"), F.max("f").alias("f1"), F.min("l").alias("l0"), F.max("l").alias("l1"), F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.count("*").alias("n")]
+    per_block = placed.groupBy("block", "bin").agg(*spans)
+    prefixes = F.transform(F.sequence(F.lit(0), F.length("block")), lambda i: F.col("block").substr(F.lit(1), i))
+    merged = [F.min("f0").alias("f0"), F.max("f1").alias("f1"), F.min("l0").alias("l0"), F.max("l1").alias("l1"), F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.sum("n").alias("n")]
+    node = per_block.select("bin", "f0", "f1", "l0", "l1", "lo", "hi", "n", F.explode(prefixes).alias("node")).groupBy("node", "bin").agg(*merged)
+    node = node.groupBy("node").agg(F.sort_array(F.collect_list(F.struct("bin", "f0", "f1", "l0", "l1", "lo", "hi"))).alias("box"), F.max("n").alias("n"))
+    turn = F.when(F.expr("substr(block, d, 1)") == "0", "1").otherwise("0")
+    beside = per_block.select("block").distinct().where("block <> ''").select("block", F.explode(F.sequence(F.lit(1), F.length("block"))).alias("d"))
+    beside = beside.select("block", F.expr("substr(block, 1, d - 1)").alias("up"), F.concat(F.expr("substr(block, 1, d - 1)"), turn).alias("node"))
+    sizes = node.select(F.col("node").alias("up"), F.col("n").alias("above"))
+    beside = beside.join(node, "node").join(sizes, "up").select(F.col("block").alias("of"), "above", "n", "box")
+    own = leaves.join(matrices.select("v", "m"), "v").select("block", "v", F.flatten("m").alias("flat"), F.size("m").alias("rows"))
+
+    def work(mine: pd.DataFrame, others: pd.DataFrame) -> pd.DataFrame:
+        out = np.zeros(len(mine))
+        for box, n, above in zip(others["box"], others["n"], others["above"], strict=True):
+            f0, f1, l0, l1, lo, hi = (np.array([b[c] for b in box]) for c in ("f0", "f1", "l0", "l1", "lo", "hi"))
+            away = lambda x, low, high: (np.maximum(low - x, 0) + np.maximum(x - high, 0)).sum(-1)
+            for i, (flat, rows) in enumerate(zip(mine["flat"], mine["rows"], strict=True)):
+                m = np.asarray(flat, float).reshape(int(rows), -1)
+                least = max(away(m[0], f0, f1), away(m[0], l0, l1)) if rows == 1 else away(m[0], f0, f1) + away(m[-1], l0, l1) + away(m[1:-1], lo, hi).sum()
+                out[i] += n * np.exp(-factor * max(least - 1e-9, 0.0) * above)
+        return pd.DataFrame({"v": mine["v"], "outside": out})
+
+    return own.groupBy("block").cogroup(beside.groupBy("of")).applyInPandas(work, "v long, outside double")
+
+
+def with_outside(table: DataFrame, n: int) -> DataFrame:
+    """Block laws with their lost mass spread evenly over all n vertices; a draw of the null target stands for one of them.
+
+    Every vertex then has a probability of at least lost_mass / n for every other, which bounds the ratios.
+    """
+    share = 1 - F.col("lost_mass")
+    return table.select(
+        "v", F.concat("targets", F.array(F.lit(None).cast("long"))).alias("targets"),
+        F.concat(F.transform("cdf", lambda c: c * share), F.array(F.lit(1.0))).alias("cdf"), "lost_mass", F.lit(n).alias("n"),
+    )
+
+
+def _tables(dissim: DataFrame, leaves: DataFrame, block: Column, eps: float, scale: float, calibrated: float | None, n: int | None, outside: DataFrame | None = None) -> DataFrame:
+    factor = factor_of(eps, scale, calibrated)
     at = leaves.select("v", "path", block.alias("block"))
-    own = at.select("block", F.col("v").alias("u"), "v", "path", F.lit(0.0).alias("delta"))
+    far = at.select("v", "block").withColumn("outside", F.lit(None).cast("double")) if outside is None else at.select("v", "block").join(outside, "v", "left")
+    own = at.join(far.select("v", "outside"), "v").select("block", F.col("v").alias("u"), "v", "path", F.lit(0.0).alias("delta"), "outside")
     sides = at.select("v", "block")
     inner = dissim.select("u", "v", "delta").join(sides, "v").join(sides.withColumnsRenamed({"v": "u", "block": "other"}), "u").where("block = other")
-    rows = own.unionByName(inner.select("block", "u", "v", F.lit(None).cast("string").alias("path"), "delta"))
+    rows = own.unionByName(inner.select("block", "u", "v", F.lit(None).cast("string").alias("path"), "delta", F.lit(None).cast("double").alias("outside")))
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
         one = pdf[pdf["path"].notna()].sort_values("v")
@@ -64,9 +124,8 @@ def _tables(dissim: DataFrame, leaves: DataFrame, block: Column, eps: float, sca
         w = np.exp(-factor * d * lca_sizes(one["path"].tolist()))
         lost = np.zeros(len(ids))
         if n is not None and n > len(ids):
-            least = d[d > 0].min() if (d > 0).any() else 0.0
-            far = (n - len(ids)) * np.exp(-factor * least * (len(ids) + 1))
-            lost = np.full(len(ids), 1.0) if least == 0 else far / (far + w.sum(1))
+            beyond = one["outside"].fillna(n - len(ids)).to_numpy()
+            lost = beyond / (beyond + w.sum(1))
         cdf = np.cumsum(w / w.sum(1, keepdims=True), axis=1)
         return pd.DataFrame({"v": ids, "targets": [ids] * len(ids), "cdf": list(cdf), "lost_mass": lost})
 
@@ -105,12 +164,34 @@ def draw(targets: Column, cdf: Column, u: Column) -> Column:
 
 
 def encode(df: DataFrame, table: DataFrame, column: str, out: str, seed: str, *keys: str, rng: str = "md5") -> DataFrame:
-    """df with out: a drawn substitute for the vertex in column. The law is joined by vertex once for all draws."""
-    law = table.select(F.col("v").alias(column), "targets", "cdf")
-    return df.join(law, column).withColumn(out, draw(F.col("targets"), F.col("cdf"), unit(seed, "encode", *keys, rng=rng))).drop("targets", "cdf")
+    """df with out: a drawn substitute for the vertex in column. The law is joined by vertex once for all draws.
+
+    Where a block law leaves the draw to all vertices, their number in the order of ids is drawn and looked up.
+    """
+    law = table.select(F.col("v").alias(column), "targets", "cdf", *(["n"] if "n" in table.columns else []))
+    drawn = df.join(law, column).withColumn(out, draw(F.col("targets"), F.col("cdf"), unit(seed, "encode", *keys, rng=rng))).drop("targets", "cdf")
+    if "n" not in table.columns:
+        return drawn
+    numbered = positions(table.select(F.col("v").alias("_w")), Store(df.sparkSession, "outside"), "_w", name="_at")
+    asked = drawn.withColumn("_at", F.when(F.col(out).isNull(), F.floor(unit(seed, "outside", *keys, rng=rng) * F.col("n")))).drop("n")
+    return asked.join(numbered, "_at", "left").withColumn(out, F.coalesce(out, "_w")).drop("_at", "_w")
 
 
-def encoder_utility(law: DataFrame, scores: DataFrame | None = None) -> DataFrame:
-    """Mean probability of keeping a vertex, and of changing it, in one row."""
+def encoder_utility(law: DataFrame) -> DataFrame:
+    """Mean probability of keeping a vertex, and of changing it, in one row; with scores in the law their mean under it as well."""
     kept = F.avg(F.when(F.col("v") == F.col("w"), F.col("pr")))
-    return law.agg(F.round(kept, 6).alias("kept"), F.round(1 - kept, 6).alias("changed"))
+    cells = [F.round(kept, 6).alias("kept"), F.round(1 - kept, 6).alias("changed")]
+    if "score" in law.columns:
+        cells.append((F.round(F.sum(F.col("pr") * F.col("score")) / F.count_distinct("v"), 6) + F.lit(0.0)).alias("mean_score"))
+    return law.agg(*cells)
+
+
+def encoder_audit(law: DataFrame) -> DataFrame:
+    """(w, held, missing, log_ratio): for each output the vertices that may give it, those that never do, and the largest log-ratio among the former.
+
+    An output that some vertices give and others never do tells them apart with certainty; the privacy claim for a walk
+    element is that log_ratio stays below the stated epsilon and missing is zero.
+    """
+    n = law.select("v").distinct().agg(F.count("*").alias("n"))
+    held = law.where("pr > 1e-300").groupBy("w").agg(F.count("*").alias("held"), F.max("pr").alias("top"), F.min("pr").alias("low"))
+    return held.crossJoin(F.broadcast(n)).select("w", "held", (F.col("n") - F.col("held")).alias("missing"), F.round(F.log("top") - F.log("low"), 6).alias("log_ratio"))  # one row of n

@@ -12,6 +12,8 @@ from veilwalk.plans.lineage import Store
 
 #: Numbers that MLlib's trainer can hold.
 DRIVER_FLOATS = 1 << 31
+#: Numbers of one block of vectors in block training, and occurrences of pairs laid out at once.
+BLOCK_FLOATS, EVENTS = 1 << 22, 1 << 22
 
 
 def skipgram(walks: DataFrame, dim: int, window: int, seed: int = 1, iterations: int = 1, partitions: int = 1) -> DataFrame:
@@ -28,13 +30,22 @@ def skipgram(walks: DataFrame, dim: int, window: int, seed: int = 1, iterations:
     return found.select(F.col("word").cast("long").alias("v"), vector_to_array("vector", "float32").alias("vec"))
 
 
-def skipgram_blocks(cooc: DataFrame, dim: int, blocks: int = 4, epochs: int = 3, negatives: int = 5, rate: float = 0.1, seed: int = 1) -> DataFrame:
+def block_count(vertices: int, dim: int) -> int:
+    """Blocks of at most BLOCK_FLOATS numbers, four at least."""
+    return max(4, -(-vertices * dim // BLOCK_FLOATS))
+
+
+def skipgram_blocks(cooc: DataFrame, dim: int, blocks: int | None = None, epochs: int = 3, negatives: int = 5, rate: float = 0.1, seed: int = 1) -> DataFrame:
     """(v, vec) from co-occurrence counts (a, b, n), by block-parallel training with negative samples.
 
     Source and context vectors are tables of blocks. In each of an epoch's rounds every task trains one source block
-    against one context block, none of which another task holds; blocks are written between epochs.
+    against one context block, none of which another task holds; blocks are written between epochs. A pair is trained on
+    as often as it occurs. The number of blocks follows from that of vertices unless given.
     """
     store = Store(cooc.sparkSession, "skipgram")
+    if blocks is None:
+        n = cooc.select("a").union(cooc.select("b")).agg(F.approx_count_distinct("a")).first()[0]
+        blocks = block_count(n, dim)
     place = lambda c: F.pmod(F.xxhash64(c), F.lit(blocks)).cast("int")
     pairs = store.keep(cooc.select("a", "b", "n", place("a").alias("i"), place("b").alias("j")))
     ids = pairs.select(F.col("a").alias("v")).union(pairs.select(F.col("b").alias("v"))).distinct()
@@ -73,19 +84,33 @@ def _trainer(step: float, seeds: list[int], dim: int, negatives: int):
             p = p.sort_values(["a", "b"])
             i, j, n = np.searchsorted(sid, p["a"]), np.searchsorted(cid, p["b"]), p["n"].to_numpy()
             rng = np.random.default_rng([*seeds, len(p)])
-            for part in np.array_split(rng.permutation(len(p)), max(1, len(p) // 256)):
+            for part in _events(n.astype(np.int64), rng, min(256, max(8, len(x) // 2))):
                 for target, cols in [(1.0, j[part]), *[(0.0, rng.integers(0, len(y), len(part))) for _ in range(negatives)]]:
                     a, b = x[i[part]], y[cols]
-                    g = step * np.minimum(n[part], 5) * (target - 1 / (1 + np.exp(-np.clip((a * b).sum(1), -30, 30))))
+                    g = step * (target - 1 / (1 + np.exp(-np.clip((a * b).sum(1), -30, 30))))
                     np.add.at(x, i[part], g[:, None] * b)
                     np.add.at(y, cols, g[:, None] * a)
-                np.clip(x, -8, 8, out=x)
-                np.clip(y, -8, 8, out=y)
         return pd.DataFrame({"kind": [1] * len(sid) + [2] * len(cid), "v": np.r_[sid, cid].astype(np.int64), "vec": [*x, *y]})
 
     return train
 
 
+def _events(n: np.ndarray, rng: np.random.Generator, size: int):
+    """Batches of pair indices in random order, each pair as often as it counts; only EVENTS of them are laid out at once."""
+    order = rng.permutation(len(n))
+    ends = np.cumsum(n[order])
+    at = 0
+    while at < len(order):
+        to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + EVENTS, "right")))
+        held = n[order[at:to]].copy()
+        while held.any():  # a pair of more than EVENTS occurrences is laid out in several turns
+            now = np.minimum(held, max(1, EVENTS // len(held)) if held.sum() > EVENTS else held)
+            events = rng.permutation(np.repeat(order[at:to], now))
+            yield from (events[k : k + size] for k in range(0, len(events), size))
+            held -= now
+        at = to
+
+
 def lookup(embedding: DataFrame, vertices: DataFrame) -> DataFrame:
     return vertices.join(embedding, "v")
 

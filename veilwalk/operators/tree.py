@@ -15,7 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from veilwalk.functions.draws import number
-from veilwalk.operators.align import align_many, dissimilarity
+from veilwalk.operators.align import align_many, dissimilarity, wide
 from veilwalk.plans.lineage import Store, positions
 
 EXACT_LIMIT = 4096
@@ -144,7 +144,7 @@ def build_tree(dissim: DataFrame, vertices: DataFrame, method: str = "hybrid", e
     return rows.groupBy("all").applyInPandas(work, "v long, path string")
 
 
-def bisect_tree(matrices: DataFrame, block: int = 256, method: str = "hybrid", seed: str = "1") -> DataFrame:
+def bisect_tree(matrices: DataFrame, block: int = 256, method: str = "hybrid", seed: str = "1", one_sided: bool = False, band: int | None = None) -> DataFrame:
     """(v, path) for graphs of any size: all open nodes of a level are split in one job, small ones finished exactly.
 
     A node's two pivots are its vertices of extreme draws; a vertex goes to the nearer. A node whose vertices all go to
@@ -162,7 +162,7 @@ def bisect_tree(matrices: DataFrame, block: int = 256, method: str = "hybrid", s
         pivots = open_.groupBy("path").agg(F.min_by("v", F.struct("w", "v")).alias("p"), F.max_by("v", F.struct("w", "v")).alias("q"))
         asked = open_.join(pivots, "path")
         pairs = asked.select(F.col("p").alias("u"), "v").union(asked.select(F.col("q").alias("u"), "v")).where("u <> v").distinct()
-        delta = store.keep(dissimilarity(m, pairs))
+        delta = store.keep(dissimilarity(m, pairs, one_sided=one_sided, band=band))
         near = lambda c: delta.select(F.col("u").alias(c), "v", F.col("delta").alias(f"d{c}"))
         sides = asked.join(near("p"), [c for c in ("p", "v")], "left").join(near("q"), ["q", "v"], "left")
         right = F.coalesce("dp", F.lit(0.0)) > F.coalesce("dq", F.lit(0.0))
@@ -178,11 +178,11 @@ def bisect_tree(matrices: DataFrame, block: int = 256, method: str = "hybrid", s
         ms = [np.array(x).reshape(n, -1) for x, n in zip(pdf["flat"], pdf["n"], strict=True)]
         i, j = np.triu_indices(len(ms), 1)
         d = np.zeros((len(ms), len(ms)))
-        d[i, j] = d[j, i] = align_many([ms[a] for a in i], [ms[b] for b in j])
+        d[i, j] = d[j, i] = align_many([ms[a] for a in i], [ms[b] for b in j], one_sided, band)
         return pd.DataFrame({"v": pdf["v"], "path": [pdf["path"].iloc[0] + p for p in leaf_paths(d, method)]})
 
     ready = at.join(m, "v").select("v", "path", F.flatten("m").alias("flat"), F.size("m").alias("n"))
-    return store.keep(ready.groupBy("path").applyInPandas(finish, "v long, path string"))
+    return store.keep(ready.repartition(wide(matrices.sparkSession), "path").groupBy("path").applyInPandas(finish, "v long, path string"))
 
 
 def ordinals(leaves: DataFrame) -> DataFrame:

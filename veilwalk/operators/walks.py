@@ -12,12 +12,12 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from veilwalk.config import WalkConfig
-from veilwalk.functions.draws import unit
+from veilwalk.functions.draws import SPAN, number, unit
 from veilwalk.operators.encoder import encode
 from veilwalk.plans.lineage import Store
 
 #: Rounds between two tables.
-EVERY = 8
+EVERY = 4
 LOCAL_EDGES = 2_000_000
 
 
@@ -46,11 +46,12 @@ def indexed_edges(graph: DataFrame, pools: DataFrame | None) -> DataFrame:
 
 
 def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None, starts: DataFrame | None = None, jump: Column | None = None, charged: Column | None = None) -> DataFrame:
-    """(walk_id, start, rep, seq, hops, jumps, pool_empty): walks of true vertices over an adjacency or edges.
+    """(walk_id, start, rep, seq, hops, jumps, pool_empty, emitters): walks of true vertices over an adjacency or edges.
 
     Each round moves every open walk one step: it draws the number of its next neighbour and is joined with that one
     row. A step emits a neighbour u. With more than two left to emit and a draw below the jump probability, it also
-    emits a vertex u' of u's pool and goes there at once; an empty pool leaves the step as it is. All rounds are
+    emits a vertex u' of u's pool and goes there at once; an empty pool leaves the step as it is. emitters names the
+    device that holds the walk and emits each element: a jump's two elements come from one device. All rounds are
     expressions over deterministic draws, so a task that runs again repeats its walks; a table every few rounds keeps
     plans short. jump and charged, expressions of rep, take the place of the configuration's for walks that differ.
     """
@@ -68,7 +69,7 @@ def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None
     first = seeds(begin.select("v"), cfg.per_vertex).join(begin.select(F.col("v").alias("start"), "deg"), "start")
     state = first.select(
         "walk_id", "start", "rep", F.col("start").alias("at"), "deg", F.lit(cfg.length).alias("left"), F.array().cast("array<long>").alias("seq"),
-        F.lit(0).alias("hops"), F.lit(0).alias("jumps"), F.lit(0).alias("pool_empty"),
+        F.lit(0).alias("hops"), F.lit(0).alias("jumps"), F.lit(0).alias("pool_empty"), F.array().cast("array<long>").alias("emitters"),
     )
     ended = []
     for step in range(cfg.length):
@@ -92,6 +93,7 @@ def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None
             stay("seq", F.concat("seq", F.when(jumped, F.array(F.col("u"), second)).otherwise(F.array("u")))),
             stay("hops", F.col("hops") + sends.cast("int")), stay("jumps", F.col("jumps") + jumped.cast("int")),
             stay("pool_empty", F.col("pool_empty") + (fired & ~jumped).cast("int")),
+            stay("emitters", F.concat("emitters", F.when(jumped, F.array("at", "at")).otherwise(F.array("at")))),
         )
         if step % EVERY == EVERY - 1 or step == cfg.length - 1:
             state = store.keep(state)
@@ -101,7 +103,7 @@ def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None
     out = ended[0]
     for more in ended[1:]:
         out = out.union(more)
-    return out.select("walk_id", "start", "rep", "seq", "hops", "jumps", "pool_empty")
+    return out.select("walk_id", "start", "rep", "seq", "hops", "jumps", "pool_empty", "emitters")
 
 
 def uniform_walks(graph: DataFrame, cfg: WalkConfig, starts: DataFrame | None = None) -> DataFrame:
@@ -116,7 +118,7 @@ def substituted(walks: DataFrame, table: DataFrame | None, cfg: WalkConfig) -> D
     flat = walks.select("walk_id", F.posexplode("seq").alias("i", "x"))
     drawn = encode(flat, table, "x", "y", cfg.seed, "walk_id", "i", rng=cfg.rng)
     seq = drawn.groupBy("walk_id").agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "y"))), lambda r: r["y"]).alias("seq"))
-    return walks.drop("seq").join(seq, "walk_id").select("walk_id", "start", "rep", "seq", "hops", "jumps", "pool_empty")
+    return walks.drop("seq").join(seq, "walk_id").select("walk_id", "start", "rep", "seq", "hops", "jumps", "pool_empty", "emitters")
 
 
 def private_walks(graph: DataFrame, table: DataFrame | None, pools: DataFrame | None, cfg: WalkConfig, starts: DataFrame | None = None) -> DataFrame:
@@ -124,7 +126,7 @@ def private_walks(graph: DataFrame, table: DataFrame | None, pools: DataFrame |
 
 
 def local_walks(adjacency: DataFrame, cfg: WalkConfig, starts: DataFrame | None = None, ret: float = 1.0, inout: float = 1.0) -> DataFrame:
-    """Uniform or biased second-order walks with the graph in each task; graphs beyond LOCAL_EDGES are refused.
+    """Uniform or biased second-order walks with the graph in each task, for graphs up to LOCAL_EDGES; biased_walks has no such limit.
 
     ret and inout weigh the return to the previous vertex, and vertices it has no link to, by their inverses.
     """
@@ -163,5 +165,24 @@ def local_walks(adjacency: DataFrame, cfg: WalkConfig, starts: DataFrame | None
     return seeds(begin, cfg.per_vertex).mapInPandas(run, schema)
 
 
-def biased_walks(adjacency: DataFrame, cfg: WalkConfig, ret: float, inout: float) -> DataFrame:
-    return local_walks(adjacency, cfg, None, ret, inout)
+def biased_walks(graph: DataFrame, cfg: WalkConfig, ret: float, inout: float, starts: DataFrame | None = None) -> DataFrame:
+    """Second-order walks (walk_id, start, rep, seq, hops, jumps, pool_empty) over edges or an adjacency of any size.
+
+    A step is a race of exponential clocks among the neighbours of a walk's vertex: each has a draw of its own, divided
+    by its weight, and the least one wins; so no walk needs the sum of its weights, and a task hands on one candidate
+    for each walk. The weight is 1 / ret for the previous vertex, 1 for vertices linked to it, 1 / inout for others.
+    """
+    store = Store(graph.sparkSession, "biased")
+    edges = store.keep(graph.select("v", F.explode("nbrs").alias("u")) if "nbrs" in graph.columns else graph.select("v", "u"))
+    begin = edges.select("v").distinct() if starts is None else starts.select("v").join(edges, "v", "left_semi")
+    state = seeds(begin, cfg.per_vertex).select("walk_id", "start", "rep", F.col("start").alias("at"), F.lit(None).cast("long").alias("last"), F.array().cast("array<long>").alias("seq"))
+    linked = edges.select(F.col("v").alias("last"), "u", F.lit(True).alias("linked"))
+    for step in range(cfg.length):
+        near = state.join(edges, F.col("at") == F.col("v")).drop("v").join(linked, ["last", "u"], "left")
+        weight = F.when(F.col("u") == F.col("last"), 1 / ret).when(F.col("last").isNull() | F.col("linked"), 1.0).otherwise(1 / inout)
+        clock = -F.log((number(cfg.seed, "race", "walk_id", F.lit(cfg.length - step), "u", rng=cfg.rng) + F.lit(0.5)) / F.lit(SPAN)) / weight
+        first = near.groupBy("walk_id").agg(*[F.first(c).alias(c) for c in ("start", "rep", "at", "seq")], F.min_by("u", F.struct(clock, "u")).alias("to"))
+        state = first.select("walk_id", "start", "rep", F.col("to").alias("at"), F.col("at").alias("last"), F.concat("seq", F.array("to")).alias("seq"))
+        if step % EVERY == EVERY - 1:
+            state = store.keep(state)
+    return store.keep(state.select("walk_id", "start", "rep", "seq", F.lit(cfg.length - 1).alias("hops"), F.lit(0).alias("jumps"), F.lit(0).alias("pool_empty")))

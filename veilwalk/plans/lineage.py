@@ -11,7 +11,10 @@ from pyspark.sql import functions as F
 
 
 def shared_root(spark: SparkSession) -> str:
+    """The folder all executors share: spark.checkpoint.dir. Only a local session may go without it and gets a temporary one."""
     root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     return (root or "file://" + os.path.join(tempfile.gettempdir(), "veilwalk-shared")).rstrip("/")
 
 

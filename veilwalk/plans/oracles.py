@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from veilwalk.functions.draws import laplace_sql, unit_sql
+import re
+
+from veilwalk.functions.draws import SPAN, laplace_sql, unit_sql
 
 SEED, EPS, LENGTH, PER_VERTEX, JUMP, WINDOW, LANDMARKS = "1", 2.0, 6, 2, 0.2, 3, 3
 
@@ -35,8 +37,8 @@ LCA = (
 L1 = "list_sum(list_transform(range(1, len({a}) + 1), lambda z: abs({a}[z] - {b}[z])))"
 PARTS["pairs"] = f"""pairs AS (SELECT a.v, b.v AS w, {LCA.format(i='a.ordinal', j='b.ordinal')} AS leaves, {L1.format(a='x.c', b='y.c')} AS delta
 FROM ranks a, ranks b, vectors x, vectors y WHERE x.v = a.v AND y.v = b.v)"""
-PARTS["law"] = """scored AS (SELECT v, w, -delta * leaves AS s FROM pairs), weighed AS (SELECT v, w, exp({factor} * (s - max(s) OVER (PARTITION BY v))) AS x FROM scored),
-law AS (SELECT v, w, x / sum(x) OVER (PARTITION BY v) AS pr FROM weighed)"""
+PARTS["law"] = """scored AS (SELECT v, w, -delta * leaves AS s FROM pairs), weighed AS (SELECT v, w, s, exp({factor} * (s - max(s) OVER (PARTITION BY v))) AS x FROM scored),
+law AS (SELECT v, w, s, x / sum(x) OVER (PARTITION BY v) AS pr FROM weighed)"""
 PARTS["pool"] = """wanted AS (SELECT v AS u, bin, greatest(0, least({rounded}, (SELECT count(*) FROM plan q WHERE q.bin = cells.bin) - (SELECT count(*) FROM plan q WHERE q.v = cells.v AND q.bin = cells.bin)))::BIGINT AS m FROM cells),
 pool AS (SELECT u, w FROM (SELECT p.v AS u, p.w, q.bin, row_number() OVER (PARTITION BY p.v, q.bin ORDER BY p.leaves, round(p.delta, 9), p.w) AS r
 FROM pairs p JOIN plan q ON q.v = p.w WHERE p.v <> p.w) JOIN wanted USING (u, bin) WHERE r <= m)"""
@@ -46,13 +48,13 @@ UNION ALL SELECT walk_id, nbrs[floor({unit_sql(SEED, 'step', 'walk_id', 'rest')}
 FROM steps JOIN adj ON adj.v = steps.at WHERE rest > 0),
 walks AS (SELECT walk_id, ({LENGTH} - 1 - rest)::INT AS pos, x FROM steps WHERE x IS NOT NULL)"""
 PARTS["jumps"] = f"""pools AS (SELECT u, list(w ORDER BY w) AS pool FROM pool GROUP BY u),
-hop AS (SELECT v * {PER_VERTEX} + r AS walk_id, v AS at, {LENGTH} AS rest, []::BIGINT[] AS seq, 0 AS hops, 0 AS jumps, 0 AS missed FROM adj, range({PER_VERTEX}) t(r)
-UNION ALL SELECT walk_id, CASE WHEN j THEN w ELSE x END, rest - CASE WHEN j THEN 2 ELSE 1 END, list_concat(seq, CASE WHEN j THEN [x, w] ELSE [x] END),
+hop AS (SELECT v * {PER_VERTEX} + r AS walk_id, v AS at, {LENGTH} AS rest, []::BIGINT[] AS seq, []::BIGINT[] AS emitters, 0 AS hops, 0 AS jumps, 0 AS missed FROM adj, range({PER_VERTEX}) t(r)
+UNION ALL SELECT walk_id, CASE WHEN j THEN w ELSE x END, rest - CASE WHEN j THEN 2 ELSE 1 END, list_concat(seq, CASE WHEN j THEN [x, w] ELSE [x] END), list_concat(emitters, CASE WHEN j THEN [held, held] ELSE [held] END),
 hops + (rest - CASE WHEN j THEN 2 ELSE 1 END > 0)::INT, jumps + j::INT, missed + (f AND NOT j)::INT
 FROM (SELECT *, f AND pool IS NOT NULL AS j, pool[floor({unit_sql(SEED, 'pool', 'walk_id', 'rest')} * len(pool))::INT + 1] AS w FROM
-(SELECT walk_id, rest, seq, hops, jumps, missed, rest > 2 AND {unit_sql(SEED, 'jump', 'walk_id', 'rest')} < {JUMP} AS f,
+(SELECT walk_id, hop.at AS held, rest, seq, emitters, hops, jumps, missed, rest > 2 AND {unit_sql(SEED, 'jump', 'walk_id', 'rest')} < {JUMP} AS f,
 nbrs[floor({unit_sql(SEED, 'step', 'walk_id', 'rest')} * deg)::INT + 1] AS x FROM hop JOIN adj ON adj.v = hop.at WHERE rest > 0) LEFT JOIN pools ON pools.u = x)),
-ended AS (SELECT walk_id, seq, hops, jumps, missed FROM hop WHERE rest = 0)"""
+ended AS (SELECT walk_id, seq, emitters, hops, jumps, missed FROM hop WHERE rest = 0)"""
 PARTS["cooc"] = f"""cooc AS (SELECT a.x AS a, b.x AS b, count(*) AS n FROM walks a JOIN walks b ON a.walk_id = b.walk_id AND a.pos <> b.pos AND abs(a.pos - b.pos) <= {WINDOW} GROUP BY ALL)"""
 PARTS["majority"] = """truth AS (SELECT doc_id AS v, lang AS label FROM documents WHERE lang IS NOT NULL),
 votes AS (SELECT g2.v, label, count(*) AS n FROM g2 JOIN truth t ON t.v = g2.u GROUP BY ALL),
@@ -100,6 +102,35 @@ def stats(name: str, part: str) -> str:
     return f"SELECT '{name}' AS graph, count(*) AS n_vertices, (sum(d) / 2)::BIGINT AS n_edges, min(d) AS min_degree, round(avg(d), 6) AS mean_degree, max(d) AS max_degree FROM (SELECT v, count(*) AS d FROM {part} GROUP BY v)"
 
 
+KEPT = "SELECT round(avg(pr) FILTER (WHERE v = w), 6) AS kept, round(1 - avg(pr) FILTER (WHERE v = w), 6) AS changed, round(sum(pr * s) / (SELECT n FROM size), 6) + 0.0 AS mean_score FROM law"
+#: The same where only cells near the diagonal are open.
+ALIGN_BAND = ALIGN.replace(
+    "lambda r: list_transform({b}, lambda y: " + L1.format(a="r", b="y") + ")",
+    "lambda r, i: list_transform({b}, lambda y, j: CASE WHEN abs((j - 1) * (greatest(len({a}) - 1, 1)::DOUBLE / greatest(len({b}) - 1, 1)) - (i - 1)) "
+    "<= greatest(8.0, abs(len({a}) - len({b}))::DOUBLE / greatest(len({b}) - 1, 1) + 1) THEN " + L1.format(a="r", b="y") + " ELSE 'infinity'::DOUBLE END)",
+)
+#: Exact counts beside noisy ones, under names of their own.
+BESIDE = ", ".join(re.sub(r"\b(cells|vectors|nbrs|matrices)\b", r"\1_c", PARTS[p]) for p in ("clean", "vectors", "order", "matrices"))
+ERROR = f"""SELECT u, v, round(noisy - exact, 6) + 0.0 AS error, round(3.0 * (SELECT k FROM size) / {2 * EPS} * (x + y - 1), 6) AS pair_bound,
+round(3.0 * (SELECT k FROM size) / {2 * EPS} * top * top, 6) AS bound FROM (SELECT k.u, k.v, {ALIGN.format(a='p.m', b='q.m')} AS noisy, {ALIGN.format(a='s.m', b='t.m')} AS exact, p.n AS x, q.n AS y, (SELECT max(n) FROM matrices) AS top
+FROM marks k JOIN matrices p ON p.v = k.u JOIN matrices q ON q.v = k.v JOIN matrices_c s ON s.v = k.u JOIN matrices_c t ON t.v = k.v)"""
+
+
+def core_sql(rounds: int, least: int) -> str:
+    """Rounds of dropping vertices of too few neighbours; more than are needed change nothing."""
+    steps = ["c0 AS MATERIALIZED (SELECT v, u FROM g2)"]
+    for i in range(rounds):
+        steps += [f"k{i} AS MATERIALIZED (SELECT v FROM c{i} GROUP BY v HAVING count(*) >= {least})", f"c{i + 1} AS MATERIALIZED (SELECT v, u FROM c{i} WHERE v IN (SELECT v FROM k{i}) AND u IN (SELECT v FROM k{i}))"]
+    return sql(["g2"], f", {', '.join(steps)} SELECT v, u FROM c{rounds}")
+
+
+RACE = f"('0x' || substr(md5(concat_ws('|', '{SEED}', 'race', walk_id, rest, u)), 1, 13))::BIGINT"
+#: Second-order walks: the neighbour of the least clock, by weights 2 for the way back, 1 for shared neighbours, 1/2 for others.
+BIASED = f""", race AS (SELECT v * {PER_VERTEX} + r AS walk_id, v AS at, NULL::BIGINT AS last, {LENGTH} AS rest FROM adj, range({PER_VERTEX}) t(r)
+UNION ALL SELECT walk_id, list_sort(list_transform(a.nbrs, lambda u: {{'k': -ln(({RACE} + 0.5) / {SPAN!r}) / (CASE WHEN u = last THEN 2.0 WHEN last IS NULL OR list_contains(b.nbrs, u) THEN 1.0 ELSE 0.5 END), 'u': u}}))[1].u, race.at, rest - 1
+FROM race JOIN adj a ON a.v = race.at LEFT JOIN adj b ON b.v = race.last WHERE rest > 0)
+SELECT walk_id, ({LENGTH} - 1 - rest)::INT AS pos, race.at AS x FROM race WHERE rest < {LENGTH}"""
+
 PROTOCOL = "CASE WHEN length <= 1 THEN 0 ELSE (length - 1) / (1 + p) + p * (1 - pow(-p, length - 1)) / pow(1 + p, 2) END"
 PUBLISHED = "CASE WHEN length <= 1 THEN 0 WHEN length = 2 THEN 1 ELSE (length - 2) / (1 + p) + (2 * (1 - p) - 1 / (1 + p)) * (1 - pow(-p, length - 2)) / (1 + p) END"
 GRID = "SELECT n::INT AS length, x::DOUBLE AS p FROM unnest([{lengths}]) a(n), unnest([0.0, 0.1, 0.2, 0.3, 0.4]) b(x)"
@@ -128,6 +159,19 @@ SELECT v, u FROM h UNION SELECT u, v FROM h""",
     "align_noisy": aligned(NOISY),
     "align_expr": aligned(NOISY),
     "align_one_sided": aligned(NOISY, ALIGN_ONE, swap=True),
+    "align_banded": aligned(NOISY, ALIGN_BAND),
+    "align_error_bound": sql([*NOISY, "order", "matrices", "marks"], f", {BESIDE} {ERROR}"),
+    "capped_matrices": sql([*NOISY, "order", "matrices"], "SELECT v, i::INT AS pos, round(list_sum(CASE WHEN n > 5 THEN m[floor(i * (n - 1) / 4.0)::INT + 1] ELSE m[i + 1] END), 6) + 0.0 AS row_sum FROM matrices, range(5) t(i) WHERE i < n"),
+    "matrix_rows_perturbed": sql([*NOISY, "order"], f"SELECT v, pos::INT AS pos, bin::INT AS bin, round(c[bin] + {laplace_sql(SEED, 'row', 'v', 'u', 'bin - 1', scale=1.0 / EPS)}, 6) + 0.0 AS c FROM nbrs, range(1, (SELECT k FROM size) + 1) t(bin)"),
+    "degree_core": core_sql(30, 10),
+    "vector_knn": """WITH v AS (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings WHERE vec_id IS NOT NULL AND embedding IS NOT NULL),
+k AS (SELECT v, u FROM (SELECT a.vec_id AS v, b.vec_id AS u, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_cosine_similarity(a.e, b.e), 9) DESC, b.vec_id) AS r FROM v a JOIN v b ON a.vec_id <> b.vec_id) WHERE r <= 10)
+SELECT v, u FROM k UNION SELECT u, v FROM k""",
+    "encoder_audit": sql(LAW, "SELECT w, count(*) AS held, (SELECT n FROM size) - count(*) AS missing, round(ln(max(pr)) - ln(min(pr)), 6) AS log_ratio FROM law WHERE pr > 1e-300 GROUP BY w"),
+    "jump_pool_stochastic": sql(POOL, "SELECT u, w FROM pool", rounded=f"floor(c + {unit_sql(SEED, 'round', 'v', 'bin')})"),
+    "jump_walks_intermediate": sql([*POOL, "adj", "jumps"], MATCH).replace("[x, w]", "[x, x]"),
+    "walks_without_privacy": sql([*CLEAN, "ranks", "pairs", "pool", "adj", "jumps"], MATCH),
+    "biased_walks": sql(["g2", "adj"], BIASED),
     "align_pruned": aligned(NOISY, where="WHERE delta <= 500"),
     "degree_list_align": sql(
         ["g2", "verts", "plan", "marks"],
@@ -147,8 +191,8 @@ SELECT b.u, b.v, round(1.0 - (s + a) / (least(x.d, y.d) + 1 - a), 6) + 0.0 AS de
         f""", cdf AS (SELECT v, w, sum(pr) OVER (PARTITION BY v ORDER BY w) AS c FROM law)
 SELECT v, i::INT AS i, coalesce(min(w) FILTER (WHERE c > t), max(w)) AS w FROM (SELECT v, w, c, i, {unit_sql(SEED, 'encode', 'v', 'i')} AS t FROM cdf, range(3) r(i)) GROUP BY v, i""",
     ),
-    "encoder_utility": sql(LAW, "SELECT round(avg(pr), 6) AS kept, round(1 - avg(pr), 6) AS changed FROM law WHERE v = w"),
-    "encoder_calibrated": sql(LAW, "SELECT round(avg(pr), 6) AS kept, round(1 - avg(pr), 6) AS changed FROM law WHERE v = w", factor=EPS / 200.0),
+    "encoder_utility": sql(LAW, KEPT),
+    "encoder_calibrated": sql(LAW, KEPT, factor=EPS / 200.0),
     "jump_pool": sql(POOL, "SELECT u, w FROM pool"),
     "jump_pool_floor": sql(POOL, "SELECT u, w FROM pool", rounded="floor(c)"),
     "jump_precision": sql(
@@ -173,7 +217,9 @@ SELECT walk_id, hops, jumps, pos, ws[coalesce(nullif(list_position(list_transfor
     "walk_dissim": sql(["g2", "adj", "uniform", "cooc"], "SELECT a, b, round(1 - n / (SELECT sum(n) FROM cooc), 9) AS dissim FROM cooc"),
     "label_matrix": sql(
         ["g2"],
-        """SELECT DISTINCT v, label FROM (SELECT doc_id AS v, 'lang:' || lang AS label FROM documents WHERE lang IS NOT NULL
+        """, cut AS (SELECT quantile_cont(n_chars, 1 / 3.0::DOUBLE) AS a, quantile_cont(n_chars, 2 / 3.0::DOUBLE) AS b FROM documents)
+SELECT DISTINCT v, label FROM (SELECT doc_id AS v, 'length:' || CASE WHEN n_chars <= a THEN 'short' WHEN n_chars <= b THEN 'medium' ELSE 'long' END AS label FROM documents, cut WHERE n_chars IS NOT NULL
+UNION ALL SELECT doc_id AS v, 'lang:' || lang AS label FROM documents WHERE lang IS NOT NULL
 UNION ALL SELECT doc_id, 'quality:' || quality FROM labels UNION ALL SELECT doc_id, 'toxic:' || toxic FROM labels) WHERE v IN (SELECT v FROM g2)""",
     ),
     "split_counts": f"""WITH d AS (SELECT DISTINCT doc_id AS v FROM documents), r AS (SELECT v, row_number() OVER (ORDER BY {unit_sql(SEED, 'split', 'v')}, v) - 1 AS r, count(*) OVER () AS n FROM d)
@@ -194,7 +240,7 @@ UNION ALL SELECT 'walk', 'server', 'device', nv, nv * nv * nv * 8.0 FROM s UNION
 UNION ALL SELECT 'walk', 'device', 'device', hops, hops * 24.0 FROM s UNION ALL SELECT 'walk', 'device', 'server', nw, seen * 8.0 FROM s)
 SELECT coalesce(phase, 'all') AS phase, coalesce(src_role, 'all') AS src_role, coalesce(dst_role, 'all') AS dst_role, sum(n)::BIGINT AS n, sum(bytes)::DOUBLE AS bytes FROM ledger GROUP BY CUBE (phase, src_role, dst_role)""",
     ),
-    "privacy_ledger": sql(["g2", "adj"], f"SELECT v, {LENGTH * PER_VERTEX}::BIGINT AS emissions, {EPS + LENGTH * PER_VERTEX * EPS}::DOUBLE AS eps FROM adj"),
+    "privacy_ledger": sql([*POOL, "adj", "jumps"], f"SELECT v, count(*) AS emissions, {EPS}::DOUBLE + count(*) * {EPS}::DOUBLE AS eps FROM (SELECT unnest(emitters) AS v FROM ended) GROUP BY v"),
     "row_linkability": sql([*CLEAN, "order"], "SELECT count(*) AS rows, round(avg(CASE WHEN o.n = 1 THEN 1.0 ELSE 0.0 END), 6) AS linkable FROM nbrs JOIN (SELECT c, count(*) AS n FROM vectors GROUP BY c) o USING (c)"),
     "exact_two_hop": sql(["g2"], "SELECT DISTINCT a.v, b.u AS w FROM g2 a JOIN g2 b ON b.v = a.u WHERE a.v <> b.u AND NOT EXISTS (SELECT 1 FROM g2 c WHERE c.v = a.v AND c.u = b.u)"),
     "randomized_response": sql(

@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 from collections.abc import Iterable
-from dataclasses import dataclass
+from concurrent.futures import ThreadPoolExecutor
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -24,20 +25,26 @@ class TreeParts:
     dissim: DataFrame
     leaves: DataFrame
     k: int
+    mode: str = "exact"
+    cache: dict = field(default_factory=dict)
 
 
 @dataclass
 class FitResult:
+    """mode is 'exact', 'blocks' (laws and dissimilarities within blocks of the tree) or 'uniform'."""
+
     embedding: DataFrame
     walks: DataFrame
     tree: TreeParts | None
     ledger: DataFrame
+    mode: str = "exact"
 
 
 def build_tree_parts(edges: DataFrame, cfg: WalkConfig, allow_over_bound: bool = False) -> TreeParts:
     """Bin plan, noisy vectors, ordered matrices, dissimilarities and cluster tree.
 
-    Graphs up to the exact limit get all pairs; larger ones a tree by bisection and the pairs within its blocks.
+    With cfg.tree 'bisect' the tree is bisected and only pairs within its blocks are aligned; all other trees need all
+    pairs and refuse graphs beyond the exact limit.
     """
     store = Store(edges.sparkSession, "tree")
     vertices = store.keep(graphs.roster(edges))
@@ -47,15 +54,17 @@ def build_tree_parts(edges: DataFrame, cfg: WalkConfig, allow_over_bound: bool =
     vectors = store.keep(degree.degree_vectors(degree.bin_counts(edges, plan, k), cfg.eps_degree, k, cfg.sensitivity, cfg.seed, cfg.rng))
     matrices = degree.ordered_matrices(edges, vectors, cfg.eps_degree if cfg.perturb_rows else None, cfg.seed)
     matrices = store.keep(degree.cap_rows(matrices, cfg.row_cap) if cfg.row_cap else matrices)
-    if n <= tree.EXACT_LIMIT and cfg.tree != "bisect":
+    if cfg.tree != "bisect":
+        if n > tree.EXACT_LIMIT:
+            raise ValueError(f"{n} vertices exceed the limit {tree.EXACT_LIMIT} of all pairs; choose tree='bisect'")
         dissim = store.keep(align.pairs_within(matrices, None, 64, cfg.one_sided, cfg.band))
         leaves = store.keep(tree.build_tree(dissim, vertices, cfg.tree))
     else:
-        leaves = tree.bisect_tree(matrices, cfg.block, seed=cfg.seed)
+        leaves = tree.bisect_tree(matrices, cfg.block, seed=cfg.seed, one_sided=cfg.one_sided, band=cfg.band)
         blocks = tree_blocks(leaves, cfg.block)
         placed = matrices.join(blocks, "v")
         dissim = store.keep(align.pairs_within(placed, "block", 64, cfg.one_sided, cfg.band))
-    return TreeParts(plan, vectors, matrices, dissim, leaves, k)
+    return TreeParts(plan, vectors, matrices, dissim, leaves, k, "blocks" if cfg.tree == "bisect" else "exact")
 
 
 def tree_blocks(leaves: DataFrame, block: int) -> DataFrame:
@@ -68,19 +77,32 @@ def tree_blocks(leaves: DataFrame, block: int) -> DataFrame:
 
 def laws(parts: TreeParts, cfg: WalkConfig) -> tuple[DataFrame | None, DataFrame]:
     """The substitution law (none without eps_walk) and the jump pools."""
+    key = (cfg.eps_walk, cfg.score_scale, cfg.calibrated, cfg.near, cfg.rounding, cfg.seed, cfg.block, cfg.outside)
+    if key in parts.cache:
+        return parts.cache[key]
     store = Store(parts.leaves.sparkSession, "laws")
     wanted = predictor.demand(parts.vectors, parts.bins, cfg.rounding, cfg.seed)
-    exact = parts.leaves.count() <= tree.EXACT_LIMIT and cfg.tree != "bisect"
-    if exact:
+    if parts.mode == "exact":
         law = None if cfg.eps_walk is None else encoder.encoder_table(parts.dissim, parts.leaves, cfg.eps_walk, cfg.score_scale, cfg.calibrated)
         pools = predictor.tree_pool(parts.dissim, parts.leaves, parts.bins, wanted, cfg.near)
     else:
         leaves = store.keep(parts.leaves.join(tree_blocks(parts.leaves, cfg.block), "v"))
         n = leaves.count()
-        law = None if cfg.eps_walk is None else encoder.pruned_table(parts.dissim, leaves, F.col("block"), n, cfg.eps_walk, cfg.score_scale)
+        law = None
+        if cfg.eps_walk is not None:
+            law = encoder.pruned_table(parts.dissim, leaves, F.col("block"), n, cfg.eps_walk, cfg.score_scale, cfg.calibrated, parts.matrices)
+            law = law if cfg.outside == "drop" else encoder.with_outside(store.keep(law), n)
         pools = predictor.tree_pool(parts.dissim, leaves, parts.bins, wanted, cfg.near, F.col("block"))
         pools = predictor.fill_pools(store.keep(pools), leaves, parts.bins, wanted)
-    return None if law is None else store.keep(law), store.keep(pools)
+    parts.cache[key] = None if law is None else store.keep(law), store.keep(pools)
+    return parts.cache[key]
+
+
+def pool_shortfall(parts: TreeParts, pools: DataFrame, cfg: WalkConfig) -> DataFrame:
+    """(mode, vertices, demanded, delivered, short): members that noisy counts ask for and pools hold, in one row."""
+    wanted = predictor.demand(parts.vectors, parts.bins, cfg.rounding, cfg.seed).groupBy("u").agg(F.sum("m").alias("m"))
+    both = wanted.join(pools.select("u", F.size("pool").cast("long").alias("n")), "u", "left").na.fill(0)
+    return both.agg(F.lit(parts.mode).alias("mode"), F.count("*").alias("vertices"), F.sum("m").alias("demanded"), F.sum("n").alias("delivered"), F.count_if(F.col("n") < F.col("m")).alias("short"))
 
 
 def embed(corpus: DataFrame, cfg: WalkConfig, backend: str = "mllib") -> DataFrame:
@@ -98,14 +120,14 @@ def fit_private(edges: DataFrame, cfg: WalkConfig, backend: str = "mllib", parts
         pools = predictor.exact_pool(graphs.adjacency(edges))
     corpus = store.keep(walks.private_walks(edges, law, pools, cfg))
     ledger = cost.privacy_ledger(corpus, cfg.eps_degree, cfg.eps_walk, parts.k, cfg.sensitivity)
-    return FitResult(embed(corpus, cfg, backend), corpus, parts, ledger)
+    return FitResult(embed(corpus, cfg, backend), corpus, parts, ledger, parts.mode)
 
 
 def fit_uniform(edges: DataFrame, cfg: WalkConfig, backend: str = "mllib") -> FitResult:
     """The centralized baseline with the same walks, window and dimension."""
     store = Store(edges.sparkSession, "uniform")
     corpus = store.keep(walks.uniform_walks(edges, cfg))
-    return FitResult(embed(corpus, cfg, backend), corpus, None, cost.privacy_ledger(corpus, None, None, 0))
+    return FitResult(embed(corpus, cfg, backend), corpus, None, cost.privacy_ledger(corpus, None, None, 0), "uniform")
 
 
 def evaluate(embedding: DataFrame, truth: DataFrame, share: float, seed: str = "1", rule: str = "known_count") -> DataFrame:
@@ -124,39 +146,78 @@ def evaluate(embedding: DataFrame, truth: DataFrame, share: float, seed: str = "
     return both.select(F.lit(rule).alias("rule"), F.lit(test.count()).cast("long").alias("n_test"), "pooled_f1", "macro_f1")
 
 
+#: Points of a sweep that run at once: their jobs are many and small.
+AT_ONCE = 8
+
+
 def sweep(edges: DataFrame, truth: DataFrame, cfg: WalkConfig, grid: dict[str, Iterable], shares: Iterable[float] = (0.5,), seeds: Iterable[str] = ("1",), baseline: bool = True, trees: dict | None = None) -> DataFrame:
-    """(method, parameter, value, seed, share, pooled_f1, macro_f1, mean_messages), one row for each point of the grid.
+    """One row for each point of the grid, share and seed: (method, mode, parameter, value, seed, share, pooled_f1, macro_f1,
+    pooled_f1_threshold, macro_f1_threshold, mean_messages). The first two scores are of the rule known_count.
 
+    A name 'a*b' in the grid stands for pairs of values of a and b; its value is that of a, and other that of b.
     Trees are built once for each choice of bins and noise, and shared by sweeps of one graph that are given the same trees;
-    walks once for each point, whatever the shares.
+    walks once for each point; all points and shares are evaluated in one job. Points run AT_ONCE at a time.
     """
-    rows, spark, trees = [], edges.sparkSession, {} if trees is None else trees
+    spark, trees = edges.sparkSession, {} if trees is None else trees
+    plans: list[tuple] = []
     for seed in seeds:
         if baseline:
-            rows += _points(fit_uniform(edges, cfg.with_(seed=seed)), truth, "uniform", "", None, seed, shares)
+            plans.append(("uniform", "", None, None, seed, cfg.with_(seed=seed)))
         for name, values in grid.items():
             for value in values:
-                c = cfg.with_(seed=seed, **({"eps_degree": value, "eps_walk": value} if name == "eps" else {name: value}))
-                key = (seed, c.bins, c.eps_degree, c.tree)
-                if key not in trees:
-                    trees[key] = build_tree_parts(edges, c, allow_over_bound=True)
-                rows += _points(fit_private(edges, c, parts=trees[key]), truth, "private", name, value, seed, shares)
-    schema = "method string, parameter string, value double, seed string, share double, pooled_f1 double, macro_f1 double, mean_messages double"
-    return spark.createDataFrame(rows, schema)
+                told = value if "*" in name else (value,)
+                change = dict(zip(name.split("*"), told, strict=True))
+                if "eps" in change:
+                    change |= {"eps_degree": change["eps"], "eps_walk": change.pop("eps")}
+                plans.append(("private", name, told[0], told[1] if len(told) > 1 else None, seed, cfg.with_(seed=seed, **change)))
+    key = lambda c: (c.seed, c.bins, c.eps_degree, c.tree)
+    missing = {key(p[-1]): p[-1] for p in plans if p[0] == "private" and key(p[-1]) not in trees}
+    store = Store(spark, "sweep")
+
+    def run(point: int) -> tuple[DataFrame, tuple]:
+        method, name, value, other, seed, c = plans[point]
+        fit = fit_uniform(edges, c) if method == "uniform" else fit_private(edges, c, parts=trees[key(c)])
+        embedding = Store(spark, "point").keep(fit.embedding)
+        messages = cost.walk_messages(fit.walks).first()["mean_messages"]
+        number = lambda x: None if x is None else float(x)
+        return embedding.select(F.lit(point).alias("point"), F.lit(seed).alias("seed"), "v", "vec"), (point, method, fit.mode, name, number(value), number(other), seed, messages)
+
+    with ThreadPoolExecutor(AT_ONCE) as pool:
+        trees |= dict(zip(missing, pool.map(lambda c: _with_laws(build_tree_parts(edges, c, allow_over_bound=True), c), missing.values()), strict=True))
+        found = list(pool.map(run, range(len(plans))))
+    if not found:
+        return spark.createDataFrame([], SWEEP)
+    every = found[0][0]
+    for embedding, _ in found[1:]:
+        every = every.unionByName(embedding)
+    scores = classify.evaluate_points(store.keep(every), truth, list(shares))
+    at = scores.groupBy("point", "share").agg(*[F.max(F.when(F.col("rule") == r, F.col(c))).alias(c + s) for r, s in (("known_count", ""), ("threshold", "_threshold")) for c in ("pooled_f1", "macro_f1")])
+    about = spark.createDataFrame([row for _, row in found], "point int, method string, mode string, parameter string, value double, other double, seed string, mean_messages double")
+    return store.keep(about.join(at, "point").select("method", "mode", "parameter", "value", "other", "seed", "share", "pooled_f1", "macro_f1", "pooled_f1_threshold", "macro_f1_threshold", "mean_messages"))
+
+
+SWEEP = "method string, mode string, parameter string, value double, other double, seed string, share double, pooled_f1 double, macro_f1 double, pooled_f1_threshold double, macro_f1_threshold double, mean_messages double"
+
+
+def _with_laws(parts: TreeParts, cfg: WalkConfig) -> TreeParts:
+    laws(parts, cfg)
+    return parts
+
+
+def score_gaps(points: DataFrame) -> DataFrame:
+    """(share, measure, uniform, private, points, relative): mean scores over seeds of both methods, and their gaps."""
+    means = points.groupBy("share", "method").agg(*[F.avg(c).alias(c) for c in SCORES])
+    long = means.select("share", "method", F.explode(F.array(*[F.struct(F.lit(c).alias("measure"), F.col(c).alias("score")) for c in SCORES])).alias("x")).select("share", "method", "x.*")
+    both = long.groupBy("share", "measure").agg(*[F.max(F.when(F.col("method") == m, F.col("score"))).alias(m) for m in ("uniform", "private")])
+    gap = F.col("private") - F.col("uniform")
+    return both.select("share", "measure", "uniform", "private", gap.alias("points"), F.when(F.col("uniform") > 0, gap / F.col("uniform")).alias("relative"))
+
+
+SCORES = ("pooled_f1", "macro_f1", "pooled_f1_threshold", "macro_f1_threshold")
 
 
 def repeated(points: DataFrame) -> DataFrame:
     """Mean and spread of a sweep's scores over its seeds."""
-    keys = ["method", "parameter", "value", "share"]
-    cells = [f(c).alias(f"{n}_{c}") for c in ("pooled_f1", "macro_f1", "mean_messages") for n, f in (("mean", F.avg), ("spread", F.stddev_pop))]
+    keys = ["method", "parameter", "value", "other", "share"]
+    cells = [f(c).alias(f"{n}_{c}") for c in (*SCORES, "mean_messages") for n, f in (("mean", F.avg), ("spread", F.stddev_pop))]
     return points.groupBy(*keys).agg(F.count("*").alias("seeds"), *cells)
-
-
-def _points(fit: FitResult, truth: DataFrame, method: str, name: str, value: float | None, seed: str, shares: Iterable[float]) -> list[tuple]:
-    embedding = Store(fit.walks.sparkSession, "sweep").keep(fit.embedding)
-    messages = cost.walk_messages(fit.walks).first()["mean_messages"]
-    out = []
-    for share in shares:
-        r = evaluate(embedding, truth, share, seed).first()
-        out.append((method, name, None if value is None else float(value), seed, share, r["pooled_f1"], r["macro_f1"], messages))
-    return out

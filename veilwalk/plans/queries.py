@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass
+from functools import cached_property
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -12,7 +12,7 @@ from veilwalk.config import WalkConfig, default_bins
 from veilwalk.functions.vectors import l1, total
 from veilwalk.operators import align, baselines, bins, classify, cooccur, cost, degree, encoder, metrics, predictor, skipgram, tree, walks
 from veilwalk.plans import pipeline
-from veilwalk.plans.lineage import Store
+from veilwalk.plans.lineage import Store, shared_root
 from veilwalk.sources import graphs
 from veilwalk.sources.tables import load
 from veilwalk.streaming import edges as streams
@@ -29,28 +29,102 @@ def r6(c: str | Column) -> Column:
     return F.round(F.col(c) if isinstance(c, str) else c, 6) + F.lit(0.0)
 
 
-@dataclass
 class Base:
-    """The document graph with its bin plan and vectors, shared by many queries of one session and folder."""
+    """The document graph with what many queries of one session and folder share; each part is made when first asked for."""
 
-    store: Store
-    edges: DataFrame
-    n: int
-    k: int
-    plan: DataFrame
-    counts: DataFrame
-    vectors: DataFrame
+    def __init__(self, spark: SparkSession, sf_dir: str, eps: float | None):
+        self.spark, self.sf_dir, self.eps, self.store = spark, sf_dir, eps, Store(spark, "base")
+
+    @cached_property
+    def clean(self) -> Base:
+        return base(self.spark, self.sf_dir, None)
+
+    @cached_property
+    def edges(self) -> DataFrame:
+        return self.clean.edges if self.eps is not None else self.store.keep(graphs.document_terms(self.spark, self.sf_dir))
+
+    @cached_property
+    def vertices(self) -> DataFrame:
+        return self.clean.vertices if self.eps is not None else self.store.keep(graphs.roster(self.edges))
+
+    @cached_property
+    def n(self) -> int:
+        return self.vertices.count()
+
+    @property
+    def k(self) -> int:
+        return default_bins(self.n)
+
+    @cached_property
+    def plan(self) -> DataFrame:
+        return self.clean.plan if self.eps is not None else self.store.keep(bins.assign_bins(bins.number_vertices(self.vertices, CFG.seed), self.k))
+
+    @cached_property
+    def counts(self) -> DataFrame:
+        return self.clean.counts if self.eps is not None else self.store.keep(degree.bin_counts(self.edges, self.plan, self.k))
+
+    @cached_property
+    def vectors(self) -> DataFrame:
+        return self.store.keep(degree.degree_vectors(self.counts, self.eps, self.k, seed=CFG.seed))
+
+    @cached_property
+    def matrices(self) -> DataFrame:
+        return self.store.keep(degree.ordered_matrices(self.edges, self.vectors))
+
+    @cached_property
+    def ranked(self) -> DataFrame:
+        return self.store.keep(tree.median_order(self.vectors))
+
+    @cached_property
+    def dissim(self) -> DataFrame:
+        return self.store.keep(align.pairs_within(self.matrices))
+
+    @cached_property
+    def hybrid(self) -> DataFrame:
+        return self.store.keep(tree.build_tree(self.dissim, self.vertices, "hybrid"))
+
+    @cached_property
+    def pairs(self) -> DataFrame:
+        """(v, w, leaves, delta) for all ordered pairs and for each vertex with itself, dissimilarity by vector distance."""
+        if self.n > tree.EXACT_LIMIT:
+            raise ValueError(f"{self.n} vertices exceed the limit {tree.EXACT_LIMIT} of all pairs")
+        cells = [F.element_at("c", j).alias(f"c{j}") for j in range(1, self.k + 1)]
+        o = self.ranked.join(self.vectors, "v").select("v", "ordinal", *cells).repartition(align.wide(self.spark), "v")
+        other = o.select(F.col("v").alias("w"), F.col("ordinal").alias("o"), *[F.col(f"c{j}").alias(f"d{j}") for j in range(1, self.k + 1)])
+        delta = F.lit(0.0)
+        for j in range(1, self.k + 1):
+            delta = delta + F.abs(F.col(f"c{j}") - F.col(f"d{j}"))
+        both = o.crossJoin(F.broadcast(other))  # checked above: at most EXACT_LIMIT rows are sent
+        return both.select("v", "w", tree.rank_lca(F.col("ordinal"), F.col("o"), F.lit(self.n).cast("long")).alias("leaves"), delta.alias("delta"))
+
+    @cached_property
+    def law(self) -> DataFrame:
+        return self.store.keep(_law(self))
+
+    @cached_property
+    def table(self) -> DataFrame:
+        return self.store.keep(encoder.as_table(self.law))
+
+    @cached_property
+    def pools(self) -> DataFrame:
+        return _pools(self)
+
+    @cached_property
+    def jump_walks(self) -> DataFrame:
+        return self.store.keep(walks.true_walks(graphs.adjacency(self.edges), CFG, self.pools))
+
+
+_BASES: dict[tuple, Base] = {}
 
 
 def base(spark: SparkSession, sf_dir: str, eps: float | None = EPS) -> Base:
-    store = Store(spark, "base")
-    edges = store.keep(graphs.document_terms(spark, sf_dir))
-    vertices = store.keep(graphs.roster(edges))
-    n = vertices.count()
-    k = default_bins(n)
-    plan = store.keep(bins.assign_bins(bins.number_vertices(vertices, CFG.seed), k))
-    counts = store.keep(degree.bin_counts(edges, plan, k))
-    return Base(store, edges, n, k, plan, counts, store.keep(degree.degree_vectors(counts, eps, k, seed=CFG.seed)))
+    """The shared parts of a session, as long as the table of documents is the same."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{sf_dir}/documents.parquet")
+    status = path.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(path)
+    key = (spark.sparkContext.applicationId, sf_dir, status.getModificationTime(), status.getLen(), shared_root(spark), eps)
+    if key not in _BASES:
+        _BASES[key] = Base(spark, sf_dir, eps)
+    return _BASES[key]
 
 
 # graphs
@@ -123,13 +197,21 @@ def estimated_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def neighbour_order(spark: SparkSession, sf_dir: str) -> DataFrame:
-    b = base(spark, sf_dir)
-    return degree.ordered_matrices(b.edges, b.vectors).select("v", F.posexplode("nbr_order").alias("pos", "u"))
+    return base(spark, sf_dir).matrices.select("v", F.posexplode("nbr_order").alias("pos", "u"))
 
 
 def matrix_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _cells(base(spark, sf_dir).matrices)
+
+
+def matrix_rows_perturbed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Matrices whose rows devices have noised once more before they hand them on."""
     b = base(spark, sf_dir)
-    rows = degree.ordered_matrices(b.edges, b.vectors).select("v", F.posexplode("m").alias("pos", "row"))
+    return _cells(degree.ordered_matrices(b.edges, b.vectors, EPS, CFG.seed))
+
+
+def _cells(matrices: DataFrame) -> DataFrame:
+    rows = matrices.select("v", F.posexplode("m").alias("pos", "row"))
     return rows.select("v", "pos", F.posexplode("row").alias("bin", "c")).select("v", "pos", (F.col("bin") + 1).alias("bin"), r6("c").alias("c"))
 
 
@@ -148,7 +230,7 @@ def _landmark_pairs(b: Base, matrices: DataFrame) -> DataFrame:
 
 def _aligned(spark: SparkSession, sf_dir: str, eps: float | None, **more) -> tuple[Base, DataFrame, DataFrame]:
     b = base(spark, sf_dir, eps)
-    m = b.store.keep(degree.ordered_matrices(b.edges, b.vectors))
+    m = b.matrices
     return b, m, align.dissimilarity(m, _landmark_pairs(b, m), **more)
 
 
@@ -182,11 +264,9 @@ def align_pruned(spark: SparkSession, sf_dir: str) -> DataFrame:
 def align_error_bound(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What noise adds to the alignment, per pair, beside its bounds."""
     b, m, noisy = _aligned(spark, sf_dir, EPS)
-    clean_v = degree.degree_vectors(b.counts, None, b.k)
-    clean_m = degree.ordered_matrices(b.edges, clean_v)
-    clean = align.dissimilarity(clean_m, noisy.select("u", "v"))
+    clean = align.dissimilarity(b.clean.matrices, noisy.select("u", "v"))
     out = align.dissimilarity_error(noisy, clean, m, EPS, b.k)
-    return out.select("u", "v", r6("error").alias("error"), "pair_bound", "bound")
+    return out.select("u", "v", r6("error").alias("error"), r6("pair_bound").alias("pair_bound"), r6("bound").alias("bound"))
 
 
 def degree_list_align(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -201,110 +281,139 @@ def overlap_dissim(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def dissim_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Alignment of all pairs of the document graph."""
-    b = base(spark, sf_dir)
-    return align.pairs_within(degree.ordered_matrices(b.edges, b.vectors)).select("u", "v", r6("delta").alias("delta"))
+    return base(spark, sf_dir).dissim.select("u", "v", r6("delta").alias("delta"))
 
 
 def capped_matrices(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = base(spark, sf_dir)
-    m = degree.cap_rows(degree.ordered_matrices(b.edges, b.vectors), 5)
+    m = degree.cap_rows(b.matrices, 5)
     return m.select("v", F.posexplode("m").alias("pos", "row")).select("v", "pos", r6(total(F.col("row"))).alias("row_sum"))
 
 
 # trees
 
-def _ranked(b: Base) -> DataFrame:
-    return b.store.keep(tree.median_order(b.vectors))
-
-
 def median_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _ranked(base(spark, sf_dir))
-
-
-def _rank_pairs(b: Base) -> DataFrame:
-    """(v, w, leaves, delta) for all ordered pairs and for each vertex with itself, dissimilarity by vector distance."""
-    o = _ranked(b).join(b.vectors, "v")
-    other = o.select(F.col("v").alias("w"), F.col("ordinal").alias("o"), F.col("c").alias("cw"))
-    both = o.crossJoin(other)  # all pairs are what the law is about; graphs beyond the exact limit use blocks
-    return both.select("v", "w", tree.rank_lca(F.col("ordinal"), F.col("o"), F.lit(b.n).cast("long")).alias("leaves"), l1(F.col("c"), F.col("cw")).alias("delta"))
+    return base(spark, sf_dir).ranked
 
 
 def lca_leaves(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = base(spark, sf_dir)
-    o = _ranked(b)
+    o = b.ranked
     pairs = b.edges.where("v < u").join(o, "v").join(o.select(F.col("v").alias("u"), F.col("ordinal").alias("p")), "u")
     return pairs.select("v", "u", tree.rank_lca(F.col("ordinal"), F.col("p"), F.lit(b.n).cast("long")).alias("leaves"))
 
 
 def _law(b: Base, eps: float = 0.05) -> DataFrame:
-    scored = _rank_pairs(b).select("v", "w", encoder.walk_score(F.col("delta"), F.col("leaves")).alias("score"))
+    scored = b.pairs.select("v", "w", encoder.walk_score(F.col("delta"), F.col("leaves")).alias("score"))
     return encoder.exponential_mechanism(scored, "v", "score", eps)
 
 
+def encoder_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Largest log-ratios of the law between vertices, by output."""
+    return encoder.encoder_audit(base(spark, sf_dir).law)
+
+
 def encoder_law(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Substitutes of probability 0.000001 and more."""
-    return _law(base(spark, sf_dir)).select("v", "w", r6("pr").alias("pr")).where("pr > 0")
+    return base(spark, sf_dir).law.select("v", "w", r6("pr").alias("pr")).where("pr > 0")
 
 
 def encoder_draws(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Three substitutes drawn for each vertex."""
     b = base(spark, sf_dir)
-    table = b.store.keep(encoder.as_table(_law(b)))
+    table = b.table
     asked = table.select(F.col("v").alias("x"), F.explode(F.array(*[F.lit(i) for i in range(3)])).alias("i"))
     return encoder.encode(asked, table, "x", "w", CFG.seed, "x", "i").select(F.col("x").alias("v"), "i", "w")
 
 
 def encoder_utility(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return encoder.encoder_utility(_law(base(spark, sf_dir)))
+    return encoder.encoder_utility(base(spark, sf_dir).law)
 
 
 def encoder_calibrated(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The textbook factor for a stated sensitivity of 100."""
-    scored = _rank_pairs(base(spark, sf_dir)).select("v", "w", encoder.walk_score(F.col("delta"), F.col("leaves")).alias("score"))
+    scored = base(spark, sf_dir).pairs.select("v", "w", encoder.walk_score(F.col("delta"), F.col("leaves")).alias("score"))
     return encoder.encoder_utility(encoder.exponential_mechanism(scored, "v", "score", EPS, calibrated=100.0))
 
 
 def _pools(b: Base, rounding: str = "round") -> DataFrame:
     wanted = predictor.demand(b.vectors, b.plan, rounding, CFG.seed)
     kinds = b.plan.select(F.col("v").alias("w"), "bin")
-    near = _rank_pairs(b).select(F.col("v").alias("u"), "w", F.col("leaves").alias("near"), F.round("delta", 9).alias("delta")).join(kinds, "w")
+    near = b.pairs.select(F.col("v").alias("u"), "w", F.col("leaves").alias("near"), F.round("delta", 9).alias("delta")).join(kinds, "w")
     return b.store.keep(predictor.jump_pool(near, wanted))
 
 
 def jump_pool(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _pools(base(spark, sf_dir)).select("u", F.explode("pool").alias("w"))
+    return base(spark, sf_dir).pools.select("u", F.explode("pool").alias("w"))
 
 
 def jump_pool_floor(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _pools(base(spark, sf_dir), "floor").select("u", F.explode("pool").alias("w"))
 
 
-def jump_precision(spark: SparkSession, sf_dir: str) -> DataFrame:
+def jump_pool_stochastic(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pools whose sizes are drawn so that their means are the noisy counts."""
+    return _pools(base(spark, sf_dir), "stochastic").select("u", F.explode("pool").alias("w"))
+
+
+def _tree_pools(spark: SparkSession, sf_dir: str, near: str) -> DataFrame:
     b = base(spark, sf_dir)
-    return predictor.jump_precision(_pools(b), b.edges)
+    wanted = predictor.demand(b.vectors, b.plan, "round", CFG.seed)
+    return predictor.tree_pool(b.dissim, b.hybrid, b.plan, wanted, near).select("u", F.explode("pool").alias("w"))
 
 
-def tree_checks(spark: SparkSession, sf_dir: str) -> DataFrame:
+def jump_pool_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pools by the cluster tree of aligned matrices: leaves of the common subtree, then dissimilarity, then id."""
+    return _tree_pools(spark, sf_dir, "leaves")
+
+
+def jump_pool_hops(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _tree_pools(spark, sf_dir, "hops")
+
+
+def jump_pool_depth(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _tree_pools(spark, sf_dir, "depth")
+
+
+def jump_precision(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = base(spark, sf_dir)
-    return tree.tree_violations(_hybrid(b)[0])
+    return predictor.jump_precision(b.pools, b.edges)
 
 
-def _hybrid(b: Base, method: str = "hybrid") -> tuple[DataFrame, DataFrame]:
-    dissim = b.store.keep(align.pairs_within(degree.ordered_matrices(b.edges, b.vectors)))
-    return b.store.keep(tree.build_tree(dissim, b.plan.select("v"), method)), dissim
+def tree_checks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tree.tree_violations(base(spark, sf_dir).hybrid)
 
 
 def hybrid_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _hybrid(base(spark, sf_dir))[0]
+    return base(spark, sf_dir).hybrid
 
 
 def average_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _hybrid(base(spark, sf_dir), "average")[0]
+    b = base(spark, sf_dir)
+    return b.store.keep(tree.build_tree(b.dissim, b.vertices, "average"))
 
 
 def bisect_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tree.bisect_tree(base(spark, sf_dir).matrices, 128, seed=CFG.seed)
+
+
+def encoder_law_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The law of aligned dissimilarities and the cluster tree, substitutes of probability 0.000001 and more."""
     b = base(spark, sf_dir)
-    return tree.bisect_tree(degree.ordered_matrices(b.edges, b.vectors), 128, seed=CFG.seed)
+    rows = encoder.law_rows(encoder.encoder_table(b.dissim, b.hybrid, 0.001))
+    return rows.select("v", "w", r6("pr").alias("pr")).where("pr > 0")
+
+
+def outside_mass(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(v, lost_mass, outside): for laws by block, the bound of the mass outside and the exact law's mass there."""
+    b = base(spark, sf_dir)
+    leaves = b.store.keep(tree.bisect_tree(b.matrices, 64, seed=CFG.seed).transform(lambda t: t.join(pipeline.tree_blocks(t, 64), "v")))
+    exact = encoder.law_rows(encoder.encoder_table(b.dissim, leaves, 0.001))
+    block = leaves.select("v", "block")
+    beyond = exact.join(block, "v").join(block.select(F.col("v").alias("w"), F.col("block").alias("other")), "w")
+    true = beyond.groupBy("v").agg(F.sum(F.when(F.col("block") != F.col("other"), F.col("pr")).otherwise(0.0)).alias("outside"))
+    law = encoder.pruned_table(b.dissim, leaves, F.col("block"), b.n, 0.001, matrices=b.matrices)
+    return law.select("v", r6("lost_mass").alias("lost_mass")).join(true, "v").select("v", "lost_mass", r6("outside").alias("outside"))
 
 
 # walks and vectors
@@ -320,26 +429,33 @@ def uniform_walks(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def biased_walks(spark: SparkSession, sf_dir: str) -> DataFrame:
     edges = graphs.document_terms(spark, sf_dir)
-    return _flat(walks.biased_walks(graphs.adjacency(edges), CFG, 0.5, 2.0)).drop("hops", "jumps")
-
-
-def _jump_walks(b: Base, cfg: WalkConfig = CFG) -> DataFrame:
-    return b.store.keep(walks.true_walks(graphs.adjacency(b.edges), cfg, _pools(b)))
+    return _flat(walks.biased_walks(edges, CFG, 0.5, 2.0)).drop("hops", "jumps")
 
 
 def jump_walks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Walks with jumps, of true vertices."""
-    return _flat(_jump_walks(base(spark, sf_dir)))
+    return _flat(base(spark, sf_dir).jump_walks)
+
+
+def jump_walks_intermediate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Walks whose jumps emit the neighbour that they pass over for a second time."""
+    b = base(spark, sf_dir)
+    return _flat(walks.true_walks(graphs.adjacency(b.edges), CFG.with_(jump_emits="intermediate"), b.pools))
 
 
 def private_walks(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = base(spark, sf_dir)
-    table = b.store.keep(encoder.as_table(_law(b)))
-    return _flat(walks.private_walks(graphs.adjacency(b.edges), table, _pools(b), CFG))
+    return _flat(walks.private_walks(graphs.adjacency(b.edges), b.table, b.pools, CFG))
+
+
+def walks_without_privacy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ablation: jumps by pools of exact counts, and no substitution."""
+    b = base(spark, sf_dir, None)
+    return _flat(walks.private_walks(graphs.adjacency(b.edges), None, b.pools, CFG.with_(eps_walk=None)))
 
 
 def walk_messages(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cost.walk_messages(_jump_walks(base(spark, sf_dir)))
+    return cost.walk_messages(base(spark, sf_dir).jump_walks)
 
 
 def messages_by_p(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -391,7 +507,19 @@ def skipgram_mllib(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def skipgram_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return skipgram.skipgram_blocks(cooccurrence(spark, sf_dir), CFG.dim, blocks=2, epochs=2)
+    return skipgram.skipgram_blocks(cooccurrence(spark, sf_dir), CFG.dim, epochs=2)
+
+
+def vectors_most_similar(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ten vertices most alike to the first one, by vectors of uniform walks."""
+    e = Store(spark, "similar").keep(skipgram_mllib(spark, sf_dir))
+    return skipgram.most_similar(e, e.agg(F.min("v")).first()[0], 10)
+
+
+def distance_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How far distances of vectors are from the walk dissimilarities they should approximate."""
+    e = Store(spark, "fit").keep(skipgram_mllib(spark, sf_dir))
+    return skipgram.distance_fit(e, walk_dissim(spark, sf_dir))
 
 
 # labels and measures
@@ -443,17 +571,18 @@ def chance_f1(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def message_ledger_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = base(spark, sf_dir)
-    ledger = cost.message_ledger(b.edges, _jump_walks(b), b.k)
+    ledger = cost.message_ledger(b.edges, b.jump_walks, b.k)
     return cost.ledger_cube(ledger).select(*[F.coalesce(c, F.lit("all")).alias(c) for c in ("phase", "src_role", "dst_role")], "n", "bytes")
 
 
 def privacy_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return cost.privacy_ledger(_uniform(spark, sf_dir), EPS, EPS, 1)
+    """Budgets of devices by the elements they emit on private walks; substitution does not move a walk."""
+    return cost.privacy_ledger(base(spark, sf_dir).jump_walks, EPS, EPS, 1)
 
 
 def row_linkability(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = base(spark, sf_dir, None)
-    return cost.row_linkability(degree.ordered_matrices(b.edges, b.vectors), b.vectors)
+    return cost.row_linkability(b.matrices, b.vectors)
 
 
 def randomized_response(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -530,7 +659,7 @@ def stream_bin_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 SMALL = WalkConfig(length=10, per_vertex=5, window=5, dim=32, seed="1")
 
 
-def _truth(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _languages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "documents").where("lang is not null").select(F.col("doc_id").alias("v"), F.concat(F.lit("lang:"), "lang").alias("label"))
 
 
@@ -542,6 +671,8 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fit.embedding.join(sent, "v", "left").select("v", "vec", F.coalesce("messages", F.lit(0)).alias("messages"))
 
 
+#: Seeds over which the workloads are repeated.
+SEEDS = ("1", "2", "3")
 #: Parameters and grids of the workloads as surveyed; SMALL takes the same grids with shorter and fewer walks.
 FULL = WalkConfig(length=40, per_vertex=80, window=10, dim=128, seed="1")
 SHARES = [0.1, 0.2, 0.3, 0.4, 0.5, 0.6]
@@ -553,23 +684,23 @@ NOISES = [0.5, 1.0, 2.0, 4.0]
 
 def _graph(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:
     """Kept edges of a workload's graph, and its labels."""
-    make, truth = {"documents": (graphs.document_terms, _truth), "copurchase": (graphs.copurchase, graphs.labels_of_parts), "succession": (graphs.succession, graphs.labels_of_users)}[name]
+    make, truth = {"documents": (graphs.document_terms, graphs.labels_of_documents), "copurchase": (graphs.copurchase, graphs.labels_of_parts), "succession": (graphs.succession, graphs.labels_of_users)}[name]
     return Store(spark, "workload").keep(make(spark, sf_dir)), truth(spark, sf_dir)
 
 
 def _compare(spark: SparkSession, sf_dir: str, shares: list[float], cfg: WalkConfig = SMALL, graph: str = "documents") -> DataFrame:
-    return pipeline.sweep(*_graph(spark, sf_dir, graph), cfg, {"jump": [0.2]}, shares)
+    return pipeline.sweep(*_graph(spark, sf_dir, graph), cfg, {"jump": [0.2]}, shares, SEEDS)
 
 
-def _sweep(spark: SparkSession, sf_dir: str, cfg: WalkConfig, grid: dict[str, list], graph: str = "documents") -> DataFrame:
-    return pipeline.sweep(*_graph(spark, sf_dir, graph), cfg, grid, SOME_SHARES, baseline=False)
+def _sweep(spark: SparkSession, sf_dir: str, cfg: WalkConfig, grid: dict[str, list], graph: str = "documents", seeds: tuple[str, ...] = SEEDS) -> DataFrame:
+    return pipeline.sweep(*_graph(spark, sf_dir, graph), cfg, grid, SOME_SHARES, seeds, baseline=False)
 
 
 def _sweep_k(spark: SparkSession, sf_dir: str, cfg: WalkConfig, graph: str = "documents") -> DataFrame:
     """All numbers of bins from two to their bound."""
     edges, truth = _graph(spark, sf_dir, graph)
     most = default_bins(graphs.roster(edges).count())
-    return pipeline.sweep(edges, truth, cfg, {"bins": list(range(2, most + 1))}, SOME_SHARES, baseline=False)
+    return pipeline.sweep(edges, truth, cfg, {"bins": list(range(2, most + 1))}, SOME_SHARES, SEEDS, baseline=False)
 
 
 def _sweep_walks(spark: SparkSession, sf_dir: str, cfg: WalkConfig, numbers: list[int]) -> DataFrame:
@@ -597,7 +728,31 @@ def sweep_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def sweep_eps(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _sweep(spark, sf_dir, SMALL, {"eps": NOISES})
+    """Noise of counts and of walks together, and each alone at the usual amount of the other."""
+    return _sweep(spark, sf_dir, SMALL, {"eps": NOISES, "eps_degree": NOISES, "eps_walk": NOISES})
+
+
+def score_gaps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Gaps of the private method to uniform walks, as means over seeds, by share of training vertices."""
+    found = pipeline.score_gaps(private_against_uniform(spark, sf_dir))
+    return found.select("share", "measure", *[r6(c).alias(c) for c in ("uniform", "private", "points", "relative")])
+
+
+def sweep_p_means(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Means and spreads of the jump sweep over its seeds."""
+    return pipeline.repeated(sweep_p(spark, sf_dir))
+
+
+def private_against_uniform_succession(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A control: users who merely follow one another tell nothing about one another's kinds of events."""
+    return _compare(spark, sf_dir, SHARES, SMALL, "succession")
+
+
+def no_privacy_against_uniform(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ablation without any noise or substitution, against uniform walks and the full method."""
+    edges, truth = _graph(spark, sf_dir, "documents")
+    bare = pipeline.sweep(edges, truth, SMALL.with_(eps_degree=None, eps_walk=None), {"jump": [0.2]}, SOME_SHARES, SEEDS)
+    return bare.withColumn("method", F.when(F.col("method") == "private", "no privacy").otherwise(F.col("method")))
 
 
 def sweep_p(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -653,14 +808,22 @@ def copurchase_at_scale(spark: SparkSession, sf_dir: str) -> DataFrame:
     store = Store(spark, "scale")
     edges = store.keep(graphs.copurchase(spark, sf_dir))
     cfg = SMALL.with_(tree="bisect", block=128, per_vertex=1, rng="xx")
-    fit = pipeline.fit_private(edges, cfg)
-    return fit.embedding
+    fit = pipeline.fit_private(edges, cfg, "blocks")
+    return fit.embedding.withColumn("mode", F.lit(fit.mode))
+
+
+def pool_shortfall(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Members that pools by block want and hold on the large co-purchase graph."""
+    edges = Store(spark, "scale").keep(graphs.copurchase(spark, sf_dir))
+    cfg = SMALL.with_(tree="bisect", block=128, rng="xx")
+    parts = pipeline.build_tree_parts(edges, cfg)
+    return pipeline.pool_shortfall(parts, pipeline.laws(parts, cfg)[1], cfg)
 
 
 def ovr_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Scores of languages for all vertices from vectors of uniform walks."""
     e = Store(spark, "ovr").keep(skipgram_mllib(spark, sf_dir))
-    names, w = classify.fit_ovr(e, _truth(spark, sf_dir).join(e.select("v"), "v", "left_semi"))
+    names, w = classify.fit_ovr(e, _languages(spark, sf_dir).join(e.select("v"), "v", "left_semi"))
     return classify.scores(e, names, w)
 
 
@@ -674,7 +837,12 @@ message_ledger_cube privacy_ledger row_linkability randomized_response exact_two
 event_props_json session_windows sliding_activity degree_bands stream_bin_counts flagship private_against_uniform
 private_against_uniform_sparse sweep_k sweep_eps sweep_p sweep_walks full_private_against_uniform
 full_private_against_uniform_copurchase full_private_against_uniform_sparse full_private_against_uniform_sparse_copurchase full_sweep_k
-full_sweep_k_copurchase full_sweep_eps full_sweep_eps_succession full_sweep_p full_sweep_walks copurchase_at_scale ovr_scores""".split()
+full_sweep_k_copurchase full_sweep_eps full_sweep_eps_succession full_sweep_p full_sweep_walks copurchase_at_scale ovr_scores
+matrix_rows_perturbed encoder_audit encoder_law_tree outside_mass jump_pool_stochastic jump_pool_tree jump_pool_hops jump_pool_depth
+jump_walks_intermediate walks_without_privacy vectors_most_similar distance_fit score_gaps sweep_p_means private_against_uniform_succession
+no_privacy_against_uniform pool_shortfall""".split()
+#: Workloads at full parameters take from many minutes to hours for each call: experiments.py runs them by name.
+LONG = [name for name in NAMES if name.startswith("full_")]
 
 
 def queries() -> dict[str, Query]:

@@ -9,8 +9,8 @@ from veilwalk.sources.tables import load
 
 
 def symmetrize(pairs: DataFrame) -> DataFrame:
-    """Both directions of pairs (v, u), each once; self-loops, nulls and negative ids are dropped."""
-    good = pairs.where("v is not null and u is not null and v <> u and v >= 0 and u >= 0").select("v", "u")
+    """Both directions of pairs (v, u), each once; self-loops and nulls are no links. Ids may have any sign."""
+    good = pairs.where("v is not null and u is not null and v <> u").select("v", "u")
     return good.union(good.select(F.col("u").alias("v"), F.col("v").alias("u"))).distinct()
 
 
@@ -51,19 +51,25 @@ def buys_from(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def succession(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Users of consecutive events, by time and then event id."""
-    events = load(spark, sf_dir, "events").select("event_id", "ts", "user_id", F.to_date("ts").alias("day"))
+    events = load(spark, sf_dir, "events").select("event_id", "ts", "user_id")
     return symmetrize(_consecutive(events))
 
 
 def _consecutive(events: DataFrame) -> DataFrame:
-    """Each event's user and the next event's: within days by a window, across days by the days' ends."""
-    w = Window.partitionBy("day").orderBy("ts", "event_id")
-    inner = events.select(F.col("user_id").alias("v"), F.lead("user_id").over(w).alias("u"))
+    """Each event's user and the next event's: within hours by a window, within days and across days by the ends of hours and days."""
+    events = events.withColumn("slot", F.date_trunc("hour", F.col("ts")))
+    w = Window.partitionBy("slot").orderBy("ts", "event_id")
+    out = events.select(F.col("user_id").alias("v"), F.lead("user_id").over(w).alias("u"))
     at = F.struct("ts", "event_id")
-    ends = events.groupBy("day").agg(F.min_by("user_id", at).alias("first"), F.max_by("user_id", at).alias("last"))
-    days = Window.partitionBy(F.lit(0)).orderBy("day")  # one row for each day
-    across = ends.select(F.col("last").alias("v"), F.lead("first").over(days).alias("u"))
-    return inner.union(across)
+    ends = events.groupBy("slot").agg(F.min_by("user_id", at).alias("first"), F.max_by("user_id", at).alias("last"))
+    for unit in ("day", "year"):  # the ends of hours meet within days, those of days within years, those of years at last
+        ends = ends.withColumn("span", F.date_trunc(unit, F.col("slot")))
+        spans = Window.partitionBy("span").orderBy("slot")
+        out = out.union(ends.select(F.col("last").alias("v"), F.lead("first").over(spans).alias("u")))
+        ends = ends.groupBy(F.col("span").alias("slot")).agg(F.min_by("first", "slot").alias("first"), F.max_by("last", "slot").alias("last"))
+    years = ends.agg(F.array_sort(F.collect_list(F.struct("slot", "first", "last"))).alias("y"))  # one row for each year
+    pairs = F.transform(F.sequence(F.lit(1), F.size("y") - 1), lambda i: F.struct(F.element_at("y", i)["last"].alias("v"), F.element_at("y", i + 1)["first"].alias("u")))
+    return out.union(years.where(F.size("y") > 1).select(F.explode(pairs).alias("p")).select("p.v", "p.u"))
 
 
 HREF = r'href="(/[^"/]*)"'
@@ -91,6 +97,8 @@ def vector_knn(spark: SparkSession, sf_dir: str, neighbours: int = 10, block: in
     import pandas as pd
 
     rows = load(spark, sf_dir, "embeddings").where("vec_id is not null and embedding is not null").select("vec_id", "embedding")
+    if (sizes := rows.agg(F.count_distinct(F.size("embedding"))).first()[0]) > 1:
+        raise ValueError(f"vectors of {sizes} different lengths")
     blocks = rows.withColumn("b", F.pmod(F.xxhash64("vec_id"), F.lit(max(1, rows.count() // block))))
     n = blocks.agg(F.max("b")).first()[0]
     if n is None:
@@ -105,7 +113,7 @@ def vector_knn(spark: SparkSession, sf_dir: str, neighbours: int = 10, block: in
             out = []
             for known, asked in zip(pdf["known"], pdf["asked"], strict=True):
                 x, y = (np.array([r["embedding"] for r in part], np.float64) for part in (asked, known))
-                x, y = (m / np.linalg.norm(m, axis=1, keepdims=True) for m in (x, y))
+                x, y = (m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300) for m in (x, y))
                 ids = np.array([r["vec_id"] for r in known])
                 for r, sims in zip(asked, x @ y.T, strict=True):
                     sims[ids == r["vec_id"]] = -2
@@ -149,9 +157,13 @@ def labels_of_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(v, label): language, known quality and toxicity, and length third."""
     docs = load(spark, sf_dir, "documents")
     marks = load(spark, sf_dir, "labels")
+    sized = docs.where("n_chars is not null").select(F.col("doc_id").alias("v"), "n_chars")
+    cuts = sized.agg(F.percentile("n_chars", F.array(F.lit(1 / 3), F.lit(2 / 3))).alias("cut"))  # one row
+    third = F.when(F.col("n_chars") <= F.col("cut")[0], "length:short").when(F.col("n_chars") <= F.col("cut")[1], "length:medium").otherwise("length:long")
+    length = sized.crossJoin(F.broadcast(cuts)).select("v", third.alias("label"))
     lang = docs.where("lang is not null").select(F.col("doc_id").alias("v"), F.concat(F.lit("lang:"), "lang").alias("label"))
     known: list[Column] = [F.concat(F.lit(f"{c}:"), F.col(c).cast("string")) for c in ("quality", "toxic")]
-    return lang.union(marks.select(F.col("doc_id").alias("v"), F.explode(F.array(*known)).alias("label")))
+    return lang.union(length).union(marks.select(F.col("doc_id").alias("v"), F.explode(F.array(*known)).alias("label")))
 
 
 def labels_of_parts(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -91,6 +91,23 @@ def drain(stream: DataFrame, name: str, mode: str, store: Store) -> DataFrame:
     return stream.sparkSession.table(name)
 
 
+def latest(stream: DataFrame, keys: list[str], store: Store) -> DataFrame:
+    """Run a stream in update mode over all that is there; its rows go to Parquet, one folder for each batch, and of each key the last batch counts.
+
+    A batch that comes again replaces its own folder; nothing passes through the driver.
+    """
+    target = f"{store.base}/latest"
+
+    def write(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{target}/batch={batch_id}")
+
+    query = stream.writeStream.foreachBatch(write).outputMode("update").option("checkpointLocation", f"{store.base}/progress").trigger(availableNow=True).start()
+    query.awaitTermination()
+    rest = [c for c in stream.columns if c not in keys]
+    rows = stream.sparkSession.read.parquet(target)
+    return rows.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("x")).select(*keys, "x.*")
+
+
 def bin_counts_of_events(spark: SparkSession, sf_dir: str, k: int = 4) -> DataFrame:
     """Neighbour counts by bin from a stream of event pairs (user, kind of event), equal to the batch counts."""
     batch = load(spark, sf_dir, "events")
@@ -98,5 +115,4 @@ def bin_counts_of_events(spark: SparkSession, sf_dir: str, k: int = 4) -> DataFr
     events = spark.readStream.schema(batch.schema).parquet(f"{sf_dir}/events*.parquet")
     edges = events.select(F.col("user_id").alias("v"), F.pmod("event_id", F.lit(97)).alias("u"))
     bins = spark.range(97).select(F.col("id").alias("v"), (F.pmod("id", F.lit(k)) + 1).cast("int").alias("bin"))
-    name = "bins_" + store.base.rsplit("-", 1)[1]
-    return drain(bin_counts(edges, bins), name, "complete", store)
+    return latest(bin_counts(edges, bins), ["v", "bin"], store)
