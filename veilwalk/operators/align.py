@@ -15,7 +15,10 @@ from pyspark.sql import functions as F
 
 from veilwalk.functions.vectors import align_cost, total
 
-CELLS = 1 << 17
+#: Columns of all pairs of a batch, which a step works on, and numbers of their left matrices.
+STEP, CELLS = 1 << 15, 1 << 22
+#: Matrices of a batch differ in rows by this factor at most.
+LIKE = 1.15
 
 
 def align_many(left: list[np.ndarray], right: list[np.ndarray], one_sided: bool = False, band: int | None = None) -> np.ndarray:
@@ -24,15 +27,17 @@ def align_many(left: list[np.ndarray], right: list[np.ndarray], one_sided: bool
     if one_sided:  # the longer matrix leads
         left, right = zip(*((a, b) if len(a) >= len(b) else (b, a) for a, b in zip(left, right, strict=True)), strict=True) if left else ((), ())
     sizes = np.array([(len(b), len(a)) for a, b in zip(left, right, strict=True)]).reshape(-1, 2)
-    order, at = np.lexsort((sizes[:, 1], sizes[:, 0])), 0
-    while at < len(order):
-        n = 1
-        width = sizes[order[at], 0]
-        while at + n < len(order) and sizes[order[at + n], 0] <= max(width * 1.15, width + 2) and (n + 1) * sizes[order[at + n], 0] * sizes[order[at : at + n + 1], 1].max() * left[0].shape[1] < CELLS:
-            n += 1
-        chosen = order[at : at + n]
-        out[chosen] = _batch([left[i] for i in chosen], [right[i] for i in chosen], one_sided, band)
-        at += n
+    if not len(sizes):
+        return out
+    kinds = (np.log(sizes) / np.log(LIKE)).astype(np.int64)
+    order = np.lexsort((sizes[:, 1], sizes[:, 0], kinds[:, 1], kinds[:, 0]))
+    cuts = np.flatnonzero((np.diff(kinds[order], axis=0) != 0).any(1)) + 1
+    for run in np.split(order, cuts):
+        y, x = sizes[run].max(0)
+        n = max(1, min(STEP // int(y), CELLS // int(x * left[0].shape[1])))
+        for at in range(0, len(run), n):
+            chosen = run[at : at + n]
+            out[chosen] = _batch([left[i] for i in chosen], [right[i] for i in chosen], one_sided, band)
     return out
 
 
@@ -45,8 +50,13 @@ def _batch(left: list[np.ndarray], right: list[np.ndarray], one_sided: bool, ban
     before = np.full((len(left), y + 1), np.inf)
     before[:, 0] = 0
     out = np.zeros(len(left))
+    columns, gap = np.ascontiguousarray(b.transpose(2, 0, 1)), np.empty((len(left), y))  # one bin at a time, without a third axis
     for i in range(x):
-        cost = np.abs(a[:, i, None, :] - b).sum(2)
+        cost = np.abs(a[:, i, 0, None] - columns[0])
+        for c in range(1, k):
+            np.subtract(a[:, i, c, None], columns[c], out=gap)
+            np.abs(gap, out=gap)
+            cost += gap
         if band is not None:  # columns near the diagonal of each pair
             away = np.abs(np.arange(y)[None, :] * (np.maximum(nx - 1, 1) / np.maximum(ny - 1, 1))[:, None] - i)
             cost = np.where(away <= np.maximum(band, np.abs(nx - ny) / np.maximum(ny - 1, 1) + 1)[:, None], cost, np.inf)

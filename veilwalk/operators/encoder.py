@@ -141,9 +141,9 @@ def law_rows(table: DataFrame) -> DataFrame:
 
 def as_table(law: DataFrame) -> DataFrame:
     """(v, targets, cdf) from (v, w, pr), in the order of w."""
-    rows = law.groupBy("v").agg(F.sort_array(F.collect_list(F.struct("w", "pr"))).alias("r"))
-    running = F.aggregate("r", F.array().cast("array<double>"), lambda s, x: F.concat(s, F.array(F.coalesce(F.try_element_at(s, F.lit(-1)), F.lit(0.0)) + x["pr"])))
-    return rows.select("v", F.transform("r", lambda x: x["w"]).alias("targets"), running.alias("cdf"))
+    running = F.sum("pr").over(Window.partitionBy("v").orderBy("w").rowsBetween(Window.unboundedPreceding, 0))
+    rows = law.select("v", "w", running.alias("c")).groupBy("v").agg(F.sort_array(F.collect_list(F.struct("w", "c"))).alias("r"))
+    return rows.select("v", F.transform("r", lambda x: x["w"]).alias("targets"), F.transform("r", lambda x: x["c"]).alias("cdf"))
 
 
 def draw(targets: Column, cdf: Column, u: Column) -> Column:

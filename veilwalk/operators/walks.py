@@ -45,7 +45,18 @@ def indexed_edges(graph: DataFrame, pools: DataFrame | None) -> DataFrame:
     return rows.join(sizes, "u", "left").select("v", F.col("i").cast("long").alias("i"), "u", "du", F.coalesce("pu", F.lit(0)).alias("pu"))
 
 
-def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None, starts: DataFrame | None = None, jump: Column | None = None, charged: Column | None = None) -> DataFrame:
+def walk_tables(graph: DataFrame, pools: DataFrame | None) -> tuple[DataFrame, DataFrame, DataFrame | None]:
+    """Kept tables that all walks of a graph and its pools share: numbered edges, degrees, numbered pool members."""
+    store = Store(graph.sparkSession, "walktables")
+    edges = store.keep(indexed_edges(graph, pools))
+    deg = store.keep(edges.groupBy("v").agg(F.count("*").alias("deg")))
+    if pools is None:
+        return edges, deg, None
+    held = pools.select(F.col("u").alias("_u"), F.posexplode("pool").alias("_j", "w"))
+    return edges, deg, store.keep(held.join(deg.select(F.col("v").alias("w"), F.col("deg").alias("dw")), "w").select("_u", F.col("_j").cast("long").alias("_j"), "w", "dw"))
+
+
+def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None, starts: DataFrame | None = None, jump: Column | None = None, charged: Column | None = None, tables: tuple | None = None) -> DataFrame:
     """(walk_id, start, rep, seq, hops, jumps, pool_empty, emitters): walks of true vertices over an adjacency or edges.
 
     Each round moves every open walk one step: it draws the number of its next neighbour and is joined with that one
@@ -59,12 +70,8 @@ def true_walks(graph: DataFrame, cfg: WalkConfig, pools: DataFrame | None = None
     pools = None if not cfg.jump and jump is None else pools
     jump = F.lit(cfg.jump) if jump is None else jump
     charged = F.lit(cfg.charge_final_jump) if charged is None else charged
-    edges = store.keep(indexed_edges(graph, pools))
-    deg = edges.groupBy("v").agg(F.count("*").alias("deg"))
-    jumps = None
-    if pools is not None:
-        held = pools.select(F.col("u").alias("_u"), F.posexplode("pool").alias("_j", "w"))
-        jumps = store.keep(held.join(deg.select(F.col("v").alias("w"), F.col("deg").alias("dw")), "w").select("_u", F.col("_j").cast("long").alias("_j"), "w", "dw"))
+    edges, deg, jumps = walk_tables(graph, pools) if tables is None else tables
+    jumps = None if pools is None else jumps
     begin = deg if starts is None else deg.join(starts.select("v"), "v", "left_semi")
     first = seeds(begin.select("v"), cfg.per_vertex).join(begin.select(F.col("v").alias("start"), "deg"), "start")
     state = first.select(
@@ -121,8 +128,8 @@ def substituted(walks: DataFrame, table: DataFrame | None, cfg: WalkConfig) -> D
     return walks.drop("seq").join(seq, "walk_id").select("walk_id", "start", "rep", "seq", "hops", "jumps", "pool_empty", "emitters")
 
 
-def private_walks(graph: DataFrame, table: DataFrame | None, pools: DataFrame | None, cfg: WalkConfig, starts: DataFrame | None = None) -> DataFrame:
-    return substituted(true_walks(graph, cfg, pools, starts), table, cfg)
+def private_walks(graph: DataFrame, table: DataFrame | None, pools: DataFrame | None, cfg: WalkConfig, starts: DataFrame | None = None, tables: tuple | None = None) -> DataFrame:
+    return substituted(true_walks(graph, cfg, pools, starts, tables=tables), table, cfg)
 
 
 def local_walks(adjacency: DataFrame, cfg: WalkConfig, starts: DataFrame | None = None, ret: float = 1.0, inout: float = 1.0) -> DataFrame:

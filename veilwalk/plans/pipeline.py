@@ -77,25 +77,29 @@ def tree_blocks(leaves: DataFrame, block: int) -> DataFrame:
 
 def laws(parts: TreeParts, cfg: WalkConfig) -> tuple[DataFrame | None, DataFrame]:
     """The substitution law (none without eps_walk) and the jump pools."""
-    key = (cfg.eps_walk, cfg.score_scale, cfg.calibrated, cfg.near, cfg.rounding, cfg.seed, cfg.block, cfg.outside)
-    if key in parts.cache:
-        return parts.cache[key]
-    store = Store(parts.leaves.sparkSession, "laws")
-    wanted = predictor.demand(parts.vectors, parts.bins, cfg.rounding, cfg.seed)
-    if parts.mode == "exact":
-        law = None if cfg.eps_walk is None else encoder.encoder_table(parts.dissim, parts.leaves, cfg.eps_walk, cfg.score_scale, cfg.calibrated)
-        pools = predictor.tree_pool(parts.dissim, parts.leaves, parts.bins, wanted, cfg.near)
-    else:
-        leaves = store.keep(parts.leaves.join(tree_blocks(parts.leaves, cfg.block), "v"))
-        n = leaves.count()
+    pool_key = ("pool", cfg.near, cfg.rounding, cfg.seed, cfg.block)
+    law_key = ("law", cfg.eps_walk, cfg.score_scale, cfg.calibrated, cfg.block, cfg.outside)
+    store, cache, exact = Store(parts.leaves.sparkSession, "laws"), parts.cache, parts.mode == "exact"
+    if not exact and "blocks" not in cache:
+        cache["blocks"] = store.keep(parts.leaves.join(tree_blocks(parts.leaves, cfg.block), "v"))
+    if pool_key not in cache:
+        wanted = predictor.demand(parts.vectors, parts.bins, cfg.rounding, cfg.seed)
+        if exact:
+            pools = predictor.tree_pool(parts.dissim, parts.leaves, parts.bins, wanted, cfg.near)
+        else:
+            pools = predictor.tree_pool(parts.dissim, cache["blocks"], parts.bins, wanted, cfg.near, F.col("block"))
+            pools = predictor.fill_pools(store.keep(pools), cache["blocks"], parts.bins, wanted)
+        cache[pool_key] = store.keep(pools)
+    if law_key not in cache:
         law = None
-        if cfg.eps_walk is not None:
-            law = encoder.pruned_table(parts.dissim, leaves, F.col("block"), n, cfg.eps_walk, cfg.score_scale, cfg.calibrated, parts.matrices)
+        if cfg.eps_walk is not None and exact:
+            law = encoder.encoder_table(parts.dissim, parts.leaves, cfg.eps_walk, cfg.score_scale, cfg.calibrated)
+        elif cfg.eps_walk is not None:
+            n = cache["blocks"].count()
+            law = encoder.pruned_table(parts.dissim, cache["blocks"], F.col("block"), n, cfg.eps_walk, cfg.score_scale, cfg.calibrated, parts.matrices)
             law = law if cfg.outside == "drop" else encoder.with_outside(store.keep(law), n)
-        pools = predictor.tree_pool(parts.dissim, leaves, parts.bins, wanted, cfg.near, F.col("block"))
-        pools = predictor.fill_pools(store.keep(pools), leaves, parts.bins, wanted)
-    parts.cache[key] = None if law is None else store.keep(law), store.keep(pools)
-    return parts.cache[key]
+        cache[law_key] = None if law is None else store.keep(law)
+    return cache[law_key], cache[pool_key]
 
 
 def pool_shortfall(parts: TreeParts, pools: DataFrame, cfg: WalkConfig) -> DataFrame:
@@ -118,7 +122,8 @@ def fit_private(edges: DataFrame, cfg: WalkConfig, backend: str = "mllib", parts
     law, pools = laws(parts, cfg)
     if cfg.exact_two_hop:
         pools = predictor.exact_pool(graphs.adjacency(edges))
-    corpus = store.keep(walks.private_walks(edges, law, pools, cfg))
+    tables = parts.cache.get("walks") if parts.cache.get("pools") is pools else None
+    corpus = store.keep(walks.private_walks(edges, law, pools, cfg, tables=tables))
     ledger = cost.privacy_ledger(corpus, cfg.eps_degree, cfg.eps_walk, parts.k, cfg.sensitivity)
     return FitResult(embed(corpus, cfg, backend), corpus, parts, ledger, parts.mode)
 
@@ -183,24 +188,35 @@ def sweep(edges: DataFrame, truth: DataFrame, cfg: WalkConfig, grid: dict[str, I
         return embedding.select(F.lit(point).alias("point"), F.lit(seed).alias("seed"), "v", "vec"), (point, method, fit.mode, name, number(value), number(other), seed, messages)
 
     with ThreadPoolExecutor(AT_ONCE) as pool:
-        trees |= dict(zip(missing, pool.map(lambda c: _with_laws(build_tree_parts(edges, c, allow_over_bound=True), c), missing.values()), strict=True))
-        found = list(pool.map(run, range(len(plans))))
-    if not found:
+        trees |= dict(zip(missing, pool.map(lambda c: _with_laws(build_tree_parts(edges, c, allow_over_bound=True), edges, c), missing.values()), strict=True))
+        alike = {}  # points of one configuration, such as the usual noise in several grids, are run once
+        for point, plan in enumerate(plans):
+            alike.setdefault((plan[0], plan[-1]), []).append(point)
+        done = dict(zip(alike, pool.map(lambda ps: run(ps[0]), alike.values()), strict=True))
+    if not plans:
         return spark.createDataFrame([], SWEEP)
+    found = list(done.values())
+    about_rows = []
+    for ps, (_, row) in zip(alike.values(), found, strict=True):
+        for p in ps:
+            method, name, value, other, seed, _ = plans[p]
+            about_rows.append((row[0], method, row[2], name, None if value is None else float(value), None if other is None else float(other), seed, row[7]))
     every = found[0][0]
     for embedding, _ in found[1:]:
         every = every.unionByName(embedding)
     scores = classify.evaluate_points(store.keep(every), truth, list(shares))
     at = scores.groupBy("point", "share").agg(*[F.max(F.when(F.col("rule") == r, F.col(c))).alias(c + s) for r, s in (("known_count", ""), ("threshold", "_threshold")) for c in ("pooled_f1", "macro_f1")])
-    about = spark.createDataFrame([row for _, row in found], "point int, method string, mode string, parameter string, value double, other double, seed string, mean_messages double")
+    about = spark.createDataFrame(about_rows, "point int, method string, mode string, parameter string, value double, other double, seed string, mean_messages double")
     return store.keep(about.join(at, "point").select("method", "mode", "parameter", "value", "other", "seed", "share", "pooled_f1", "macro_f1", "pooled_f1_threshold", "macro_f1_threshold", "mean_messages"))
 
 
 SWEEP = "method string, mode string, parameter string, value double, other double, seed string, share double, pooled_f1 double, macro_f1 double, pooled_f1_threshold double, macro_f1_threshold double, mean_messages double"
 
 
-def _with_laws(parts: TreeParts, cfg: WalkConfig) -> TreeParts:
-    laws(parts, cfg)
+def _with_laws(parts: TreeParts, edges: DataFrame, cfg: WalkConfig) -> TreeParts:
+    """parts with the laws, pools and walk tables that the points of a sweep share."""
+    parts.cache["pools"] = laws(parts, cfg)[1]
+    parts.cache["walks"] = walks.walk_tables(edges, parts.cache["pools"])
     return parts
 
 
