@@ -83,7 +83,7 @@ def lower_bound(a: np.ndarray, b: np.ndarray) -> float:
     return float(max(corners, d.min(1).sum(), d.min(0).sum()))
 
 
-def _matrices(flat: pa.Array, rows: np.ndarray) -> list[np.ndarray]:
+def rows_of(flat: pa.Array, rows: np.ndarray) -> list[np.ndarray]:
     values = flat.flatten().to_numpy(zero_copy_only=False)
     ends = np.cumsum(flat.value_lengths().to_numpy(zero_copy_only=False))
     return [values[s:e].reshape(r, -1) for s, e, r in zip(np.r_[0, ends[:-1]], ends, rows, strict=True)]
@@ -102,7 +102,7 @@ def dissimilarity(matrices: DataFrame, pairs: DataFrame, kernel: str = "arrow",
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in batches:
-            mu, mv = (_matrices(t.column(c), t.column(n).to_numpy()) for c, n in ((2, 4), (3, 5)))
+            mu, mv = (rows_of(t.column(c), t.column(n).to_numpy()) for c, n in ((2, 4), (3, 5)))
             keep = np.arange(len(mu))
             if prune_above is not None:
                 keep = np.array([i for i in keep if lower_bound(mu[i], mv[i]) <= prune_above], np.int64)

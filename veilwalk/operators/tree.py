@@ -8,17 +8,21 @@ from __future__ import annotations
 
 import bisect
 import os
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from veilwalk.functions.draws import number
-from veilwalk.operators.align import align_many, dissimilarity, wide
+from veilwalk.operators.align import align_many, dissimilarity, rows_of, wide
 from veilwalk.plans.lineage import Store, positions
 
 EXACT_LIMIT = 4096
+#: Numbers in the pivots' matrices of one level of a bisection that are sent to every task.
+PIVOT_FLOATS = 1 << 23
 
 
 def linkage(d: np.ndarray, method: str = "average") -> list[tuple[int, int, float]]:
@@ -160,13 +164,20 @@ def bisect_tree(matrices: DataFrame, block: int = 256, method: str = "hybrid", s
             break
         open_ = at.join(large, "path", "left_semi").withColumn("w", number(seed, "pivot", F.lit(level), "v"))
         pivots = open_.groupBy("path").agg(F.min_by("v", F.struct("w", "v")).alias("p"), F.max_by("v", F.struct("w", "v")).alias("q"))
-        asked = open_.join(pivots, "path")
-        pairs = asked.select(F.col("p").alias("u"), "v").union(asked.select(F.col("q").alias("u"), "v")).where("u <> v").distinct()
-        delta = store.keep(dissimilarity(m, pairs, one_sided=one_sided, band=band))
-        near = lambda c: delta.select(F.col("u").alias(c), "v", F.col("delta").alias(f"d{c}"))
-        sides = asked.join(near("p"), [c for c in ("p", "v")], "left").join(near("q"), ["q", "v"], "left")
-        right = F.coalesce("dp", F.lit(0.0)) > F.coalesce("dq", F.lit(0.0))
-        sides = sides.select("path", "v", "w", F.when(F.col("v") == F.col("p"), False).when(F.col("v") == F.col("q"), True).otherwise(right).alias("r"))
+        ends = store.keep(pivots.select("path", F.explode(F.array(F.struct("p", F.lit(0).alias("end")), F.struct(F.col("q").alias("p"), F.lit(1).alias("end")))).alias("e")).select("path", F.col("e.p").alias("v"), "e.end").join(m, "v"))
+        size = ends.agg(F.sum(F.size("m") * F.size(F.element_at("m", 1)))).first()[0]
+        if size <= PIVOT_FLOATS:  # checked: their matrices go to every task, those of all others are dealt once
+            held = {(r["path"], r["end"]): (r["v"], r["m"]) for r in ends.collect()}
+            sides = _sides(open_.join(m, "v"), matrices.sparkSession.sparkContext.broadcast(held), one_sided, band)
+        else:
+            asked = open_.join(pivots, "path")
+            pairs = asked.select(F.col("p").alias("u"), "v").union(asked.select(F.col("q").alias("u"), "v")).where("u <> v").distinct()
+            delta = store.keep(dissimilarity(m, pairs, one_sided=one_sided, band=band))
+            near = lambda c: delta.select(F.col("u").alias(c), "v", F.col("delta").alias(f"d{c}"))
+            both = asked.join(near("p"), [c for c in ("p", "v")], "left").join(near("q"), ["q", "v"], "left")
+            right = F.coalesce("dp", F.lit(0.0)) > F.coalesce("dq", F.lit(0.0))
+            sides = both.select("path", "v", "w", F.when(F.col("v") == F.col("p"), False).when(F.col("v") == F.col("q"), True).otherwise(right).alias("r"))
+        sides = store.keep(sides)
         share = sides.groupBy("path").agg(F.avg(F.col("r").cast("double")).alias("s"))
         lopsided = (F.col("s") < 0.02) | (F.col("s") > 0.98)
         turn = F.when(lopsided, F.col("w") % 2 == 1).otherwise(F.col("r"))
@@ -185,6 +196,24 @@ def bisect_tree(matrices: DataFrame, block: int = 256, method: str = "hybrid", s
     return store.keep(ready.repartition(wide(matrices.sparkSession), "path").groupBy("path").applyInPandas(finish, "v long, path string"))
 
 
+def _sides(rows: DataFrame, pivots, one_sided: bool, band: int | None) -> DataFrame:
+    """(path, v, w, r): whether each vertex of rows (v, path, w, m) is nearer to its node's second pivot; pivots maps (path, end) to id and matrix."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = {k: (v, np.array(m, float)) for k, (v, m) in pivots.value.items()}
+        for b in batches:
+            paths, ids = b.column("path").to_pylist(), b.column("v").to_numpy()
+            mine = rows_of(b.column("flat"), b.column("rows").to_numpy())
+            p, q = ([known[x, end] for x in paths] for end in (0, 1))
+            dp, dq = (align_many([x[1] for x in e], mine, one_sided, band) for e in (p, q))
+            first, second = (np.array([x[0] for x in e], np.int64) == ids for e in (p, q))
+            right = np.where(first, False, np.where(second, True, dp > dq))
+            yield pa.RecordBatch.from_arrays([b.column("path"), b.column("v"), b.column("w"), pa.array(right)], names=["path", "v", "w", "r"])
+
+    flat = rows.select("path", "v", "w", F.flatten("m").alias("flat"), F.size("m").cast("long").alias("rows"))
+    return flat.repartition(wide(rows.sparkSession), "v").mapInArrow(run, "path string, v long, w long, r boolean")
+
+
 def ordinals(leaves: DataFrame) -> DataFrame:
     """(v, path, ordinal) in the order of paths."""
     return positions(leaves.select("v", "path"), Store(leaves.sparkSession, "leaves"), "path", "v")
