@@ -117,6 +117,12 @@ def tokenized(docs: DataFrame, id_col: str, text_col: str, path: str) -> DataFra
     return arrow_map(docs.select(docs[id_col].cast("long"), docs[text_col]), run, "kind int, doc_id long, n long, ids binary")
 
 
+def _bytes(column: pa.Array) -> memoryview:
+    """All values of a binary column without nulls, end to end as they lie."""
+    ends = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1]
+    return memoryview(column.buffers()[2] or b"")[ends[0] : ends[-1]]
+
+
 def write(docs: DataFrame, uri: str, scratch: Scratch, id_col: str = "doc_id", text_col: str = "text", path: str | None = None) -> DataFrame:
     """Write token files of all documents under uri; returns the manifest (part, docs, tokens).
 
@@ -157,17 +163,21 @@ def write(docs: DataFrame, uri: str, scratch: Scratch, id_col: str = "doc_id", t
             return pa.RecordBatch.from_arrays([pa.array([x], pa.int64()) for x in (part, len(ids), sum(counts))], names=["part", "docs", "tokens"])
 
         for b in batches:
-            for doc, n, x in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
+            if not b.num_rows:
+                continue
+            part = b.column(3)[0].as_py()
+            docs = [NO_ID if x is None else x for x in b.column(0).to_pylist()]
+            sizes, ranks = b.column(1).to_pylist(), rank[np.frombuffer(_bytes(b.column(2)), width)]
+            first, begin, end = 0, 0, 0
+            for i, n in enumerate(sizes):
                 if held and held + n > PART_TOKENS:
+                    ids, counts, coded = ids + docs[first:i], counts + sizes[first:i], [*coded, ranks[begin:end]]
                     yield close()
-                    k, ids, counts, coded, held = k + 1, [], [], [], 0
-                ids.append(NO_ID if doc is None else doc)
-                counts.append(n)
-                coded.append(rank[np.frombuffer(x.as_buffer(), width)])
-                held += n
-            if b.num_rows:
-                part = b.column(3)[0].as_py()
-                coded = [np.concatenate(coded)]
+                    k, ids, counts, coded, held, first, begin = k + 1, [], [], [], 0, i, end
+                end, held = end + n, held + n
+            ids += docs[first:]
+            counts += sizes[first:]
+            coded.append(ranks[begin:])
         if ids:
             yield close()
 
