@@ -150,8 +150,8 @@ def connected_components(edges: DataFrame, scratch: Scratch, rounds: int = 60) -
     """(node, root) of every node that has an edge (a, b); root is the smallest node of its component.
 
     Alternating star contraction: every node is tied to its smallest neighbour until each component is one star.
-    Each round is a table in the shared folder; edges never reach the driver. A hub's edges are dealt over several tasks.
-    Null ends are ignored.
+    Each round is a table in the shared folder; edges never reach the driver. Joins have one side
+    with a row for each node, so adaptive execution splits a hub's partition. Null ends are ignored.
     """
     spark = edges.sparkSession
 
@@ -169,9 +169,9 @@ def connected_components(edges: DataFrame, scratch: Scratch, rounds: int = 60) -
             break
         both = e.select("u", "v").union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = spread_join(both, least, "u", ["v"]).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = spread_join(large, low, "u", ["v"]).where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         merged = small.union(low.select("u", F.col("m").alias("v"))).where("u <> v")
         e2 = scratch.save(merged.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), f"edges{k}")
         now = stamp(e2)

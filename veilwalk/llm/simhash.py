@@ -33,6 +33,8 @@ WIDE, BAND, BANDS, UNLIKE, FAR = 4, 3, 21, 0.2, 51
 MINIMA = 64 * WIDE
 #: Runs of one band up to this size give all their pairs, larger ones pairs that span them.
 SPANNED_RUN = 64
+#: Rows whose minima are held at once.
+SKETCHED = 512
 #: Shingles of one tile of a family.
 CHUNK = 1 << 19
 
@@ -229,7 +231,7 @@ def sketches(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFra
     """(doc_id, node, kinds, w0..w3, keys): number, size, bits of the minima and band keys of each row's set of shingles; no keys without words."""
     names = [f"w{k}" for k in range(WIDE)]
 
-    def run(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    def part(b: pa.RecordBatch) -> pa.RecordBatch:
         raw, offsets = text_buffer(b.column(1))
         data, n = memoryview(raw), b.num_rows
         nodes, least, size = np.zeros(n, np.uint64), np.zeros((n, MINIMA), np.uint64), np.zeros(n, np.int64)
@@ -241,7 +243,11 @@ def sketches(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFra
         keys, full = band_keys(least).view(np.int64), size > 0
         ends = np.r_[0, np.cumsum(full * BANDS)].astype(np.int32)
         cols = [pa.array(nodes.view(np.int64)), pa.array(size), *[pa.array(words[:, k].copy()) for k in range(WIDE)], pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[full].ravel()))]
-        yield pa.RecordBatch.from_arrays([b.column(0), *cols], names=["doc_id", "node", "kinds", *names, "keys"])
+        return pa.RecordBatch.from_arrays([b.column(0), *cols], names=["doc_id", "node", "kinds", *names, "keys"])
+
+    def run(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        for at in range(0, b.num_rows, SKETCHED):
+            yield part(b.slice(at, SKETCHED))
 
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col]).where("doc_id is not null")
     return arrow_map(rows, run, "doc_id long, node long, kinds long, " + ", ".join(f"{n} long" for n in names) + ", keys array<long>")
