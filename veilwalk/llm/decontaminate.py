@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilwalk.llm.common import Scratch, texts
+from veilwalk.llm.common import Scratch, release, texts
 
 ERROR_RATE = 0.08
 #: Letters of items that one automaton holds; more items are matched in several passes.
@@ -170,6 +170,8 @@ def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_co
             matcher = Matcher(group, rate)
             for b in batches:
                 yield b.filter(pa.array([not matcher.matches(normalize(t)) for t in texts(b.column(at))], pa.bool_()))
+            del matcher
+            release()
 
         return docs.mapInArrow(run, schema)
 

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from veilwalk.llm.common import arrow_map, texts
+from veilwalk.llm.common import arrow_map, release, texts
 
 BUCKETS = 1 << 16
 #: Training documents for each language, about; a documented bound, drawn by a hash of the id.
@@ -312,6 +312,8 @@ def predict(docs: DataFrame, model: Model, penalty: float = PENALTY, text_col: s
             lang, score, over = tagger.judge(texts(b.column(i)))
             cols = [pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(over, pa.float64())]
             yield pa.RecordBatch.from_arrays([*b.columns, *cols[: len(added)]], names=[*keep, *[f.name for f in added]])
+        del tagger  # with all the words it remembers
+        release()
 
     return docs.mapInArrow(run, T.StructType([*docs.schema.fields, *added]))
 

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from veilwalk.llm.common import Forest, Scratch, arrow_map, connected_components, spread_join, text_buffer
+from veilwalk.llm.common import Forest, Scratch, arrow_map, connected_components, release, spread_join, text_buffer
 
 #: Sketches of documents that are alike: 64-bit words, one bit for each minimum; minima of a band, bands, the
 #: dissimilarity allowed; and the bits that may differ before a pair is not worth a look (at a similarity of 0.8: 25.6
@@ -399,6 +399,7 @@ def alike(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width
             forest.add(_wide_links(key, np.zeros(len(key), bool), node, np.stack(words, 1).view(np.uint64), FAR, SPANNED_RUN))
             e = forest.stars()
             yield pa.RecordBatch.from_arrays([pa.array(e[:, 0].copy()), pa.array(e[:, 1].copy())], names=["a", "b"])
+        release()
 
     families = connected_components(dealt.mapInArrow(join, "a long, b long"), scratch)
     members = families.join(nodes.select("node", "first_id", "kinds"), "node").withColumnRenamed("root", "family")
