@@ -6,6 +6,7 @@ import math
 import re
 import zlib
 from collections import defaultdict
+from types import SimpleNamespace
 
 import numpy as np
 import pytest
@@ -864,6 +865,17 @@ def test_spread_join(spark, monkeypatch):
         assert sorted(map(str, got.collect())) == sorted(map(str, want.collect()))
 
 
+def test_shared_folder_is_required_on_a_cluster():
+    def session(master, folder=None):
+        conf = SimpleNamespace(get=lambda key, default: folder or default)
+        return SimpleNamespace(conf=conf, sparkContext=SimpleNamespace(master=master))
+
+    assert common.shared_root(session("spark://host:7077", "hdfs://store/shared/")) == "hdfs://store/shared"
+    assert common.shared_root(session("local[4]")).startswith("file://")
+    with pytest.raises(ValueError):
+        common.shared_root(session("spark://host:7077"))
+
+
 def test_pipeline(spark, sf):
     import corpus_pipeline
 
