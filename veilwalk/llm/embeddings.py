@@ -171,7 +171,7 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "
     if not n:
         return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
     tiles = -(-n // tile)
-    placed = ranked.withColumn("tile", F.floor(F.col("pos") / tile)).select("tile", "pos", "weight", "vec")
+    placed = ranked.withColumn("tile", F.expr(f"pos * {tiles} div {n}")).select("tile", "pos", "weight", "vec")  # tiles of one size
     packed = scratch.save(placed.groupBy("tile").applyInArrow(_pack, PACKED), "tiles")
     pairs = packed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(tiles - 1).cast("long"))))
     pairs = pairs.select(F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"), "tile", "pos", "weight", "dims", "x")
