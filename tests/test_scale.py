@@ -3,7 +3,8 @@
 import numpy as np
 from pyspark.sql import functions as F
 
-from veilwalk.operators import intervals
+from veilwalk.functions.vectors import l1
+from veilwalk.operators import encoder, intervals, predictor, ranktree, tree
 from veilwalk.plans import queries
 
 
@@ -24,3 +25,31 @@ def test_interval_pairs_equal_brute_force_without_a_shuffle_of_pairs(spark, sf,
     assert intervals.user_pairs(events.limit(0), 60).count() == 0
     plan = queries.interval_user_pairs(spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "hashpartitioning(user_id" not in plan
+
+
+def test_rank_law_and_pools_equal_all_pairs_at_any_size(spark, sf, monkeypatch):
+    """Tiles give what all pairs give, past the limit of the exact tree, and the short table draws as the whole law does."""
+    monkeypatch.setattr(tree, "EXACT_LIMIT", 50)
+    monkeypatch.setattr(ranktree, "TILE", 1000)
+    b = queries.Base(spark, sf, queries.EPS)
+    assert b.n > 50
+    o = b.ranked.join(b.vectors, "v")
+    other = o.toDF("w", "o", "d")
+    leaves = tree.rank_lca(F.col("ordinal"), F.col("o"), F.lit(b.n).cast("long"))
+    pairs = o.crossJoin(other).select("v", "w", leaves.alias("leaves"), l1(F.col("c"), F.col("d")).alias("delta"))
+    pairs = b.store.keep(pairs.withColumn("score", encoder.walk_score(F.col("delta"), F.col("leaves"))))
+    law = b.store.keep(encoder.exponential_mechanism(pairs, "v", "score", queries.LAW_EPS))
+    got = {(r["v"], r["w"]): r["pr"] for r in ranktree.law_rows(b.ranks, queries.LAW_EPS, 0.0).collect()}
+    want = {(r["v"], r["w"]): r["pr"] for r in law.collect()}
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-12 for k in want)
+    monkeypatch.setattr(queries, "base", lambda *_: b)
+    assert sorted(map(tuple, queries.encoder_audit(spark, sf).collect())) == sorted(map(tuple, encoder.encoder_audit(law).collect()))
+    assert queries.encoder_utility(spark, sf).collect() == encoder.encoder_utility(law).collect()
+    assert max(len(r["targets"]) for r in b.table.collect()) <= b.n
+    draws = encoder.encode(b.vertices.withColumnRenamed("v", "x"), encoder.as_table(law), "x", "w", "1", "x").select("x", "w")
+    assert sorted(map(tuple, draws.collect())) == sorted(map(tuple, encoder.encode(b.vertices.withColumnRenamed("v", "x"), b.table, "x", "w", "1", "x").select("x", "w").collect()))
+    kinds = b.plan.select(F.col("v").alias("w"), "bin")
+    near = pairs.select(F.col("v").alias("u"), "w", F.col("leaves").alias("near"), F.round("delta", 9).alias("delta")).join(kinds, "w")
+    for rounding in ("round", "floor", "stochastic"):
+        pools = predictor.jump_pool(near, predictor.demand(b.vectors, b.plan, rounding, "1"))
+        assert sorted((r["u"], tuple(r["pool"])) for r in queries._pools(b, rounding).collect()) == sorted((r["u"], tuple(r["pool"])) for r in pools.collect())
