@@ -24,7 +24,8 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates: that of the smallest id."""
+    """One document of each group of near-duplicates, that of the smallest id: SimHash fingerprints and bands of minima give
+    candidates, the exact similarity decides."""
     return simhash.keep_first(docs).select(*docs.columns)
 
 

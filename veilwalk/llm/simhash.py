@@ -6,8 +6,9 @@ enters a table under its exact segment and looks up the Hamming ball of radius o
 apart just one has that bit set, so enumerating the ball over set bits alone meets every pair. All distances are
 verified in full.
 
-That finds near-exact copies. Documents that are alike (five-word shingles, similarity 0.8) differ in more bits; alike()
-finds candidates by bands of minima over the shingles' hashes and verifies each link by the exact similarity.
+That finds near-exact copies. Documents that are alike (five-word shingles, similarity 0.8) may differ in more bits; alike()
+takes fingerprints at most three bits apart as candidates, and others by bands of minima over the shingles' hashes, and
+verifies each link by the exact similarity.
 
 Results: null or blank text has fingerprint zero, which links like any other; components() gives rows without an id their
 fingerprint and a null component, alike() leaves them out; rows that repeat an id are kept, each with its own
@@ -228,29 +229,29 @@ def _node(kinds: np.ndarray) -> int:
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame:
-    """(doc_id, node, kinds, w0..w3, keys): number, size, bits of the minima and band keys of each row's set of shingles; no keys without words."""
+    """(doc_id, fp, node, kinds, w0..w3, keys): the row's fingerprint, and number, size, bits of the minima and band keys of its set of shingles; no keys without words."""
     names = [f"w{k}" for k in range(WIDE)]
 
     def part(b: pa.RecordBatch) -> pa.RecordBatch:
         raw, offsets = text_buffer(b.column(1))
         data, n = memoryview(raw), b.num_rows
-        nodes, least, size = np.zeros(n, np.uint64), np.zeros((n, MINIMA), np.uint64), np.zeros(n, np.int64)
+        nodes, least, size, fps = np.zeros(n, np.uint64), np.zeros((n, MINIMA), np.uint64), np.zeros(n, np.int64), np.zeros(n, np.uint64)
         for i, (s, e) in enumerate(zip(offsets[:-1], offsets[1:], strict=True)):
             kinds = np.unique(shingle_hashes(bytes(data[s:e]), width))
-            nodes[i], least[i], size[i] = _node(kinds), minima(kinds), len(kinds)
+            nodes[i], least[i], size[i], fps[i] = _node(kinds), minima(kinds), len(kinds), fingerprint(bytes(data[s:e]))
         bits = (_mixed(least) & np.uint64(1)).astype(np.uint8)
         words = np.packbits(bits, axis=1, bitorder="little").view("<i8").reshape(n, WIDE)
         keys, full = band_keys(least).view(np.int64), size > 0
         ends = np.r_[0, np.cumsum(full * BANDS)].astype(np.int32)
-        cols = [pa.array(nodes.view(np.int64)), pa.array(size), *[pa.array(words[:, k].copy()) for k in range(WIDE)], pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[full].ravel()))]
-        return pa.RecordBatch.from_arrays([b.column(0), *cols], names=["doc_id", "node", "kinds", *names, "keys"])
+        cols = [pa.array(fps.view(np.int64)), pa.array(nodes.view(np.int64)), pa.array(size), *[pa.array(words[:, k].copy()) for k in range(WIDE)], pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[full].ravel()))]
+        return pa.RecordBatch.from_arrays([b.column(0), *cols], names=["doc_id", "fp", "node", "kinds", *names, "keys"])
 
     def run(b: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         for at in range(0, b.num_rows, SKETCHED):
             yield part(b.slice(at, SKETCHED))
 
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col]).where("doc_id is not null")
-    return arrow_map(rows, run, "doc_id long, node long, kinds long, " + ", ".join(f"{n} long" for n in names) + ", keys array<long>")
+    return arrow_map(rows, run, "doc_id long, fp long, node long, kinds long, " + ", ".join(f"{n} long" for n in names) + ", keys array<long>")
 
 
 def _far(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -378,11 +379,20 @@ def spanning_sets(sets: list[np.ndarray], side: np.ndarray | None, least: float)
     return edges
 
 
+def print_links(prints: DataFrame) -> DataFrame:
+    """(a, b) links of nodes by their fingerprints (fp, node): of one fingerprint, or of two at most MAX_BITS apart."""
+    one = prints.groupBy("fp").agg(F.min("node").alias("first"))
+    same = prints.join(one, "fp").where("node <> first").select(F.col("node").alias("a"), F.col("first").alias("b"))
+    apart = links(one.select("fp")).withColumnsRenamed({"a": "x", "b": "y"}).distinct()
+    a, b = (one.select(F.col("fp").alias(x), F.col("first").alias(n)) for x, n in (("x", "a"), ("y", "b")))
+    return same.unionByName(apart.join(a, "x").join(b, "y").where("a <> b").select("a", "b"))
+
+
 def alike(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, unlike: float = UNLIKE) -> DataFrame:
     """(doc_id, component_id) of documents linked where the Jaccard similarity of their shingles is at least 1 - unlike.
 
-    Equal sets of shingles collapse before. Sets that agree in a segment of three minima and differ in at most FAR bits of
-    their sketches form families; of pairs at a similarity of 0.8 fewer than one in a million fall to different ones.
+    Equal sets of shingles collapse before. Sets of documents whose fingerprints are at most MAX_BITS apart, and sets that
+    agree in a segment of three minima and differ in at most FAR bits of their sketches, form families; of pairs at a similarity of 0.8 fewer than one in a million fall to different ones.
     Within a family links are found by exact similarity, a pair of tiles at a time: a set is dealt once for each tile of
     its family, and no pair of sets is ever a row.
     """
@@ -401,7 +411,8 @@ def alike(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width
             yield pa.RecordBatch.from_arrays([pa.array(e[:, 0].copy()), pa.array(e[:, 1].copy())], names=["a", "b"])
         release()
 
-    families = connected_components(dealt.mapInArrow(join, "a long, b long"), scratch)
+    prints = scratch.save(rows.where("kinds > 0").select("fp", "node").distinct(), "prints")
+    families = connected_components(dealt.mapInArrow(join, "a long, b long").unionByName(print_links(prints)), scratch)
     members = families.join(nodes.select("node", "first_id", "kinds"), "node").withColumnRenamed("root", "family")
     tiles = members.groupBy("family").agg(F.ceil(F.sum("kinds") / CHUNK).alias("tiles"))
     members = scratch.save(members.join(tiles, "family").select("node", "family", "first_id", "tiles"), "members")
