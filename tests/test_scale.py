@@ -53,3 +53,11 @@ def test_rank_law_and_pools_equal_all_pairs_at_any_size(spark, sf, monkeypatch):
     for rounding in ("round", "floor", "stochastic"):
         pools = predictor.jump_pool(near, predictor.demand(b.vectors, b.plan, rounding, "1"))
         assert sorted((r["u"], tuple(r["pool"])) for r in queries._pools(b, rounding).collect()) == sorted((r["u"], tuple(r["pool"])) for r in pools.collect())
+
+
+def test_message_grid_reads_events(spark, sf):
+    """Every number of events that a user has is a length, with all jump probabilities."""
+    df = queries.expected_messages_grid(spark, sf)
+    want = {r["n"] for r in spark.read.parquet(f"{sf}/events.parquet").groupBy("user_id").agg(F.count("*").alias("n")).collect()}
+    assert "FileScan parquet" in df._jdf.queryExecution().executedPlan().toString()
+    assert {(r["length"], r["p"]) for r in df.collect()} == {(n, p) for n in want for p in queries.JUMPS}
