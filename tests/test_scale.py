@@ -4,7 +4,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from veilwalk.functions.vectors import l1
-from veilwalk.operators import encoder, intervals, predictor, ranktree, tree
+from veilwalk.operators import align, encoder, intervals, predictor, ranktree, tree
 from veilwalk.plans import queries
 
 
@@ -61,3 +61,22 @@ def test_message_grid_reads_events(spark, sf):
     want = {r["n"] for r in spark.read.parquet(f"{sf}/events.parquet").groupBy("user_id").agg(F.count("*").alias("n")).collect()}
     assert "FileScan parquet" in df._jdf.queryExecution().executedPlan().toString()
     assert {(r["length"], r["p"]) for r in df.collect()} == {(n, p) for n in want for p in queries.JUMPS}
+
+
+def test_trees_laws_and_pools_of_held_matrices_equal_those_of_pairs(spark, sf, monkeypatch):
+    """Rows made in tasks give what all pairs give, in memory and in a scratch file, and the short table draws as the whole law does."""
+    b = queries.Base(spark, sf, queries.EPS)
+    wanted, sure = predictor.demand(b.vectors, b.plan), lambda df: sorted(map(str, df.collect()))
+    for options, method, size, near in (({}, "average", 1 << 30, "hops"), ({"band": 2}, "hybrid", 0, "depth"), ({}, "hybrid", 0, "leaves")):
+        monkeypatch.setattr(tree, "SQUARE_BYTES", size)
+        held, dissim = align.Held(b.matrices, **options), b.store.keep(align.pairs_within(b.matrices, **options))
+        leaves = tree.cluster_tree(held, method)
+        assert sure(leaves) == sure(tree.build_tree(dissim, b.vertices, method))
+        assert sure(predictor.held_pool(held, leaves, b.plan, wanted, near)) == sure(predictor.tree_pool(dissim, leaves, b.plan, wanted, near))
+    for factor in (2.0, 0.001):
+        whole = b.store.keep(encoder.encoder_table(dissim, leaves, factor))
+        got = {(r["v"], r["w"]): r["pr"] for r in encoder.held_law(held, leaves, factor, 0.0).collect()}
+        want = {(r["v"], r["w"]): r["pr"] for r in encoder.law_rows(whole).collect()}
+        assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-12 for k in want)
+        asked = b.vertices.select(F.col("v").alias("x"))
+        assert sure(encoder.encode(asked, encoder.held_table(held, leaves, factor), "x", "w", "1", "x")) == sure(encoder.encode(asked, whole, "x", "w", "1", "x"))
