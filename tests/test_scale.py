@@ -3,9 +3,11 @@
 import numpy as np
 from pyspark.sql import functions as F
 
+from veilwalk.config import WalkConfig
 from veilwalk.functions.vectors import l1
 from veilwalk.operators import align, encoder, intervals, predictor, ranktree, tree
-from veilwalk.plans import queries
+from veilwalk.plans import pipeline, queries
+from veilwalk.sources import graphs
 
 
 def test_interval_pairs_equal_brute_force_without_a_shuffle_of_pairs(spark, sf, monkeypatch):
@@ -80,3 +82,19 @@ def test_trees_laws_and_pools_of_held_matrices_equal_those_of_pairs(spark, sf, m
         assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-12 for k in want)
         asked = b.vertices.select(F.col("v").alias("x"))
         assert sure(encoder.encode(asked, encoder.held_table(held, leaves, factor), "x", "w", "1", "x")) == sure(encoder.encode(asked, whole, "x", "w", "1", "x"))
+
+
+def test_exact_trees_beyond_the_limit_of_pairs(spark):
+    """Rings of more vertices than pairs are taken for as rows have a tree, a law and pools."""
+    n = tree.PAIRS_LIMIT + 100
+    ring = spark.range(n).select(F.col("id").alias("v"), F.when((F.col("id") + 1) % 7 == 0, F.col("id") - 6).otherwise(F.col("id") + 1).alias("u")).where(f"u < {n}")
+    edges = graphs.symmetrize(ring)
+    n, cfg = graphs.roster(edges).count(), WalkConfig(seed="1")
+    assert n > tree.PAIRS_LIMIT
+    parts = pipeline.build_tree_parts(edges, cfg)
+    found = tree.tree_violations(parts.leaves).first()
+    assert (parts.mode, found["leaves"], found["internal"], found["violations"]) == ("exact", n, n - 1, 0)
+    law, pools = pipeline.laws(parts, cfg)
+    assert law.count() == n
+    short = pipeline.pool_shortfall(parts, pools, cfg).first()
+    assert short["demanded"] == short["delivered"] > 0
