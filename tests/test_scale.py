@@ -98,3 +98,38 @@ def test_exact_trees_beyond_the_limit_of_pairs(spark):
     assert law.count() == n
     short = pipeline.pool_shortfall(parts, pools, cfg).first()
     assert short["demanded"] == short["delivered"] > 0
+
+
+def test_bisection_by_tasks_equals_bisection_by_levels(spark, sf, monkeypatch):
+    b = pipeline.build_tree_parts(graphs.document_terms(spark, sf), WalkConfig(tree="bisect", block=16))
+    found = lambda: {r["v"]: r["block"] for r in tree.bisect_blocks(b.matrices, 16).collect()}
+    by_tasks = found()
+    assert max(map(len, by_tasks.values())) > 2
+    monkeypatch.setattr(tree, "NODE_FLOATS", 0)  # all levels by jobs
+    assert found() == by_tasks == {r["v"]: r["block"] for r in pipeline.tree_blocks(b.leaves, 16).collect()}
+
+
+def test_pairs_of_blocks_are_aligned_once(spark, sf, monkeypatch):
+    """The tree within blocks follows from the pairs that laws and pools take too, and is not aligned anew."""
+    made = []
+
+    def pairs(matrices, block, *options):
+        both = matrices.select("block", "v").join(matrices.select("block", F.col("v").alias("u")), "block").where("u < v")
+        made.append(both.select("u", "v", F.abs(F.col("u") - F.col("v")).cast("double").alias("delta")))
+        return made[-1]
+
+    monkeypatch.setattr(align, "pairs_within", pairs)
+    b = pipeline.build_tree_parts(graphs.document_terms(spark, sf), WalkConfig(tree="bisect", block=100_000))
+    assert len(made) == 1
+    got = {r["v"]: r["path"] for r in b.leaves.collect()}
+    ids = np.array(sorted(got))
+    assert [got[v] for v in ids.tolist()] == tree.leaf_paths(np.abs(ids[:, None] - ids[None]).astype(float), "hybrid")
+
+
+def test_diagonals_equal_steps_by_rows():
+    rng = np.random.default_rng(7)
+    left, right = ([rng.normal(size=(n, 3)) for n in rng.integers(1, 40, 200)] for _ in range(2))
+    for one_sided in (False, True):
+        with np.errstate(invalid="ignore"):
+            want = [align._batch([a], [b], one_sided, None)[0] for a, b in zip(left, right, strict=True)]
+        assert np.allclose(align._diagonals(left, right, one_sided), want, rtol=1e-12)
