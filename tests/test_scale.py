@@ -107,6 +107,8 @@ def test_bisection_by_tasks_equals_bisection_by_levels(spark, sf, monkeypatch):
     assert max(map(len, by_tasks.values())) > 2
     monkeypatch.setattr(tree, "NODE_FLOATS", 0)  # all levels by jobs
     assert found() == by_tasks == {r["v"]: r["block"] for r in pipeline.tree_blocks(b.leaves, 16).collect()}
+    monkeypatch.setattr(tree, "PIVOT_FLOATS", 0)  # the way of many pivots
+    assert found() == by_tasks
 
 
 def test_pairs_of_blocks_are_aligned_once(spark, sf, monkeypatch):
