@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from veilwalk.config import WalkConfig
 from veilwalk.functions.vectors import l1
-from veilwalk.operators import align, encoder, intervals, predictor, ranktree, tree
+from veilwalk.operators import align, encoder, groups, intervals, predictor, ranktree, tree
 from veilwalk.plans import pipeline, queries
 from veilwalk.sources import graphs
 
@@ -135,3 +135,18 @@ def test_diagonals_equal_steps_by_rows():
         with np.errstate(invalid="ignore"):
             want = [align._batch([a], [b], one_sided, None)[0] for a, b in zip(left, right, strict=True)]
         assert np.allclose(align._diagonals(left, right, one_sided), want, rtol=1e-12)
+
+
+def test_hybrid_tree_without_a_square(spark, sf, monkeypatch):
+    """Parts split by passes, equal matrices and large groups give the tree of the square; no table of pairs is written."""
+    for eps in (queries.EPS, None):
+        b = queries.Base(spark, sf, eps)
+        held, written = align.Held(b.matrices), []
+        want = {r["v"]: r["path"] for r in tree.build_tree(b.store.keep(align.pairs_within(b.matrices)), b.vertices).collect()}
+        monkeypatch.setattr(held, "triangle", lambda: written.append(1))
+        for part, first, nearest in ((4096, 256, 16), (8, 2, 2)):
+            monkeypatch.setattr(groups, "PART", part)
+            monkeypatch.setattr(groups, "FIRST", first)
+            monkeypatch.setattr(groups, "NEAREST", nearest)
+            assert {r["v"]: r["path"] for r in tree.cluster_tree(held).collect()} == want
+        assert not written
